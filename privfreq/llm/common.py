@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import pickle
 import sys
 import tempfile
 import uuid
 
 import numpy as np
 import pyarrow as pa
+from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -112,5 +114,22 @@ def shingles(tokens: list[bytes], width: int, keyed: Keyed) -> np.ndarray:
     return np.unique(out)
 
 
-def broadcast_of(spark: SparkSession, value):
-    return spark.sparkContext.broadcast(value)
+class Shared:
+    """A broadcast whose value travels by cloudpickle, as functions do; the last few stay unpacked in each worker process."""
+
+    def __init__(self, spark: SparkSession, value):
+        self.name = uuid.uuid4().hex
+        self.sent = spark.sparkContext.broadcast(cloudpickle.dumps(value))
+
+    @property
+    def value(self):
+        held = process_cache("shared", dict)
+        if self.name not in held:
+            while len(held) > 3:
+                del held[next(iter(held))]
+            held[self.name] = pickle.loads(self.sent.value)
+        return held[self.name]
+
+
+def broadcast_of(spark: SparkSession, value) -> Shared:
+    return Shared(spark, value)
