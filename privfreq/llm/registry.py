@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import decontaminate, fingerprints, lines, near, packing, pii, quality, suffix_tree, toxicity
+from . import decontaminate, fingerprints, lines, near, packing, pii, quality, secrets, suffix_tree, toxicity
 
 QUERIES = {
     "op1_toxicity": toxicity.op1_toxicity,
     "op2_best_fit_packing": packing.op2_best_fit_packing,
+    "op3_secret_findings": secrets.op3_secret_findings,
     "op4_pii_spans": pii.op4_pii_spans,
     "op5_benchmark_leaks": decontaminate.op5_benchmark_leaks,
     "op6_quality_ranking": quality.op6_quality_ranking,
