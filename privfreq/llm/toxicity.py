@@ -26,11 +26,28 @@ CHI2, MIN_EXAMPLES = 12.0, 4
 NEIGHBOURS, BLOCK = 15, 64
 #: Distance at which a neighbour's vote is halved, and the votes that the base rate has.
 SOFT, PRIOR_VOTES = 0.1, 0.5
+#: Bytes of a word's beginning; counts at which a term counts once more.
+START, LEVELS = 6, (2, 3, 5)
 STRIP = b".,;:!?\"'()[]{}<>|&%$#*-+=/\\`~_^@"
 
 
-def terms_of(text: bytes) -> list[bytes]:
-    return [w for w in (t.strip(STRIP) for t in common.words(text)) if w]
+def terms_of(text: bytes) -> dict[bytes, int]:
+    """How often each term occurs: words, beginnings of words (marked ^), and either once more for each LEVEL it reaches.
+
+    Beginnings catch inflected and compound forms; levels let repetition count where length-free cosines would lose it.
+    """
+    found = Counter(t.strip(STRIP) for t in common.words(text))
+    found.pop(b"", None)
+    starts: dict[bytes, int] = {}
+    for word, n in found.items():
+        if len(word) >= START:
+            key = b"^" + word[:START]
+            starts[key] = starts.get(key, 0) + n
+    found.update(starts)
+    for term, n in list(found.items()):
+        if n > 1:
+            found.update({term + b"\0%d" % level: 1 for level in LEVELS if n >= level})
+    return found
 
 
 class BlockMaxIndex:
@@ -127,7 +144,7 @@ def select_terms(sample: DataFrame, most: int = TERMS) -> list[bytes]:
         found: tuple[Counter, Counter] = (Counter(), Counter())
         for batch in batches:
             for text, y in zip(common.raw(batch.column(0)), batch.column(1).to_pylist(), strict=True):
-                found[y].update(set(terms_of(text)))
+                found[y].update(terms_of(text).keys())
         for word in found[0].keys() | found[1].keys():
             yield word, found[0][word], found[1][word]
 
@@ -171,7 +188,7 @@ def score(docs: DataFrame, labels: DataFrame, label: str = "toxic", held_out=Non
         for batch in batches:
             out_terms, out_counts = [], []
             for text in common.raw(batch.column(1)):
-                found = Counter(i for i in map(known.get, terms_of(text)) if i is not None)
+                found = {known[t]: n for t, n in terms_of(text).items() if t in known}
                 listed = sorted(found)
                 out_terms.append(listed)
                 out_counts.append([found[i] for i in listed])
