@@ -22,7 +22,7 @@ from . import common
 PERMUTATIONS, BANDS, ROWS = 80, 32, 5
 #: Ids of documents to be read again that a broadcast may hold (8 bytes each); beyond it they are joined.
 BROADCAST_IDS = 4_000_000
-PIVOT_ROUNDS = 2
+PIVOT_ROUNDS = 5
 #: Links that a single task may join up.
 ONE_TASK_EDGES = 1_000_000
 
@@ -183,27 +183,31 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
     """
     spark = docs.sparkSession
     table = common.materialize(signatures(docs, width), "signatures")
+    # a smaller set is linked only with its equals: one shingle more or less is too much
+    smallest = -(-percent // (100 - percent)) if percent < 100 else 2**31
     linkable = table.where("n_shingles > 0 and doc_id is not null")
     copies = common.materialize(linkable.groupBy("sig").agg(F.min("doc_id").alias("node")), "copies")
-    one = linkable.select("sig", F.col("doc_id").alias("node"), "bands").join(copies, ["sig", "node"])
-    buckets = one.select("node", F.explode("bands").alias("key"))
+    one = linkable.where(F.col("n_shingles") >= smallest).select("sig", F.col("doc_id").alias("node"), F.col("n_shingles").alias("n"), "bands").join(copies, ["sig", "node"])
+    buckets = one.select("node", "n", F.explode("bands").alias("key"))
     live = common.materialize(buckets.groupBy("key").agg(F.min("node").alias("low"), F.max("node").alias("high")).where("low <> high").select("key"), "live")
     members = common.materialize(buckets.join(live, "key"), "members")
     sets = common.materialize(full_sets(docs, members.select("node").distinct(), width), "sets")
     labels = None
     tested = links = None
     for step in range(PIVOT_ROUNDS + 1):
-        held = members.withColumn("comp", F.col("node")) if labels is None else members.join(labels, "node", "left").select("key", "node", F.coalesce("comp", "node").alias("comp"))
+        held = members.withColumn("comp", F.col("node")) if labels is None else members.join(labels, "node", "left").select("key", "node", "n", F.coalesce("comp", "node").alias("comp"))
         held = common.materialize(held, "held")
-        pivot = F.min(F.struct(F.xxhash64("node", F.lit(step)).alias("h"), F.col("node").alias("pivot"), F.col("comp").alias("pivot_comp"))).alias("p")
-        open_ = common.materialize(held.groupBy("key").agg(pivot, F.min("comp").alias("low"), F.max("comp").alias("high")).where("low <> high").select("key", "p.pivot", "p.pivot_comp"), "open")
+        # first one pivot for all buckets of a group, then each bucket's own: who is left meets many at once
+        drawn = F.xxhash64("node", F.lit(step)) if step == 0 else F.xxhash64("node", "key", F.lit(step))
+        pivot = F.min(F.struct(drawn.alias("h"), F.col("node").alias("pivot"), F.col("comp").alias("pivot_comp"), F.col("n").alias("pivot_n"))).alias("p")
+        open_ = common.materialize(held.groupBy("key").agg(pivot, F.min("comp").alias("low"), F.max("comp").alias("high")).where("low <> high").select("key", "p.pivot", "p.pivot_comp", "p.pivot_n"), "open")
         if open_.isEmpty():
             break
         if step < PIVOT_ROUNDS:
-            met = held.join(open_, "key").where("comp <> pivot_comp").select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b"))
+            met = held.join(open_, "key").where(f"comp <> pivot_comp and 100 * least(n, pivot_n) >= {percent} * greatest(n, pivot_n)").select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b"))
         else:
             left = common.materialize(held.join(open_.select("key"), "key"), "left")
-            met = left.alias("l").join(left.alias("r"), "key").where("l.comp < r.comp").select(F.least("l.node", "r.node").alias("a"), F.greatest("l.node", "r.node").alias("b"))
+            met = left.alias("l").join(left.alias("r"), "key").where(f"l.comp < r.comp and 100 * least(l.n, r.n) >= {percent} * greatest(l.n, r.n)").select(F.least("l.node", "r.node").alias("a"), F.greatest("l.node", "r.node").alias("b"))
         pairs = met.distinct()
         pairs = common.materialize(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), "pairs")
         tested = pairs if tested is None else tested.unionByName(pairs)
