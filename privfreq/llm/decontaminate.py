@@ -19,7 +19,7 @@ from . import common
 
 SEED, MATCH, MISMATCH, GAP = 3, 2, 1, 1
 #: Largest chance of a rare seed at any place; an item keeps this many of its rarest seeds in any case.
-RARE, AT_LEAST = 1e-9, 6
+RARE, AT_LEAST = 1e-7, 12
 #: Score from which a passage counts as the item's copy.
 LEAK = 0.5
 #: Items held by a broadcast at a time; more are matched in further blocks.

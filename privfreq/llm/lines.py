@@ -63,9 +63,9 @@ def op8_three_line_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 OP8_SQL = """
 WITH lines AS (
-  SELECT doc_id, t.i - 1 AS at, t.line FROM (SELECT doc_id, unnest(list_transform(string_split(coalesce(text, ''), chr(10)), (x, i) -> {'i': i, 'line': x})) AS t FROM documents)
+  SELECT doc_id, unnest(generate_series(0, len(w) - 1)) AS place, unnest(w) AS line FROM (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS w FROM documents)
 ), solid AS (
-  SELECT doc_id, at, row_number() OVER (PARTITION BY doc_id ORDER BY at) AS n, trim(line) AS line FROM lines WHERE trim(line) <> ''
+  SELECT doc_id, place, row_number() OVER (PARTITION BY doc_id ORDER BY place) AS n, trim(line) AS line FROM lines WHERE trim(line) <> ''
 ), windows AS (
   SELECT a.doc_id, a.n, a.line AS l1, b.line AS l2, c.line AS l3
   FROM solid a JOIN solid b ON a.doc_id = b.doc_id AND b.n = a.n + 1 JOIN solid c ON a.doc_id = c.doc_id AND c.n = a.n + 2
@@ -74,11 +74,11 @@ WITH lines AS (
 ), covered AS (
   SELECT DISTINCT doc_id, n + d AS n FROM ranked, (VALUES (0), (1), (2)) v(d) WHERE r > 1
 ), marked AS (
-  SELECT l.doc_id, l.at, l.line, c.n IS NOT NULL AS gone
-  FROM lines l LEFT JOIN solid s ON l.doc_id = s.doc_id AND l.at = s.at LEFT JOIN covered c ON s.doc_id = c.doc_id AND s.n = c.n
+  SELECT l.doc_id, l.place, l.line, c.n IS NOT NULL AS gone
+  FROM lines l LEFT JOIN solid s ON l.doc_id = s.doc_id AND l.place = s.place LEFT JOIN covered c ON s.doc_id = c.doc_id AND s.n = c.n
 ), kept AS (
   SELECT doc_id, CAST(count(*) AS INTEGER) AS n_lines, CAST(sum(CASE WHEN gone THEN 1 ELSE 0 END) AS INTEGER) AS lines_removed,
-    coalesce(string_agg(line, chr(10) ORDER BY at) FILTER (WHERE NOT gone), '') AS text
+    coalesce(string_agg(line, chr(10) ORDER BY place) FILTER (WHERE NOT gone), '') AS text
   FROM marked GROUP BY doc_id
 )
 SELECT doc_id, n_lines, lines_removed, length(text) AS kept_chars, md5(text) AS kept_md5 FROM kept
