@@ -63,14 +63,14 @@ def chunks(texts, size: int = CHUNK):
 class Tally:
     """Counts of 64-bit keys, kept sorted; given out when there are too many."""
 
-    def __init__(self, most: int = 4_000_000):
+    def __init__(self, most: int = 2_000_000):
         self.most, self.parts, self.waiting = most, [], 0
 
     def add(self, keys: np.ndarray, counts: np.ndarray | None = None) -> None:
         k, n = np.unique(keys, return_counts=True) if counts is None else (keys, counts)
         self.parts.append((k, n))
         self.waiting += len(k)
-        if self.waiting > 2 * len(self.parts[0][0]) + 1_000_000:
+        if self.waiting > 2 * len(self.parts[0][0]) + 500_000:
             self.merge()
 
     def merge(self) -> tuple[np.ndarray, np.ndarray]:
