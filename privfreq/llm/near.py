@@ -2,9 +2,10 @@
 
 Each permutation of the shingle hashes gives two values, the smallest and the largest image, so a signature of 2P values
 costs P permutations. Bands of values bring documents of like sets into common buckets. Inside a bucket nobody is paired
-with everybody: documents are confirmed (on full sets) against a pivot, what is linked becomes one component, and further
-rounds look only at buckets that still hold several components, at last at every pair of documents of different ones. No
-bucket is capped, and a group of copies of any size is one component after a round or two.
+with everybody: documents are confirmed (on full sets) against a pivot, and what is linked becomes one component. Buckets
+that still hold several components after two rounds go to an exact join of their documents by the rare beginnings of
+their sets, which finds every link that is left. No bucket is capped, and a group of copies of any size is one component
+after a round or two.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from . import common
 PERMUTATIONS, BANDS, ROWS = 80, 32, 5
 #: Ids of documents to be read again that a broadcast may hold (8 bytes each); beyond it they are joined.
 BROADCAST_IDS = 4_000_000
-PIVOT_ROUNDS = 5
+PIVOT_ROUNDS = 2
 #: Links that a single task may join up.
 ONE_TASK_EDGES = 1_000_000
 
@@ -115,6 +116,35 @@ def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return both.where(size).mapInArrow(run, "a long, b long").distinct()
 
 
+def prefix_pairs(open_sets: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) of nodes of different components that could be linked: complete, and few (open_sets: node, comp, hashes).
+
+    Shingles are ordered from rare to frequent. Two sets that share the `o` shingles that a link needs have a first common
+    one with at least o-1 shingles behind it in both, so only the beginnings of sets are joined, with that condition on the
+    places. A shingle that no other open set has can't be common: it is counted, not joined.
+    """
+
+    def spell(batches):
+        for batch in batches:
+            for node, comp, hashes in zip(*(batch.column(i) for i in range(3)), strict=True):
+                t = np.frombuffer(hashes.as_buffer(), np.int64)
+                full = [np.full(len(t), v) for v in (node.as_py(), comp.as_py(), len(t))]
+                yield pa.RecordBatch.from_arrays([*(pa.array(v, pa.int64()) for v in full), pa.array(t)], ["node", "comp", "n", "token"])
+
+    tokens = open_sets.select("node", "comp", "hashes").mapInArrow(spell, "node long, comp long, n long, token long")
+    tokens = common.materialize(tokens, "tokens")
+    shared = common.materialize(tokens.groupBy("token").agg(F.count("*").alias("df")).where("df > 1"), "shared")
+    lists = tokens.join(shared, "token").groupBy("node", "comp", "n").agg(F.array_sort(F.collect_list(F.struct("df", "token"))).alias("s"))
+    reach = F.col("n") - F.ceil(F.col("n") * percent / 100)  # the last place that any link's first common shingle may have
+    alone = F.col("n") - F.size("s")
+    heads = lists.select("node", "comp", "n", alone.alias("alone"), F.posexplode(F.slice("s", F.lit(1), F.greatest(reach - alone + 1, F.lit(0)).cast("int"))).alias("i", "x"))
+    heads = common.materialize(heads.select("node", "comp", "n", (F.col("alone") + F.col("i")).alias("place"), F.col("x.token").alias("token")), "heads")
+    common.discard(tokens)
+    need = f"ceil({percent} * (l.n + r.n) / {100 + percent})"
+    met = heads.alias("l").join(heads.alias("r"), "token").where(f"l.comp < r.comp and 100 * least(l.n, r.n) >= {percent} * greatest(l.n, r.n) and l.place <= l.n - {need} and r.place <= r.n - {need}")
+    return met.select(F.least("l.node", "r.node").alias("a"), F.greatest("l.node", "r.node").alias("b"))
+
+
 def joined_up(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Nodes and the smallest node that each reaches, by minima along links and jumps."""
     nodes, at = np.unique(np.concatenate([a, b]), return_inverse=True)
@@ -206,8 +236,8 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80) -> DataF
         if step < PIVOT_ROUNDS:
             met = held.join(open_, "key").where(f"comp <> pivot_comp and 100 * least(n, pivot_n) >= {percent} * greatest(n, pivot_n)").select(F.least("node", "pivot").alias("a"), F.greatest("node", "pivot").alias("b"))
         else:
-            left = common.materialize(held.join(open_.select("key"), "key"), "left")
-            met = left.alias("l").join(left.alias("r"), "key").where(f"l.comp < r.comp and 100 * least(l.n, r.n) >= {percent} * greatest(l.n, r.n)").select(F.least("l.node", "r.node").alias("a"), F.greatest("l.node", "r.node").alias("b"))
+            left = held.join(open_.select("key"), "key").groupBy("node").agg(F.first("comp").alias("comp"))
+            met = prefix_pairs(left.join(sets, "node"), percent)
         pairs = met.distinct()
         pairs = common.materialize(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), "pairs")
         tested = pairs if tested is None else tested.unionByName(pairs)
