@@ -24,7 +24,17 @@ def save_table(df: DataFrame, name: str, key: str, buckets: int = 64) -> None:
 def pack_bits(bits: DataFrame, m: int) -> DataFrame:
     """rid, j, bits BINARY of a report's m bits (from rid, j, b, plus), first bit first."""
     text = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("b", F.col("plus").cast("int").cast("string").alias("v")))), lambda x: x["v"]), "")
-    return bits.groupBy("rid", "j").agg(F.rpad(text, -(-m // 8) * 8, "0").alias("t")).select("rid", "j", F.unhex(F.lpad(F.conv("t", 2, 16), -(-m // 8) * 2, "0")).alias("bits") if m <= 64 else F.encode("t", "UTF-8").alias("bits"))
+    size = -(-m // 8)
+    byte = lambda i: F.lpad(F.conv(F.substr("t", i * 8 + 1, F.lit(8)), 2, 16), 2, "0")
+    rows = bits.groupBy("rid", "j").agg(F.rpad(text, size * 8, "0").alias("t"))
+    return rows.select("rid", "j", F.unhex(F.array_join(F.transform(F.sequence(F.lit(0), F.lit(size - 1)), byte), "")).alias("bits"))
+
+
+def unpack_bits(packed: DataFrame, m: int) -> DataFrame:
+    """rid, j, b, plus of packed reports."""
+    digits = F.conv(F.substr(F.hex("bits"), F.floor(F.col("b") / 8).cast("int") * 2 + 1, F.lit(2)), 16, 10).cast("int")
+    rows = packed.select("rid", "j", "bits", F.explode(F.sequence(F.lit(0), F.lit(m - 1))).alias("b"))
+    return rows.select("rid", "j", "b", (F.floor(digits / F.pow(F.lit(2), 7 - F.col("b") % 8)) % 2 == 1).alias("plus"))
 
 
 def sink(df: DataFrame, kind: str = "noop") -> None:

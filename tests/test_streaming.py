@@ -88,3 +88,13 @@ def test_sql_surface(spark):
     assert [r["bit"] for r in spark.sql("SELECT * FROM encode_bits(2, 6)").collect()] == [-1, -1, 1, -1, -1, -1]
     sql.publish(spark.createDataFrame([("a", 1.0)], "item string, f_hat double"), "split")
     assert spark.sql("SELECT f_hat FROM freq_split WHERE item = 'a'").first()["f_hat"] == 1.0
+
+
+def test_packed_reports_round_trip(spark):
+    from privfreq.operators import reports
+
+    p = SMALL.but(m=20, k=3)
+    bits = reports.one_hot_bits(tables.types(spark, SF).limit(30), p)
+    packed = sinks.pack_bits(bits, 20)
+    assert packed.agg(F.max(F.length("bits"))).first()[0] == 3
+    assert sorted(map(tuple, sinks.unpack_bits(packed, 20).collect())) == sorted(map(tuple, bits.collect()))
