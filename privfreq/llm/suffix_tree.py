@@ -180,35 +180,48 @@ class SuffixTree:
         return out
 
 
+def diverging(key: np.ndarray, n: np.ndarray, up_key: np.ndarray, up_n: np.ndarray, d: int) -> np.ndarray:
+    """The contexts (packed) of depth d whose distribution differs enough from that of their suffix.
+
+    key, n: context and symbol with counts, sorted; up_key, up_n: the same of depth d-1, with all suffixes of the contexts.
+    """
+    context, first, kinds = np.unique(key >> np.uint64(8), return_index=True, return_counts=True)
+    total = np.add.reduceat(n, first)
+    up_context, up_first = np.unique(up_key >> np.uint64(8), return_index=True)
+    up_total = np.add.reduceat(up_n, up_first)
+    mask = np.uint64((1 << (8 * d)) - 1)
+    parent = np.searchsorted(up_key, key & mask)
+    suffix = np.searchsorted(up_context, (key & mask) >> np.uint64(8))
+    gain = n * (np.log(n / np.repeat(total, kinds)) - np.log(up_n[parent] / up_total[suffix]))
+    return context[np.add.reduceat(gain, first) >= kinds * np.log(total) / 2]
+
+
 def retained(table: DataFrame, total: int, depth: int, min_share: float) -> dict[int, tuple[np.ndarray, np.ndarray]]:
-    """The next-symbol counts of the states of each depth: at most 1/min_share contexts of each, whatever the corpus."""
+    """The next-symbol counts of the states of each depth.
+
+    Counts of shorter contexts are sums of those of longer ones. Contexts of the smallest share or more are at most
+    1/min_share for each depth, with at most 256 symbols each, whatever the corpus: those are brought together and tested.
+    A suffix has at least its context's share, so it is among them.
+    """
     level = table.where("kind = 1").select("key", "n")
-    by_depth = {}
+    frequent: dict[int, tuple[np.ndarray, np.ndarray]] = {}
     for d in range(depth, -1, -1):
-        by_depth[d] = level = common.materialize(level, f"level{d}") if d < depth else level
-        level = level.groupBy(F.col("key").bitwiseAND((1 << (8 * d)) - 1).alias("key")).agg(F.sum("n").alias("n"))
-    kept, needed = {}, None
-    packed = {}
+        context = F.shiftright("key", 8)
+        sums = level.groupBy(context.alias("context")).agg(F.sum("n").alias("t")).where(F.col("t") >= min_share * total).select("context")
+        x = level.withColumn("context", context).join(sums, "context").select("key", "n").toPandas()
+        key, n = x["key"].to_numpy(np.int64).view(np.uint64), x["n"].to_numpy(np.int64)
+        order = np.argsort(key)
+        frequent[d] = key[order], n[order]
+        if d:
+            level = common.materialize(level.groupBy(F.col("key").bitwiseAND((1 << (8 * d)) - 1).alias("key")).agg(F.sum("n").alias("n")), f"level{d - 1}")
+    kept = {0: frequent[0]}
+    needed = np.empty(0, np.uint64)
     for d in range(depth, 0, -1):
-        one = by_depth[d].withColumn("context", F.shiftright("key", 8))
-        sums = one.groupBy("context").agg(F.sum("n").alias("t"), F.count("*").alias("kinds")).where(F.col("t") >= min_share * total)
-        own = common.materialize(one.join(sums, "context"), f"contexts{d}")
-        mask = (1 << (8 * (d - 1))) - 1
-        up = by_depth[d - 1].select(F.col("key").alias("parent"), F.col("n").alias("pn"))
-        ups = by_depth[d - 1].groupBy(F.shiftright("key", 8).alias("pc")).agg(F.sum("n").alias("pt"))
-        met = own.withColumns({"parent": F.col("key").bitwiseAND((1 << (8 * d)) - 1), "pc": F.col("context").bitwiseAND(mask)}).join(up, "parent").join(ups, "pc")
-        gain = F.sum(F.col("n") * (F.log(F.col("n") / F.col("t")) - F.log(F.col("pn") / F.col("pt"))))
-        tested = met.groupBy("context").agg(gain.alias("gain"), F.first("kinds").alias("kinds"), F.first("t").alias("t"))
-        chosen = tested.where(F.col("gain") >= F.col("kinds") * F.log("t") / 2).select("context")
-        if needed is not None:
-            chosen = chosen.union(needed).distinct()
-        chosen = common.materialize(chosen, f"states{d}")
-        packed[d] = own.join(chosen, "context").select("key", "n")
-        needed = chosen.select(F.col("context").bitwiseAND(mask).alias("context")).distinct() if d > 1 else None
-    packed[0] = by_depth[0]
-    for d, rows in packed.items():
-        x = rows.toPandas()
-        kept[d] = (x["key"].to_numpy(np.int64).view(np.uint64), x["n"].to_numpy(np.int64))
+        key, n = frequent[d]
+        chosen = np.union1d(needed, diverging(key, n.astype(float), frequent[d - 1][0], frequent[d - 1][1].astype(float), d)) if len(key) else needed
+        use = np.isin(key >> np.uint64(8), chosen)
+        kept[d] = key[use], n[use]
+        needed = np.unique(chosen & np.uint64((1 << (8 * (d - 1))) - 1))
     return kept
 
 
