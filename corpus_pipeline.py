@@ -14,15 +14,25 @@ from privfreq.llm import common, decontaminate, lines, near, packing, quality
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
+#: Ids of documents to drop that a broadcast may hold; more of them are joined by shuffle.
+BROADCAST_IDS = 2_000_000
+
+
 def _keyed(docs: DataFrame) -> DataFrame:
     return docs.select(*COLUMNS)
 
 
+def _without(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """The documents whose doc_id is not listed; rows without one stay."""
+    ids = common.materialize(ids.where("doc_id is not null").select("doc_id").distinct(), "dropped")
+    side = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+    return _keyed(docs).join(side, "doc_id", "left_anti").select(*COLUMNS)
+
+
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the ranking puts below its cut go. Rows without doc_id, which no label can name, stay."""
     scored = quality.score(docs, common.read(spark, sf_dir, "labels"))
-    bad = scored.where((F.col("score") < quality.BAR) & F.col("doc_id").isNotNull()).select("doc_id").distinct()
-    return _keyed(docs).join(bad, "doc_id", "left_anti").select(*COLUMNS)
+    return _without(docs, scored.where(F.col("score") < quality.BAR))
 
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -35,14 +45,12 @@ def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near-duplicates (five-word shingles, similarity of 0.8) the document of the smallest id stays."""
-    gone = near.near_duplicates(docs).where("not kept").select("doc_id").distinct()
-    return _keyed(docs).join(gone, "doc_id", "left_anti").select(*COLUMNS)
+    return _without(docs, near.near_duplicates(docs).where("not kept"))
 
 
 def benchmark_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents with a passage that aligns with a test item go."""
-    found = decontaminate.leaks(docs, common.read(spark, sf_dir, "benchmark")).select("doc_id").distinct()
-    return _keyed(docs).join(found, "doc_id", "left_anti").select(*COLUMNS)
+    return _without(docs, decontaminate.leaks(docs, common.read(spark, sf_dir, "benchmark")))
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

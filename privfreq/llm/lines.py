@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 from . import common
 
 WINDOW = 3
+#: Documents with covered lines that a broadcast may hold (with four times as many windows); more are joined by shuffle.
+BROADCAST_ROWS = 500_000
 
 
 def _solid(text: Column) -> Column:
@@ -46,7 +48,9 @@ def without_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     rows = keyed.select(F.col("_d").alias("d"), F.col("_k").alias("k"), _solid(text).alias("solid"))
     cover = repeated_windows(rows, window).groupBy("d", "k").agg(F.collect_set("first").alias("_first"))
     cover = common.materialize(cover.withColumnsRenamed({"d": "_d", "k": "_k"}), "covered")
-    joined = keyed.join(cover, ["_d", "_k"], "left").withColumn("_solid", _solid(text))
+    size = cover.agg(F.count("*").alias("rows"), F.coalesce(F.sum(F.size("_first")), F.lit(0)).alias("places")).first()
+    small = size["rows"] <= BROADCAST_ROWS and size["places"] <= 4 * BROADCAST_ROWS
+    joined = keyed.join(F.broadcast(cover) if small else cover, ["_d", "_k"], "left").withColumn("_solid", _solid(text))
     gone = F.array_distinct(F.flatten(F.transform("_first", lambda f: F.sequence(f, f + window - 1))))
     lost = F.transform(gone, lambda i: F.element_at("_solid", i + 1)["at"])
     kept = F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("_lost", i)), "\n")
