@@ -83,7 +83,7 @@ def process_cache(key: str, make):
 class Keyed(dict):
     """word -> 64-bit hash, computed once for each word; emptied when it holds too many."""
 
-    limit = 1_000_000
+    limit = 600_000
 
     def __missing__(self, word: bytes) -> int:
         import xxhash
