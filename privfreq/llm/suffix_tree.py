@@ -18,9 +18,9 @@ from pyspark.sql import functions as F
 
 from . import common
 
-DEPTH, MIN_SHARE = 5, 1e-5
+DEPTH, MIN_SHARE = 5, 2e-5
 #: Most frequent words whose counts are broadcast (16 bytes each); counts of all others are joined.
-HEAD = 1_000_000
+HEAD = 300_000
 END = 10  # cannot occur in a word
 #: Symbols handled at a time.
 CHUNK = 2_000_000
@@ -210,6 +210,7 @@ def retained(table: DataFrame, total: int, depth: int, min_share: float) -> dict
         sums = level.groupBy(context.alias("context")).agg(F.sum("n").alias("t")).where(F.col("t") >= min_share * total).select("context")
         x = level.withColumn("context", context).join(sums, "context").select("key", "n").toPandas()
         key, n = x["key"].to_numpy(np.int64).view(np.uint64), x["n"].to_numpy(np.int64)
+        del x
         order = np.argsort(key)
         frequent[d] = key[order], n[order]
         if d:
@@ -221,6 +222,7 @@ def retained(table: DataFrame, total: int, depth: int, min_share: float) -> dict
         chosen = np.union1d(needed, diverging(key, n.astype(float), frequent[d - 1][0], frequent[d - 1][1].astype(float), d)) if len(key) else needed
         use = np.isin(key >> np.uint64(8), chosen)
         kept[d] = key[use], n[use]
+        del frequent[d]
         needed = np.unique(chosen & np.uint64((1 << (8 * (d - 1))) - 1))
     return kept
 
@@ -251,6 +253,7 @@ def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, min_share: float
     top = vocabulary.where(F.col("n") >= least).toPandas()
     order = np.argsort(top["key"].to_numpy(np.int64))
     model = common.broadcast_of(spark, (tree, top["key"].to_numpy(np.int64)[order], np.log10(top["n"].to_numpy(float)[order] + 1)))
+    del tree, top, order  # the driver has little room
     ends = float(np.log10(texts_ + 1))
 
     def run(batches):
