@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+import pandas as pd
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import common
@@ -12,22 +14,36 @@ WINDOW = 3
 BROADCAST_ROWS = 500_000
 
 
-def _solid(text: Column) -> Column:
-    """The lines that have more than spaces, trimmed, with their places among all lines."""
-    lines = F.transform(F.split(text, "\n"), lambda x, i: F.struct(i.alias("at"), F.trim(x).alias("line")))
-    return F.filter(lines, lambda s: s["line"] != "")
+def solid_lines(text: str) -> tuple[list[str], list[int]]:
+    """All lines, and the places of those that have more than spaces."""
+    lines = text.split("\n")
+    return lines, [i for i, x in enumerate(lines) if x.strip(" ")]
 
 
 def repeated_windows(rows: DataFrame, window: int = WINDOW) -> DataFrame:
-    """d, k (a row's key), first: where windows begin (number of the solid line) that occurred earlier in the corpus.
+    """d, k, first: where windows begin (number of the solid line) that occurred earlier in the corpus (rows: d, k, text).
 
-    A window's identity is 128 bits of hashes of its lines. Counting combines before its shuffle, and the join back to the
-    occurrences is one that Spark splits, so a window that a third of all rows hold goes to no single task.
+    A window's identity is 128 bits of a hash of its lines. Counting combines before its shuffle, and the join back to the
+    occurrences is one that Spark splits, so a window that a third of all rows hold goes to no single task. Windows are cut
+    with one line's hash at a time, so long texts cost as much a line as short ones.
     """
-    starts = F.when(F.size("solid") >= window, F.sequence(F.lit(0), F.size("solid") - window))
-    at = rows.select("d", "k", F.col("solid.line").alias("line"), F.explode(starts).alias("first"))
-    hashes = [F.xxhash64(F.lit(salt), *[F.element_at("line", F.col("first") + i + 1) for i in range(window)]) for salt in (0, 1)]
-    seen = common.materialize(at.select("d", "k", "first", hashes[0].alias("h1"), hashes[1].alias("h2")), "windows")
+
+    def cut(batches):
+        import xxhash
+
+        for batch in batches:
+            columns: tuple[list, ...] = ([], [], [], [], [])
+            for d, k, text in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
+                lines, solid = solid_lines(text)
+                digests = [xxhash.xxh3_128_digest(lines[i].strip(" ").encode()) for i in solid]
+                for first in range(len(solid) - window + 1):
+                    h = xxhash.xxh3_128_digest(b"".join(digests[first : first + window]))
+                    for column, value in zip(columns, (d, k, first, int.from_bytes(h[:8], "big", signed=True), int.from_bytes(h[8:], "big", signed=True)), strict=True):
+                        column.append(value)
+            kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], ["d", "k", "first", "h1", "h2"])
+
+    seen = common.materialize(rows.select("d", "k", "text").mapInArrow(cut, "d long, k long, first int, h1 long, h2 long"), "windows")
     where = F.struct("d", "k", "first")
     origin = seen.groupBy("h1", "h2").agg(F.min(where).alias("origin"), F.max(where).alias("last")).where("origin <> last").select("h1", "h2", "origin")
     origin = common.materialize(origin, "repeated")
@@ -45,19 +61,30 @@ def without_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     smallest = F.lit(-(2**63))
     text = F.coalesce("text", F.lit(""))
     keyed = docs.withColumns({"_d": F.coalesce(F.col("doc_id").cast("long"), smallest), "_k": F.xxhash64(text)})
-    rows = keyed.select(F.col("_d").alias("d"), F.col("_k").alias("k"), _solid(text).alias("solid"))
+    rows = keyed.select(F.col("_d").alias("d"), F.col("_k").alias("k"), text.alias("text"))
     cover = repeated_windows(rows, window).groupBy("d", "k").agg(F.collect_set("first").alias("_first"))
     cover = common.materialize(cover.withColumnsRenamed({"d": "_d", "k": "_k"}), "covered")
     size = cover.agg(F.count("*").alias("rows"), F.coalesce(F.sum(F.size("_first")), F.lit(0)).alias("places")).first()
     small = size["rows"] <= BROADCAST_ROWS and size["places"] <= 4 * BROADCAST_ROWS
-    joined = keyed.join(F.broadcast(cover) if small else cover, ["_d", "_k"], "left").withColumn("_solid", _solid(text))
-    gone = F.array_distinct(F.flatten(F.transform("_first", lambda f: F.sequence(f, f + window - 1))))
-    lost = F.transform(gone, lambda i: F.element_at("_solid", i + 1)["at"])
-    kept = F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("_lost", i)), "\n")
-    out = joined.withColumn("_lost", lost).withColumns(
-        {"text": F.when(F.col("_lost").isNull(), F.col("text")).otherwise(kept), "n_lines": F.size(F.split(text, "\n")), "lines_removed": F.coalesce(F.size("_lost"), F.lit(0))}
-    )
-    return out.drop("_d", "_k", "_first", "_solid", "_lost")
+    joined = keyed.join(F.broadcast(cover) if small else cover, ["_d", "_k"], "left")
+
+    @F.pandas_udf("text string, n_lines int, lines_removed int")
+    def rewrite(texts: pd.Series, firsts: pd.Series) -> pd.DataFrame:
+        out = []
+        for text, first in zip(texts, firsts, strict=True):
+            if text is None:
+                out.append((None, 1, 0))
+            elif first is None:
+                out.append((text, text.count("\n") + 1, 0))
+            else:
+                lines, solid = solid_lines(text)
+                gone = {solid[f + i] for f in first for i in range(window)}
+                out.append(("\n".join(x for i, x in enumerate(lines) if i not in gone), len(lines), len(gone)))
+        return pd.DataFrame(out, columns=["text", "n_lines", "lines_removed"])
+
+    done = joined.withColumn("_new", rewrite("text", "_first"))
+    done = done.withColumns({c: F.col(f"_new.{c}") for c in ("text", "n_lines", "lines_removed")})
+    return done.drop("_d", "_k", "_first", "_new")
 
 
 def op8_three_line_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
