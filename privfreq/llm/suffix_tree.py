@@ -2,11 +2,17 @@
 
 A text is read as its words (A-Z lower-cased) with single spaces between them and one end sign, so the alphabet has 256
 symbols and every text a proper probability. The tree's states are contexts of up to DEPTH symbols. Counts of all runs
-of DEPTH+1 symbols give those of all shorter contexts. A context stays if it makes up MIN_SHARE of the training symbols
-and its next-symbol distribution diverges from its suffix's: n times the divergence must exceed half a log n for each
-symbol that follows it. The suffixes of what stays stay too. A state's distribution is blended with that of its suffix,
-by the number of different symbols seen there; the root's with the uniform one. A symbol is scored by the longest suffix
-of what stands before it that is a state.
+of DEPTH+1 symbols give those of all shorter contexts. A context stays if it was seen MIN_COUNT times, whatever the size
+of the corpus, and its next-symbol distribution diverges from its suffix's: n times the divergence must exceed half a
+log n for each symbol that follows it. The suffixes of what stays stay too. A state's distribution is blended with that
+of its suffix, by the number of different symbols seen there; the root's with the uniform one. A symbol is scored by the
+longest suffix of what stands before it that is a state.
+
+Nothing of the tree but its first two levels (65,536 numbers) comes to the driver. A context of two symbols or more, its
+suffixes of two or more and all runs that end in them share their last two symbols: `branches` deals the counts by those,
+tests and blends each branch in one task, and leaves a table of the probability of every run in the corpus. Texts are
+read in groups of a bounded size; a group's runs join that table, and meet the group's texts again for scoring.
+`SuffixTree` and `retained` are the same tree in the memory of one process; tests hold the tables to it.
 """
 
 from __future__ import annotations
@@ -18,12 +24,15 @@ from pyspark.sql import functions as F
 
 from . import common
 
-DEPTH, MIN_SHARE = 5, 2e-5
+#: Longest context, and how often one must be seen.
+DEPTH, MIN_COUNT = 5, 2
 #: Most frequent words whose counts are broadcast (16 bytes each); counts of all others are joined.
 HEAD = 300_000
 END = 10  # cannot occur in a word
 #: Symbols handled at a time.
-CHUNK = 2_000_000
+CHUNK = 1_000_000
+#: Bytes of text in a group and runs in a bucket of branches, about.
+GROUP, BUCKET = 24_000_000, 500_000
 
 SCORED = "doc_id long, held_out boolean, n_tokens long, head_known long, head_log double, score double, tail array<bigint>, times array<int>"
 
@@ -227,7 +236,121 @@ def retained(table: DataFrame, total: int, depth: int, min_share: float) -> dict
     return kept
 
 
-def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, min_share: float = MIN_SHARE, head: int = HEAD) -> DataFrame:
+def grouped_counts(rows: DataFrame, depth: int) -> DataFrame:
+    """kind, group, key, n: words of the training texts (0) and runs of all texts (1; n counts the training texts only)."""
+
+    def run(table):
+        keyed = common.process_cache("words", common.Keyed)
+        words_, runs_ = Tally(), Tally()
+        for text, held in ((c["text"], c["held_out"]) for c in table.select(["text", "held_out"]).to_batches(max_chunksize=1000)):
+            pairs = list(zip(common.raw(text), held.to_pylist(), strict=True))
+            for learns in (True, False):
+                for texts_ in chunks(t for t, h in pairs if (h is False) == learns):
+                    listed = [common.words(t) for t in texts_]
+                    k, n = np.unique(runs([stream(ws) for ws in listed], depth), return_counts=True)
+                    runs_.add(k, n if learns else np.zeros_like(n))
+                    if learns:
+                        words_.add(np.fromiter((keyed[w] for ws in listed for w in ws), np.uint64))
+        group = table["group"][0].as_py()
+        parts = [tally.take() for tally in (words_, runs_)]
+        size = [len(k) for k, _ in parts]
+        return pa.table(
+            {
+                "kind": pa.array(np.repeat(np.arange(2, dtype=np.int32), size)),
+                "group": pa.array(np.full(sum(size), group, np.int32)),
+                "key": pa.array(np.concatenate([k for k, _ in parts]).view(np.int64)),
+                "n": pa.array(np.concatenate([n for _, n in parts])),
+            }
+        )
+
+    return rows.groupBy("group").applyInArrow(run, "kind int, group int, key long, n long")
+
+
+def chain(key: np.ndarray, n: np.ndarray, pairs: np.ndarray, depth: int, min_count: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """For all runs of some branches (sorted): a, b, deep. The probability is a + b times that given the last symbol alone.
+
+    n may be 0 (a run of texts that teach nothing). pairs[c, s]: how often s follows c in all training texts. deep: whether
+    a context of two symbols or more is a state.
+    """
+    levels, up = {depth: (key, n)}, {}
+    for d in range(depth - 1, 1, -1):
+        k, up[d + 1] = np.unique(levels[d + 1][0] & np.uint64((1 << (8 * (d + 1))) - 1), return_inverse=True)
+        levels[d] = k, np.bincount(up[d + 1], levels[d + 1][1], len(k))
+    found = {}
+    for d in range(2, depth + 1):
+        k, m = levels[d]
+        context, first, of = np.unique(k >> np.uint64(8), return_index=True, return_inverse=True)
+        total, kinds = np.add.reduceat(m, first), np.add.reduceat((m > 0).astype(float), first)
+        if d == 2:
+            last = (context & np.uint64(255)).astype(np.int64)
+            over, whole = pairs[last[of], (k & np.uint64(255)).astype(np.int64)], pairs.sum(1)[last[of]]
+        else:
+            over, whole = levels[d - 1][1][up[d]], found[d - 1]["total"][found[d - 1]["of"]][up[d]]
+        with np.errstate(divide="ignore", invalid="ignore"):
+            gain = np.where(m > 0, m * (np.log(m / total[of]) - np.log(over / whole)), 0.0)
+            state = (total >= min_count) & (np.add.reduceat(gain, first) >= kinds * np.log(total) / 2)
+        found[d] = {"of": of, "total": total, "kinds": kinds, "state": state, "context": context}
+    for d in range(depth, 2, -1):
+        x, y = found[d], found[d - 1]
+        y["state"][np.searchsorted(y["context"], x["context"][x["state"]] & np.uint64((1 << (8 * (d - 1))) - 1))] = True
+    a, b, deep = np.zeros(len(levels[2][0])), np.ones(len(levels[2][0])), found[2]["state"][found[2]["of"]]
+    for d in range(2, depth + 1):
+        if d > 2:
+            a, b, deep = a[up[d]], b[up[d]], deep[up[d]]
+        x = found[d]
+        of, state = x["of"], x["state"][x["of"]]
+        share = np.where(state, x["kinds"][of] / np.maximum(1, x["total"] + x["kinds"])[of], 1.0)
+        a = share * a + np.where(state, levels[d][1] / np.maximum(1, x["total"] + x["kinds"])[of], 0.0)
+        b = share * b
+    return a, b, deep
+
+
+def root_levels(pairs: np.ndarray, needed: np.ndarray, min_count: int) -> np.ndarray:
+    """p[c, s]: the probability of s given the last symbol c alone, where c is a state if it diverges or is needed."""
+    alone = pairs.sum(0)
+    p0 = (alone + 1) / (alone.sum() + 256)
+    total, kinds = pairs.sum(1), (pairs > 0).sum(1)
+    with np.errstate(divide="ignore", invalid="ignore"):
+        gain = np.where(pairs > 0, pairs * (np.log(pairs / total[:, None]) - np.log(alone / alone.sum())), 0.0).sum(1)
+        state = needed | ((total >= min_count) & (gain >= kinds * np.log(total) / 2))
+    blended = (pairs + kinds[:, None] * p0) / np.maximum(1, total + kinds)[:, None]
+    return np.where(state[:, None], blended, p0)
+
+
+def branches(counts: DataFrame, depth: int, min_count: int = MIN_COUNT) -> DataFrame:
+    """key, p: the probability of every run's last symbol after those before it; counts: key, n (repeated keys add up)."""
+    if depth < 2:
+        raise ValueError("contexts have two symbols or more")
+    spark = counts.sparkSession
+    total = common.materialize(counts.groupBy("key").agg(F.sum("n").alias("n")), "runs")
+    pairs = np.zeros((256, 256))
+    for r in total.groupBy(F.col("key").bitwiseAND(0xFFFF).alias("k")).agg(F.sum("n").alias("n")).collect():
+        pairs[r["k"] >> 8, r["k"] & 255] = r["n"]
+    buckets = max(1, -(-total.count() // BUCKET))
+
+    def solve(table):
+        key = table["key"].to_numpy().view(np.uint64)
+        order = np.argsort(key)
+        key = key[order]
+        a, b, deep = chain(key, table["n"].to_numpy()[order].astype(float), pairs, depth, min_count)
+        return pa.table({"key": pa.array(key.view(np.int64)), "a": pa.array(a), "b": pa.array(b), "deep": pa.array(deep)})
+
+    branch = F.pmod(F.xxhash64(F.shiftright("key", 8).bitwiseAND(0xFFFF)), F.lit(buckets)).cast("int")
+    solved = common.materialize(total.withColumn("branch", branch).groupBy("branch").applyInArrow(solve, "key long, a double, b double, deep boolean"), "states")
+    needed = np.zeros(256, bool)
+    for r in solved.where("deep").select(F.shiftright("key", 8).bitwiseAND(255).alias("c")).distinct().collect():
+        needed[r["c"]] = True
+    top = root_levels(pairs, needed, min_count)
+
+    def finish(batches):
+        for batch in batches:
+            key, a, b = (batch.column(i).to_numpy() for i in range(3))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(a + b * top[(key >> 8) & 255, key & 255])], ["key", "p"])
+
+    return solved.select("key", "a", "b").mapInArrow(finish, "key long, p double")
+
+
+def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, min_count: int = MIN_COUNT, head: int = HEAD) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (both log10 of the text's probability).
 
     Learns from the documents where `held_out` (a condition on doc_id) is false. Null and empty texts are the end sign alone.
@@ -235,14 +358,18 @@ def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, min_share: float
     empty table gives no rows.
     """
     spark = docs.sparkSession
-    train = docs.where(~held_out)
-    table = common.materialize(counted(train, depth), "counts")
-    sums = {r["kind"]: r for r in table.groupBy("kind").agg(F.sum("n").alias("n"), F.count("*").alias("v")).collect()}
-    texts_ = train.count()
-    tokens = (sums[0]["n"] if 0 in sums else 0) + texts_
-    kinds = (sums[0]["v"] if 0 in sums else 0) + (texts_ > 0)
-    tree = SuffixTree.build(depth, retained(table, sums[1]["n"] if 1 in sums else 0, depth, min_share))
-    vocabulary = table.where("kind = 0").select("key", "n")
+    rows = common.texts(docs).select("doc_id", "text", held_out.alias("held_out"))
+    size = rows.agg(F.sum(F.octet_length("text")).alias("bytes"), F.count(F.when(~F.col("held_out"), 1)).alias("train")).first()
+    groups, texts_ = max(1, -(-(size["bytes"] or 0) // GROUP)), size["train"]
+    # dealt by row number, so that neither repeated texts nor repeated ids gather; written, so that both readings agree
+    rows = common.materialize(rows.withColumn("group", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(groups)).cast("int")), "texts")
+    table = common.materialize(grouped_counts(rows, depth), "counts")
+    vocabulary = common.materialize(table.where("kind = 0").groupBy("key").agg(F.sum("n").alias("n")), "vocabulary")
+    sums = vocabulary.agg(F.sum("n").alias("n"), F.count("*").alias("v")).first()
+    tokens = (sums["n"] or 0) + texts_
+    kinds = sums["v"] + (texts_ > 0)
+    runs_ = table.where("kind = 1")
+    tree = branches(runs_.select("key", "n"), depth, min_count)
     # the smallest count that the head's room allows, from a histogram of counts (distinct ones are few: a root of the tokens)
     room, least = head, 1
     for r in vocabulary.groupBy("n").count().orderBy(F.desc("n")).toLocalIterator():
@@ -252,14 +379,19 @@ def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, min_share: float
         room -= r["count"]
     top = vocabulary.where(F.col("n") >= least).toPandas()
     order = np.argsort(top["key"].to_numpy(np.int64))
-    model = common.broadcast_of(spark, (tree, top["key"].to_numpy(np.int64)[order], np.log10(top["n"].to_numpy(float)[order] + 1)))
-    del tree, top, order  # the driver has little room
+    model = common.broadcast_of(spark, (top["key"].to_numpy(np.int64)[order], np.log10(top["n"].to_numpy(float)[order] + 1)))
+    del top, order  # the driver has little room
     ends = float(np.log10(texts_ + 1))
 
-    def run(batches):
-        tree, words_, logs = model.value
+    def run(left, right):
+        words_, logs = model.value
         keyed = common.process_cache("words", common.Keyed)
-        for batch in batches:
+        known_runs = right["key"].to_numpy().view(np.uint64)
+        order = np.argsort(known_runs)
+        known_runs, log_p = known_runs[order], np.log10(right["p"].to_numpy()[order])
+        del right, order
+        out = []
+        for batch in left.select(["doc_id", "text", "held_out"]).to_batches(max_chunksize=1000):
             for i, group in _slices(batch):
                 listed = [common.words(t) for t in group]
                 n, known, log, tail, times = [], [], [], [], []
@@ -273,17 +405,22 @@ def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, min_share: float
                     tail.append(h[~hit])
                     times.append(c[~hit].astype(np.int32))
                 streams = [stream(ws) for ws in listed]
-                key, inverse = np.unique(runs(streams, depth), return_inverse=True)
-                p = tree.log_probability(key)[inverse]
-                score = np.add.reduceat(p, np.cumsum([0] + [len(s) for s in streams[:-1]])) / np.log(10)
+                key = runs(streams, depth)
+                at = np.minimum(np.searchsorted(known_runs, key), len(known_runs) - 1)
+                if not (known_runs[at] == key).all():
+                    raise ValueError("a text has runs that its group was not counted with")
+                score = np.add.reduceat(log_p[at], np.cumsum([0] + [len(s) for s in streams[:-1]]))
                 part = batch.slice(i, len(group))
-                yield pa.RecordBatch.from_arrays(
-                    [part.column(0), part.column(2), pa.array(n, pa.int64()), pa.array(known, pa.int64()), pa.array(log, pa.float64()), pa.array(score), pa.array(tail, pa.list_(pa.int64())), pa.array(times, pa.list_(pa.int32()))],
-                    [c.split()[0] for c in SCORED.split(", ")],
+                out.append(
+                    pa.RecordBatch.from_arrays(
+                        [part.column(0), part.column(2), pa.array(n, pa.int64()), pa.array(known, pa.int64()), pa.array(log, pa.float64()), pa.array(score), pa.array(tail, pa.list_(pa.int64())), pa.array(times, pa.list_(pa.int32()))],
+                        [c.split()[0] for c in SCORED.split(", ")],
+                    )
                 )
+        return pa.Table.from_batches(out)
 
-    rows = common.texts(docs).select("doc_id", "text", held_out.alias("held_out"))
-    scored = common.materialize(rows.mapInArrow(run, SCORED).withColumn("row", F.monotonically_increasing_id()), "scored")
+    priced = runs_.select("group", "key").join(tree, "key").select("group", "key", "p")
+    scored = common.materialize(rows.groupBy("group").cogroup(priced.groupBy("group")).applyInArrow(run, SCORED).withColumn("row", F.monotonically_increasing_id()), "scored")
     if least > 1:
         tails = scored.select("row", F.explode(F.arrays_zip("tail", "times")).alias("x")).select("row", F.col("x.tail").alias("key"), F.col("x.times").alias("times"))
         rare = tails.join(vocabulary.where(F.col("n") < least), "key").groupBy("row").agg(F.sum("times").alias("tail_known"), F.sum(F.col("times") * F.log10(F.col("n") + 1)).alias("tail_log"))

@@ -382,6 +382,26 @@ def test_suffix_tree_is_a_distribution(spark):
     assert seen > 0.5 and len(tree.states) > 3
 
 
+def test_suffix_tree_tables_are_the_tree(spark, docs, monkeypatch):
+    monkeypatch.setattr(suffix_tree, "BUCKET", 3000)
+    counts = suffix_tree.counted(docs, 4)
+    total = counts.where("kind = 1").agg(F.sum("n")).first()[0]
+    tree = suffix_tree.SuffixTree.build(4, suffix_tree.retained(counts, total, 4, 2 / total))
+    unseen = spark.range(500).select((F.xxhash64("id").bitwiseAND((1 << 40) - 1)).alias("key"), F.lit(0).cast("long").alias("n"))
+    got = suffix_tree.branches(counts.where("kind = 1").select("key", "n").unionByName(unseen), 4).toPandas()
+    assert len(got) > 9000
+    want = tree.log_probability(got["key"].to_numpy(np.int64).view(np.uint64))
+    assert np.allclose(np.log(got["p"].to_numpy()), want, rtol=1e-9)
+
+
+def test_suffix_tree_keeps_rare_contexts_however_large_the_corpus(spark, monkeypatch):
+    monkeypatch.setattr(suffix_tree, "GROUP", 100_000)
+    rare, common_ = "zqxj zqxj zqxj", " ".join(["plain words of a long text"] * 300)
+    docs = documents(spark, [rare, rare] + [common_] * 100)
+    got = {r["doc_id"]: r["score"] for r in suffix_tree.text_scores(docs, F.lit(False)).collect()}
+    assert got[0] == pytest.approx(got[1]) and got[0] > -15  # under a share of 2e-5 of 780,000 symbols nothing of it was a state
+
+
 def test_runs_of_symbols():
     got = suffix_tree.runs([b"ab\n", b"c\n"], 2)
     assert [int(x).to_bytes(3, "big") for x in got] == [b"\n\na", b"\nab", b"ab\n", b"\n\nc", b"\nc\n"]
