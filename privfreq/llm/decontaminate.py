@@ -8,6 +8,7 @@ share of a perfect one, so edited and paraphrased copies score by what is left o
 
 from __future__ import annotations
 
+import unicodedata
 from functools import reduce
 
 import numpy as np
@@ -24,15 +25,29 @@ RARE, AT_LEAST = 1e-7, 12
 LEAK = 0.5
 #: Items held by a broadcast at a time; more are matched in further blocks.
 BLOCK = 20_000
-_CUT = bytes(c if chr(c).isalnum() or c > 127 else 32 for c in range(256))
+_CUT = bytes(c if chr(c).isalnum() else 32 for c in range(256))
 
 RESULT = "doc_id long, item_id long, score double, first_word int, last_word int, matched int"
 NAMES = [c.split()[0] for c in RESULT.split(", ")]
 
 
+class _Cut(dict):
+    """Letters, digits and the marks on them stay; everything else is a space."""
+
+    def __missing__(self, c: int) -> int:
+        value = self[c] = c if chr(c).isalnum() or unicodedata.category(chr(c))[0] == "M" else 32
+        return value
+
+
+_CUT_WIDE = _Cut()
+
+
 def spoken(text: bytes) -> list[bytes]:
-    """Lower-case words of letters and digits."""
-    return text.lower().translate(_CUT).split()
+    """Case-folded words of letters and digits of any script, in composed form (NFC)."""
+    if text.isascii():
+        return text.lower().translate(_CUT).split()
+    folded = unicodedata.normalize("NFC", text.decode(errors="replace")).casefold()
+    return unicodedata.normalize("NFC", folded).translate(_CUT_WIDE).encode().split()
 
 
 def align(item: np.ndarray, passage: np.ndarray) -> tuple[int, int, int, int]:

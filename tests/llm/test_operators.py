@@ -4,6 +4,7 @@ import hashlib
 import itertools
 import math
 import random
+import unicodedata
 import zlib
 from collections import Counter, defaultdict
 
@@ -352,6 +353,16 @@ def test_classifiers_without_labels(spark, docs, labels):
     assert quality.score(docs, none).agg(F.min("score")).first()[0] == 1.0
 
 
+def test_leak_of_an_accented_item_in_capitals(spark):
+    item = "Élodie prüft über Größe und Maß señor año déjà vécu naïve façade crème brûlée œuvre"
+    decomposed = unicodedata.normalize("NFD", item)
+    texts = [f"vorher {item.upper()} nachher", f"avant “{decomposed}” après", "Élodie und nichts weiter"]
+    bench = spark.createDataFrame([(1, item)], "item_id long, text string")
+    got = {r["doc_id"]: (r["score"], r["first_word"], r["last_word"]) for r in decontaminate.leaks(documents(spark, texts), bench).collect()}
+    n = len(item.split())
+    assert got == {0: (1.0, 1, n), 1: (1.0, 1, n)}
+
+
 # suffix tree
 
 
