@@ -39,15 +39,16 @@ DIGIT_NAMES = {
     for i, name in enumerate(names.split())
 } | {"oh": "0"}
 _NAME = "|".join(sorted(DIGIT_NAMES, key=len, reverse=True))
-#: Three or more digits in a row, at least two of them spelled, are a spelled number.
-SPELLED = re.compile(rf"(?<!\w)(?:(?:{_NAME}|[0-9])[ \-.,]{{1,3}}){{2,}}(?:{_NAME}|[0-9])(?!\w)", re.I)
-DIGIT = re.compile(rf"({_NAME}|[0-9])([ \-.,]*)", re.I)
 _AT = r"\s*[\[({<]\s*(?:at|@|arroba|chez)\s*[\])}>]\s*|\s+AT\s+"
 _DOT = r"\s*[\[({<]\s*(?:dot|\.|punkt|point|punto)\s*[\])}>]\s*|\s+DOT\s+"
+#: What may stand between spelled digits; a spelled or bracketed dot as well.
+_JOIN = rf"(?:{_DOT}|\s+(?:punkt|point|punto)\s+|[ \-.,]{{1,3}})"
+#: Three or more digits in a row, at least two of them spelled, are a spelled number; a "plus" before it is its sign.
+SPELLED = re.compile(rf"(?<!\w)(plus[ \-]{{1,3}}|más[ \-]{{1,3}})?(?:(?:{_NAME}|[0-9]){_JOIN}){{2,}}(?:{_NAME}|[0-9])(?!\w)", re.I)
+DIGIT = re.compile(rf"({_NAME}|[0-9])({_JOIN}?)", re.I)
 #: A bracketed sign counts anywhere; bare "at" only in "name at host dot word".
 BARE = re.compile(r"([A-Za-z0-9._%+-]+)(\s+at\s+|\s*@\s*)((?:[A-Za-z0-9-]+\s+dot\s+)+)([A-Za-z]{2,}(?![A-Za-z0-9]))", re.I)
 SIGNS = re.compile(f"(?P<at>{_AT})|(?P<dot>{_DOT})", re.I)
-HINT = re.compile(r"[\[({<]\s*(?:at|@|arroba|chez|dot|\.|punkt|point|punto)\s*[\])}>]|\sdot\s|\s@\s", re.I)
 
 
 def luhn(digits: str) -> bool:
@@ -121,11 +122,13 @@ def undigit(tape: Tape) -> Tape:
     for m in SPELLED.finditer(tape.text):
         if sum(not x[0].isdigit() for x in DIGIT.findall(m[0])) < 2:
             continue
+        if m[1]:
+            pieces.append((*m.span(1), "+"))
         for d in DIGIT.finditer(m[0]):
             start, end = m.start() + d.start(), m.start() + d.start() + len(d[1])
             pieces.append((start, end, d[1] if d[1].isdigit() else DIGIT_NAMES[d[1].lower()]))
             if d[2] and m.start() + d.end() < m.end():
-                pieces.append((end, m.start() + d.end(), "." if "." in d[2] else ""))
+                pieces.append((end, m.start() + d.end(), "." if "." in d[2] or any(c.isalpha() for c in d[2]) else ""))
     return tape.rewritten(pieces) if pieces else tape
 
 
@@ -140,19 +143,20 @@ def unsign(tape: Tape) -> Tape:
 
 
 _DIGIT_WORDS = {*DIGIT_NAMES, *"0123456789"}
-_HINTS = ("dot", "punkt", "point", "punto", "@")
+_DOT_WORDS = {"dot", "punkt", "point", "punto"}
+_WORDS = re.compile(r"\w+")
 
 
 def disguised(text: str) -> bool:
-    """Whether any transducer could change the text; cheap tests of the whole text before the patterns."""
-    if not text.isascii() and (ODD.search(text) or "\xad" in text):
+    """Whether any transducer could change the text: the patterns of the transducers, behind cheap tests that pass all they match."""
+    if not text.isascii() and (ODD.search(text) or INVISIBLE.search(text)):
         return True
-    low = text.lower()
-    if (any(c in low for c in "[({<") or any(h in low for h in _HINTS)) and HINT.search(text):
+    low = text.casefold()
+    if ("at" in low or "@" in low or "dot" in low or any(c in low for c in "[({<")) and (SIGNS.search(text) or ("dot" in low and BARE.search(text))):
         return True
-    for c in "-.,()[]+:;/\"'":
-        low = low.replace(c, " ")
-    return b"\1\1\1" in bytes(map(_DIGIT_WORDS.__contains__, low.split())) and SPELLED.search(text) is not None
+    # each digit of a spelled number is a word of its own, with nothing but signs and dots between
+    found = [w for w in _WORDS.findall(low) if w not in _DOT_WORDS]
+    return b"\1\1\1" in bytes(map(_DIGIT_WORDS.__contains__, found)) and SPELLED.search(text) is not None
 
 
 def all_spans(text: str) -> tuple[dict[str, list[tuple[int, int]]], dict[str, list[tuple[int, int]]]]:

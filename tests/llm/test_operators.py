@@ -125,6 +125,20 @@ def test_pii_disguises():
         assert set(base[kind]) <= set(found[kind])
 
 
+def test_pii_each_disguise_alone():
+    cases = {
+        "john AT example.com": ("email", "john AT example.com"),
+        "at one nine two dot one six eight dot one dot one now": ("ip", "one nine two dot one six eight dot one dot one"),
+        "one zero dot zero dot zero dot one": ("ip", "one zero dot zero dot zero dot one"),
+        "“one zero (dot) zero [.] zero dot one”": ("ip", "one zero (dot) zero [.] zero dot one"),
+        "call plus one three zero one five five five zero three four six": ("phone", "plus one three zero one five five five zero three four six"),
+    }
+    for text, (kind, want) in cases.items():
+        _, found = pii.all_spans(text)
+        assert want in [text[a:b] for a, b in found[kind]], text
+    assert pii.all_spans("one plus one is two, one point five")[1] == {k: [] for k in pii.KINDS}
+
+
 def test_pii_leaves_plain_text_alone():
     for text in ("One of two or three dots at home.", "un deux trois", "meet at noon (at the dot)", "1.2.3.4.5 +1 23"):
         base, found = pii.all_spans(text)
