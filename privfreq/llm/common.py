@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import pickle
 import sys
 import tempfile
@@ -21,14 +24,29 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none (tests)."""
+    """The folder that driver and executors share. A temporary one only in local mode, where the session names none (tests)."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         found = f"file://{tempfile.mkdtemp(prefix='privfreq-')}"
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
 
 
+_made: list[list[DataFrame]] = []
+
+
+@contextlib.contextmanager
+def temporary():
+    """Tables of materialize() made inside are deleted at the end: for steps whose result is written elsewhere by then."""
+    _made.append([])
+    try:
+        yield
+    finally:
+        discard(*_made.pop())
+
+
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """Write df as Parquet in the shared folder and read it back: cuts the lineage, and survives lost executors."""
     spark = df.sparkSession
@@ -36,6 +54,8 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._shared_path = path
+    if _made:
+        _made[-1].append(out)
     return out
 
 
@@ -72,9 +92,41 @@ def words(text: bytes) -> list[bytes]:
     return text.lower().split()
 
 
+def _store() -> dict:
+    return sys.__dict__.setdefault("_privfreq_cache", {})
+
+
+def claim(owner: str) -> None:
+    """Called where an operator's code begins in a worker process: what other operators kept there goes."""
+    store = _store()
+    if store.get("owner") != owner:
+        store.clear()
+        store["owner"] = owner
+        free()
+
+
+def free() -> None:
+    """Give memory that nothing holds back to the system."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+
+def mapped(df: DataFrame, run, schema: str) -> DataFrame:
+    """df.mapInArrow, in workers that keep nothing of other operators."""
+    owner = run.__module__
+
+    def whole(batches):
+        claim(owner)
+        yield from run(batches)
+
+    return df.mapInArrow(whole, schema)
+
+
 def process_cache(key: str, make):
-    """One object for each worker process, kept across its tasks."""
-    store = sys.__dict__.setdefault("_privfreq_cache", {})
+    """One object for each worker process, kept across the tasks of one operator."""
+    store = _store()
     if key not in store:
         store[key] = make()
     return store[key]
@@ -83,7 +135,7 @@ def process_cache(key: str, make):
 class Keyed(dict):
     """word -> 64-bit hash, computed once for each word; emptied when it holds too many."""
 
-    limit = 600_000
+    limit = 250_000
 
     def __missing__(self, word: bytes) -> int:
         import xxhash
@@ -115,7 +167,7 @@ def shingles(tokens: list[bytes], width: int, keyed: Keyed) -> np.ndarray:
 
 
 class Shared:
-    """A broadcast whose value travels by cloudpickle, as functions do; the last few stay unpacked in each worker process."""
+    """A broadcast whose value travels by cloudpickle, as functions do; the newest stays unpacked in each worker process."""
 
     def __init__(self, spark: SparkSession, value):
         self.name = uuid.uuid4().hex
@@ -125,9 +177,9 @@ class Shared:
     def value(self):
         held = process_cache("shared", dict)
         if self.name not in held:
-            while len(held) > 3:
-                del held[next(iter(held))]
+            held.clear()
             held[self.name] = pickle.loads(self.sent.value)
+            self.sent.__dict__.pop("_value", None)  # the packed form is read again where it is needed
         return held[self.name]
 
 

@@ -146,7 +146,7 @@ def word_shares(docs: DataFrame, vocabulary: set[bytes]) -> dict[bytes, float]:
                 counts.update(filter(known.value.__contains__, words))
         yield pa.RecordBatch.from_arrays([pa.array([b"", *counts], pa.binary()), pa.array([total, *counts.values()], pa.int64())], ["word", "n"])
 
-    rows = common.texts(docs).select("text").mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")).collect()
+    rows = common.mapped(common.texts(docs).select("text"), run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")).collect()
     counts = {bytes(r["word"]): r["n"] for r in rows}
     total = max(1, counts.pop(b"", 0))
     return {w: n / total for w, n in counts.items()}
@@ -189,7 +189,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, at_least: float = LEAK) -> Data
                 kinds = (pa.int64(), pa.int64(), pa.float64(), pa.int32(), pa.int32(), pa.int32())
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], NAMES)
 
-        parts.append(common.texts(docs).mapInArrow(run, RESULT))
+        parts.append(common.mapped(common.texts(docs), run, RESULT))
     return reduce(DataFrame.unionByName, parts)
 
 

@@ -66,12 +66,12 @@ def fingerprints(docs: DataFrame, k: int = K, width: int = WIDTH) -> DataFrame:
     """doc_id, fingerprint of each row, null texts as empty ones."""
 
     def run(batches):
-        keyed = common.process_cache("words", common.Keyed)
+        keyed = common.Keyed()
         for batch in batches:
             made = [to_text(sketch(x, keyed, k, width)) for x in common.raw(batch.column(1))]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(made, pa.string())], ["doc_id", "fingerprint"])
 
-    return common.texts(docs).mapInArrow(run, "doc_id long, fingerprint string")
+    return common.mapped(common.texts(docs), run, "doc_id long, fingerprint string")
 
 
 def merged(prints: DataFrame, group: str, k: int = K) -> DataFrame:
@@ -113,8 +113,8 @@ def merged(prints: DataFrame, group: str, k: int = K) -> DataFrame:
                 out = {}
         yield rows(out if held is None else out | {key: held})
 
-    once = prints.select(group, "fingerprint").mapInArrow(partial, schema)
-    return once.repartition(group).sortWithinPartitions(group).mapInArrow(whole, schema)
+    once = common.mapped(prints.select(group, "fingerprint"), partial, schema)
+    return common.mapped(once.repartition(group).sortWithinPartitions(group), whole, schema)
 
 
 def edit(text: str, following: str) -> str:
@@ -150,17 +150,18 @@ def with_next(docs: DataFrame) -> DataFrame:
     table = common.broadcast_of(spark, before)
 
     def deal(batches):
+        bounds, ghost_of = cuts.value, table.value
         for batch in batches:
             at = batch.column(2).to_numpy(zero_copy_only=False)
-            bucket = np.searchsorted(cuts.value, at, "right").astype(np.int32)
-            ghosts = [i for i, a in enumerate(at.tolist()) if a in table.value]
+            bucket = np.searchsorted(bounds, at, "right").astype(np.int32)
+            ghosts = [i for i, a in enumerate(at.tolist()) if a in ghost_of]
             where = pa.array(np.concatenate([np.arange(len(at)), np.array(ghosts, np.int64)]))
             out = pa.RecordBatch.from_arrays(batch.columns[:3], ["doc_id", "text", "at"]).take(where)
-            to = np.concatenate([bucket, np.array([table.value[int(at[i])] for i in ghosts], np.int32)])
+            to = np.concatenate([bucket, np.array([ghost_of[int(at[i])] for i in ghosts], np.int32)])
             # the head of all, as the last range's ghost, sorts behind it; others do so by their ids
             yield pa.RecordBatch.from_arrays([pa.array(to), pa.array(np.arange(len(to)) >= len(at)), *out.columns], ["bucket", "ghost", "doc_id", "text", "at"])
 
-    dealt = rows.mapInArrow(deal, "bucket int, ghost boolean, doc_id long, text string, at long").repartition(n, "bucket")
+    dealt = common.mapped(rows, deal, "bucket int, ghost boolean, doc_id long, text string, at long").repartition(n, "bucket")
     return dealt.sortWithinPartitions("bucket", "ghost", "at", F.xxhash64("text")).select("bucket", "ghost", "doc_id", "text")
 
 
@@ -172,7 +173,7 @@ def edited_likeness(docs: DataFrame, k: int = K, width: int = WIDTH) -> DataFram
     """
 
     def run(batches):
-        keyed = common.process_cache("words", common.Keyed)
+        keyed = common.Keyed()
         columns: tuple[list, ...] = ([], [], [], [], [], [], [])
 
         def rows(batches):
@@ -204,7 +205,7 @@ def edited_likeness(docs: DataFrame, k: int = K, width: int = WIDTH) -> DataFram
             held = None if ghost else (doc, text, own)
         yield flush()
 
-    return with_next(docs).mapInArrow(run, RESULT)
+    return common.mapped(with_next(docs), run, RESULT)
 
 
 NAMES = [c.split()[0] for c in RESULT.split(", ")]

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -12,6 +13,8 @@ from . import common
 WINDOW = 3
 #: Documents with covered lines that a broadcast may hold (with four times as many windows); more are joined by shuffle.
 BROADCAST_ROWS = 500_000
+#: Windows that a task holds before it gives them out.
+MOST_WINDOWS = 50_000
 
 
 def solid_lines(text: str) -> tuple[list[str], list[int]]:
@@ -31,19 +34,29 @@ def repeated_windows(rows: DataFrame, window: int = WINDOW) -> DataFrame:
     def cut(batches):
         import xxhash
 
+        def rows(held):
+            first = np.concatenate([np.arange(len(h) // 16, dtype=np.int32) for _, _, h in held]) if held else np.empty(0, np.int32)
+            sizes = [len(h) // 16 for _, _, h in held]
+            hashes = np.frombuffer(b"".join(h for _, _, h in held), ">i8").astype(np.int64).reshape(-1, 2)
+            d, k = (np.repeat(np.array([x[i] for x in held], np.int64), sizes) for i in (0, 1))
+            return pa.RecordBatch.from_arrays([*map(pa.array, (d, k, first, hashes[:, 0], hashes[:, 1]))], ["d", "k", "first", "h1", "h2"])
+
+        held, n = [], 0
         for batch in batches:
-            columns: tuple[list, ...] = ([], [], [], [], [])
-            for d, k, text in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
-                lines, solid = solid_lines(text)
+            ids, keys, column = batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2)
+            for i in range(len(batch)):
+                lines, solid = solid_lines(column[i].as_py())
                 digests = [xxhash.xxh3_128_digest(lines[i].strip(" ").encode()) for i in solid]
-                for first in range(len(solid) - window + 1):
-                    h = xxhash.xxh3_128_digest(b"".join(digests[first : first + window]))
-                    for column, value in zip(columns, (d, k, first, int.from_bytes(h[:8], "big", signed=True), int.from_bytes(h[8:], "big", signed=True)), strict=True):
-                        column.append(value)
-            kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], ["d", "k", "first", "h1", "h2"])
-
-    seen = common.materialize(rows.select("d", "k", "text").mapInArrow(cut, "d long, k long, first int, h1 long, h2 long"), "windows")
+                windows = [xxhash.xxh3_128_digest(b"".join(digests[j : j + window])) for j in range(len(solid) - window + 1)]
+                if windows:
+                    held.append((ids[i], keys[i], b"".join(windows)))
+                    n += len(windows)
+                if n > MOST_WINDOWS:
+                    yield rows(held)
+                    held, n = [], 0
+        yield rows(held)
+
+    seen = common.materialize(common.mapped(rows.select("d", "k", "text"), cut, "d long, k long, first int, h1 long, h2 long"), "windows")
     where = F.struct("d", "k", "first")
     origin = seen.groupBy("h1", "h2").agg(F.min(where).alias("origin"), F.max(where).alias("last")).where("origin <> last").select("h1", "h2", "origin")
     origin = common.materialize(origin, "repeated")
@@ -70,6 +83,7 @@ def without_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
 
     @F.pandas_udf("text string, n_lines int, lines_removed int")
     def rewrite(texts: pd.Series, firsts: pd.Series) -> pd.DataFrame:
+        common.claim(__name__)
         out = []
         for text, first in zip(texts, firsts, strict=True):
             if text is None:

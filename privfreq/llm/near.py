@@ -59,7 +59,7 @@ def signatures(docs: DataFrame, width: int) -> DataFrame:
     table = permutation_table()
 
     def run(batches):
-        keyed = common.process_cache("words", common.Keyed)
+        keyed = common.Keyed()
         for batch in batches:
             n, sig, bands = [], [], []
             for text in common.raw(batch.column(1)):
@@ -69,7 +69,7 @@ def signatures(docs: DataFrame, width: int) -> DataFrame:
                 bands.append(band_keys(min_max_signature(s, table)) if len(s) else None)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(sig, pa.binary()), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "n_shingles", "sig", "bands"])
 
-    return common.texts(docs).mapInArrow(run, "doc_id long, n_shingles long, sig binary, bands array<bigint>")
+    return common.mapped(common.texts(docs), run, "doc_id long, n_shingles long, sig binary, bands array<bigint>")
 
 
 def full_sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
@@ -83,7 +83,7 @@ def full_sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
         rows = rows.join(ids.withColumnRenamed("node", "doc_id"), "doc_id", "left_semi").select("doc_id", "text")
 
     def run(batches):
-        keyed = common.process_cache("words", common.Keyed)
+        keyed = common.Keyed()
         for batch in batches:
             batch = batch.filter(batch.column(0).is_valid())
             if wanted is not None:
@@ -95,7 +95,7 @@ def full_sets(docs: DataFrame, ids: DataFrame, width: int) -> DataFrame:
                 sets = [common.shingles(common.words(x), width, keyed).tobytes() for x in common.raw(part.column(1))]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sets, pa.binary())], ["node", "hashes"])
 
-    return rows.mapInArrow(run, "node long, hashes binary")
+    return common.mapped(rows, run, "node long, hashes binary")
 
 
 def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -113,7 +113,7 @@ def confirmed(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     first = pairs.join(sets.select(F.col("node").alias("a"), F.col("hashes").alias("x")), "a")
     both = first.join(sets.select(F.col("node").alias("b"), F.col("hashes").alias("y")), "b").select("a", "b", "x", "y")
     size = F.least(F.length("x"), F.length("y")) * 100 >= F.greatest(F.length("x"), F.length("y")) * percent
-    return both.where(size).mapInArrow(run, "a long, b long").distinct()
+    return common.mapped(both.where(size), run, "a long, b long").distinct()
 
 
 def prefix_pairs(open_sets: DataFrame, percent: int) -> DataFrame:
@@ -131,7 +131,7 @@ def prefix_pairs(open_sets: DataFrame, percent: int) -> DataFrame:
                 full = [np.full(len(t), v) for v in (node.as_py(), comp.as_py(), len(t))]
                 yield pa.RecordBatch.from_arrays([*(pa.array(v, pa.int64()) for v in full), pa.array(t)], ["node", "comp", "n", "token"])
 
-    tokens = open_sets.select("node", "comp", "hashes").mapInArrow(spell, "node long, comp long, n long, token long")
+    tokens = common.mapped(open_sets.select("node", "comp", "hashes"), spell, "node long, comp long, n long, token long")
     tokens = common.materialize(tokens, "tokens")
     shared = common.materialize(tokens.groupBy("token").agg(F.count("*").alias("df")).where("df > 1"), "shared")
     lists = tokens.join(shared, "token").groupBy("node", "comp", "n").agg(F.array_sort(F.collect_list(F.struct("df", "token"))).alias("s"))
@@ -177,7 +177,7 @@ def components(edges: DataFrame) -> DataFrame:
                 node, comp = joined_up(*(np.concatenate(x).astype(np.int64) for x in zip(*parts, strict=True)))
                 yield pa.RecordBatch.from_arrays([pa.array(node), pa.array(comp)], ["node", "comp"])
 
-        return edges.select("a", "b").coalesce(1).mapInArrow(whole, "node long, comp long")
+        return common.mapped(edges.select("a", "b").coalesce(1), whole, "node long, comp long")
     return star_components(edges)
 
 

@@ -37,7 +37,7 @@ class Encoder:
     through the tokenizer whole.
     """
 
-    limit = 800_000
+    limit = 400_000
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer, normalizers, pre_tokenizers
@@ -102,7 +102,7 @@ def tokenized_pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPAC
             kinds = (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], PIECE_NAMES)
 
-    return common.texts(docs).mapInArrow(run, PIECES)
+    return common.mapped(common.texts(docs), run, PIECES)
 
 
 PIECE_NAMES = ["doc_id", "piece", "start", "length", "ids_crc32"]
@@ -179,7 +179,7 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
             bins, slots = np.divmod(rank - run[:, 1], run[:, 4])
             yield pa.RecordBatch.from_arrays([*batch.columns[:5], pa.array(run[:, 3] + bins), pa.array(run[:, 5] + slots * length)], [*PIECE_NAMES, "sequence_id", "offset"])
 
-    return ranked.select(*PIECE_NAMES, (F.col("rank") + F.col("before")).cast("long").alias("rank")).mapInArrow(place, PLACED)
+    return common.mapped(ranked.select(*PIECE_NAMES, (F.col("rank") + F.col("before")).cast("long").alias("rank")), place, PLACED)
 
 
 def vocabulary_path(name: str = "word_bpe_49k.json") -> str:

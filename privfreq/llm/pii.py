@@ -204,7 +204,7 @@ def personal_data(docs: DataFrame) -> DataFrame:
             kinds = [pa.int64()] * 4 + [pa.string()] * 2 + [pa.int64()]
             yield pa.RecordBatch.from_arrays([batch.column(0), *map(pa.array, columns, kinds)], NAMES)
 
-    return common.texts(docs).mapInArrow(run, RESULT)
+    return common.mapped(common.texts(docs), run, RESULT)
 
 
 def masked(docs: DataFrame) -> DataFrame:
@@ -223,7 +223,7 @@ def masked(docs: DataFrame) -> DataFrame:
                 out.append("".join([*parts, text[at:]]))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.string())], ["doc_id", "text"])
 
-    return common.texts(docs).mapInArrow(run, "doc_id long, text string")
+    return common.mapped(common.texts(docs), run, "doc_id long, text string")
 
 
 def op4_pii_spans(spark: SparkSession, sf_dir: str) -> DataFrame:

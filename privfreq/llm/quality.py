@@ -101,7 +101,7 @@ def score(docs: DataFrame, labels: DataFrame, label: str = "quality", held_out=N
             rows = [features(x) for x in common.raw(batch.column(1))]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, pa.list_(pa.float64()))], ["doc_id", "x"])
 
-    table = common.materialize(common.texts(docs).mapInArrow(measure, "doc_id long, x array<double>"), "quality")
+    table = common.materialize(common.mapped(common.texts(docs), measure, "doc_id long, x array<double>"), "quality")
     learned = table.join(F.broadcast(common.materialize(chosen, "examples")), "doc_id").groupBy("doc_id").agg(F.min(F.struct("x", "label")).alias("r")).collect()
     learned.sort(key=lambda r: r["doc_id"])
     y = np.array([r["r"]["label"] for r in learned], np.int64)
@@ -122,7 +122,7 @@ def score(docs: DataFrame, labels: DataFrame, label: str = "quality", held_out=N
             flat = batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(len(batch), -1)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(((bend(flat) - center) / scale) @ w)], ["doc_id", "rank_score"])
 
-    ranked = table.mapInArrow(rank, "doc_id long, rank_score double")
+    ranked = common.mapped(table, rank, "doc_id long, rank_score double")
     # the level: that of the cut which splits the examples best, both labels weighing alike
     s = z @ w
     order = np.sort(s)

@@ -112,7 +112,7 @@ def counted(docs: DataFrame, depth: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), kind, np.int32)), pa.array(part.view(np.int64)), pa.array(n[i : i + 200_000])], ["kind", "key", "n"])
 
     def run(batches):
-        keyed = common.process_cache("words", common.Keyed)
+        keyed = common.Keyed()
         words_, runs_ = Tally(), Tally()
         for batch in batches:
             for group in chunks(common.raw(batch.column(1))):
@@ -125,7 +125,7 @@ def counted(docs: DataFrame, depth: int) -> DataFrame:
         yield from rows(0, words_)
         yield from rows(1, runs_)
 
-    return common.texts(docs).mapInArrow(run, "kind int, key long, n long").groupBy("kind", "key").agg(F.sum("n").alias("n"))
+    return common.mapped(common.texts(docs), run, "kind int, key long, n long").groupBy("kind", "key").agg(F.sum("n").alias("n"))
 
 
 class SuffixTree:
@@ -240,7 +240,7 @@ def grouped_counts(rows: DataFrame, depth: int) -> DataFrame:
     """kind, group, key, n: words of the training texts (0) and runs of all texts (1; n counts the training texts only)."""
 
     def run(table):
-        keyed = common.process_cache("words", common.Keyed)
+        keyed = common.Keyed()
         words_, runs_ = Tally(), Tally()
         for text, held in ((c["text"], c["held_out"]) for c in table.select(["text", "held_out"]).to_batches(max_chunksize=1000)):
             pairs = list(zip(common.raw(text), held.to_pylist(), strict=True))
@@ -347,7 +347,7 @@ def branches(counts: DataFrame, depth: int, min_count: int = MIN_COUNT) -> DataF
             key, a, b = (batch.column(i).to_numpy() for i in range(3))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(a + b * top[(key >> 8) & 255, key & 255])], ["key", "p"])
 
-    return solved.select("key", "a", "b").mapInArrow(finish, "key long, p double")
+    return common.mapped(solved.select("key", "a", "b"), finish, "key long, p double")
 
 
 def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, min_count: int = MIN_COUNT, head: int = HEAD) -> DataFrame:
@@ -385,7 +385,7 @@ def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, min_count: int =
 
     def run(left, right):
         words_, logs = model.value
-        keyed = common.process_cache("words", common.Keyed)
+        keyed = common.Keyed()
         known_runs = right["key"].to_numpy().view(np.uint64)
         order = np.argsort(known_runs)
         known_runs, log_p = known_runs[order], np.log10(right["p"].to_numpy()[order])

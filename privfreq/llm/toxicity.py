@@ -161,7 +161,7 @@ def select_terms(sample: DataFrame, most: int = TERMS) -> list[bytes]:
     all_ = F.lit(float(n0 + n1))
     cross = a * F.lit(float(n1)) - b * F.lit(float(n0))
     chi2 = all_ * cross * cross / (F.lit(float(n0)) * F.lit(float(n1)) * (a + b) * (all_ - a - b + 0.5))
-    counted = sample.mapInArrow(rows, "term binary, a long, b long").groupBy("term").agg(F.sum("a").cast("double").alias("a"), F.sum("b").cast("double").alias("b"))
+    counted = common.mapped(sample, rows, "term binary, a long, b long").groupBy("term").agg(F.sum("a").cast("double").alias("a"), F.sum("b").cast("double").alias("b"))
     best = counted.where(a + b >= MIN_EXAMPLES).withColumn("chi2", chi2).where(F.col("chi2") >= CHI2).orderBy(F.desc("chi2"), "term").limit(most)
     return [bytes(r["term"]) for r in best.select("term").collect()]
 
@@ -194,7 +194,7 @@ def score(docs: DataFrame, labels: DataFrame, label: str = "toxic", held_out=Non
                 out_counts.append([found[i] for i in listed])
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out_terms, pa.list_(pa.int32())), pa.array(out_counts, pa.list_(pa.int32()))], ["doc_id", "terms", "counts"])
 
-    table = common.materialize(common.texts(docs).mapInArrow(vectors, "doc_id long, terms array<int>, counts array<int>"), "vectors")
+    table = common.materialize(common.mapped(common.texts(docs), vectors, "doc_id long, terms array<int>, counts array<int>"), "vectors")
     n = table.count()
     df = np.zeros(len(terms))
     for r in table.select(F.explode("terms").alias("t")).groupBy("t").count().collect():
@@ -245,7 +245,7 @@ def score(docs: DataFrame, labels: DataFrame, label: str = "toxic", held_out=Non
                 evidence.append(e)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(scores, pa.float64()), pa.array(evidence, pa.list_(pa.int64()))], ["doc_id", "score", "evidence"])
 
-    return table.mapInArrow(judge, "doc_id long, score double, evidence array<bigint>")
+    return common.mapped(table, judge, "doc_id long, score double, evidence array<bigint>")
 
 
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
