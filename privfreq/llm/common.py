@@ -113,6 +113,14 @@ def free() -> None:
         ctypes.CDLL("libc.so.6").malloc_trim(0)
 
 
+def reuse_memory() -> None:
+    """Let this process keep what it frees for its next arrays, until free(): for code that makes large ones all the time."""
+    with contextlib.suppress(OSError, AttributeError):
+        libc = ctypes.CDLL("libc.so.6")
+        libc.mallopt(-1, 192 << 20)  # M_TRIM_THRESHOLD
+        libc.mallopt(-3, 32 << 20)  # M_MMAP_THRESHOLD
+
+
 def mapped(df: DataFrame, run, schema: str) -> DataFrame:
     """df.mapInArrow, in workers that keep nothing of other operators."""
     owner = run.__module__
@@ -153,6 +161,51 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
+#: A random number for each byte, and the base of the polynomial in which a word's hash has them as coefficients.
+_BYTE = mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+_BASE = np.uint64(0xD1342543DE82EF95)
+
+
+def word_hashes(texts: list[bytes], edges: bytes = b"") -> tuple[np.ndarray, np.ndarray]:
+    """Text number and 64-bit hash of every word (see words()), in order; without the signs `edges` at either end.
+
+    Words of such signs alone are none. All words are hashed together; hand in a megabyte or so at a time.
+    """
+    data = np.frombuffer(b"\n".join(texts).lower(), np.uint8)
+    kind = np.full(256, 2, np.uint8)
+    kind[list(edges)] = 1
+    kind[[32, 9, 10, 11, 12, 13]] = 0
+    kind = kind[data]
+    solid = np.flatnonzero(kind == 2)
+    if not len(solid):
+        return np.empty(0, np.int64), np.empty(0, np.uint64)
+    inside = kind > 0
+    begins = inside.copy()
+    begins[1:] &= ~inside[:-1]
+    word = np.cumsum(begins)[solid]
+    new = np.flatnonzero(np.diff(word, prepend=0))
+    first = solid[new]
+    length = np.append(solid[new[1:] - 1], solid[-1]) - first + 1
+    start = np.cumsum(length) - length
+    place = np.arange(int(length.sum())) - np.repeat(start, length)
+    powers = np.cumprod(np.concatenate([[np.uint64(1)], np.full(int(length.max()) - 1, _BASE)]), dtype=np.uint64)
+    values = _BYTE[data[place + np.repeat(first, length)]] * powers[place]
+    begin = np.cumsum([0] + [len(t) + 1 for t in texts[:-1]])
+    return np.searchsorted(begin, first, "right") - 1, mix(np.add.reduceat(values, start))
+
+
+def pieces(texts: list[bytes], size: int = 1 << 20):
+    """(from, to) for runs of texts of about `size` bytes; a longer text stands alone."""
+    at, n = 0, 0
+    for i, t in enumerate(texts):
+        if i > at and n + len(t) > size:
+            yield at, i
+            at, n = i, 0
+        n += len(t)
+    if at < len(texts):
+        yield at, len(texts)
+
+
 def shingles(tokens: list[bytes], width: int, keyed: Keyed) -> np.ndarray:
     """Sorted distinct 64-bit hashes of the runs of `width` words; fewer words are one run, none give none."""
     n = len(tokens)

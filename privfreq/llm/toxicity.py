@@ -1,17 +1,20 @@
 """Toxicity by the nearest labelled examples: exact TF-IDF cosine over a block-max inverted index.
 
-The examples are a bounded, hashed choice of labelled rows. The terms are words that differ between toxic and other
-examples (chi-squared), at most `TERMS`, so every index structure has a proven size. Document frequencies are counted over
-the whole corpus. The index cuts the examples into blocks and keeps, for each term and block, its largest weight: the sum
-over a query's terms bounds every example of a block, blocks are visited by falling bound, and the visit ends when no
-block can change the k nearest. Neighbours vote with weights that fall with distance; a logistic curve fitted on
-leave-one-out votes of the examples calibrates the vote. The nearest examples come along as evidence.
+Terms are the words of a text without outer signs; every one counts, in the vectors and in their norms. A weight is
+(1 + log tf) * idf, times a relevance between FLOOR and 1 that the word's correlation with the label gives (a word that
+says nothing about the label keeps FLOOR). Document frequencies are counted over the whole corpus; a word that fewer than a
+share RAREST of the documents have is as rare as any, so the words whose frequency must be known are bounded.
+
+The examples are a bounded, hashed choice of labelled rows. The index has all their terms. It cuts the examples, ordered
+by their commonest words, into blocks. Rare terms have posting lists, whose sums are made exactly; for frequent terms the
+index keeps the largest weight in each block. Both together bound every example of a block: the best blocks of a batch of
+texts are scored first, then all blocks that could still change anyone's k nearest. Neighbours vote with weights that fall
+with distance; a logistic curve fitted on leave-one-out votes of the examples calibrates the vote. The nearest examples
+come along as evidence.
 """
 
 from __future__ import annotations
 
-from collections import Counter
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -19,92 +22,177 @@ from pyspark.sql import functions as F
 
 from . import common
 
-#: Examples of each label that the index may hold, and the most terms that it may have.
-EXAMPLES, TERMS = 8000, 8192
-#: Smallest chi-squared (one degree of freedom) and number of examples for a term.
-CHI2, MIN_EXAMPLES = 12.0, 4
-NEIGHBOURS, BLOCK = 15, 64
+#: Examples of each label that the index may hold, and how many of all are voted on to calibrate (every n-th of them).
+EXAMPLES, CALIBRATION = 8000, 3000
+#: Relevance of a word without any, squared correlation with the label of a word with all; share of documents of the rarest words.
+FLOOR, FULL, RAREST = 0.05, 1 / 60, 2e-5
+#: Chi-squared that chance gives some word.
+CHANCE = 8.0
+#: Neighbours, examples in a block, terms with block maxima, texts scored at a time.
+NEIGHBOURS, BLOCK, FREQUENT, BATCH = 15, 64, 1024, 96
+#: Postings added up at a time, and blocks scored at a time.
+POSTINGS, SLAB = 500_000, 64
 #: Distance at which a neighbour's vote is halved, and the votes that the base rate has.
 SOFT, PRIOR_VOTES = 0.1, 0.5
-#: Bytes of a word's beginning; counts at which a term counts once more.
-START, LEVELS = 6, (2, 3, 5)
 STRIP = b".,;:!?\"'()[]{}<>|&%$#*-+=/\\`~_^@"
+_ID_BITS = 21
+
+
+_ROW_BITS = 12
+
+
+def flat(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """row, term, count of all terms of up to 4096 texts, by row; a term is a hash of 52 bits."""
+    row, word = common.word_hashes(texts, STRIP)
+    key, count = np.unique((row.astype(np.uint64) << np.uint64(64 - _ROW_BITS)) | (word >> np.uint64(_ROW_BITS)), return_counts=True)
+    return (key >> np.uint64(64 - _ROW_BITS)).astype(np.int64), (key & np.uint64((1 << (64 - _ROW_BITS)) - 1)).astype(np.int64), count
+
+
+def look_up(table: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Places of keys in a sorted table, and which are there."""
+    if not len(table):
+        return np.zeros(len(keys), np.int64), np.zeros(len(keys), bool)
+    at = np.minimum(np.searchsorted(table, keys), len(table) - 1)
+    return at, table[at] == keys
+
 
+class Weighting:
+    """Term weights: idf of the words whose frequency matters (sorted hashes), relevance of the examples' terms (sorted)."""
 
-def terms_of(text: bytes) -> dict[bytes, int]:
-    """How often each term occurs: words, beginnings of words (marked ^), and either once more for each LEVEL it reaches.
+    def __init__(self, n: int, words: np.ndarray, counts: np.ndarray, terms: np.ndarray, relevance: np.ndarray):
+        least = max(1.0, n * RAREST)
+        self.words, self.idf = words, (np.log((1 + n) / (1 + np.maximum(counts, least))) + 1).astype(np.float32)
+        self.rare = float(np.log((1 + n) / (1 + least)) + 1)
+        self.terms, self.relevance = terms, relevance.astype(np.float32)
 
-    Beginnings catch inflected and compound forms; levels let repetition count where length-free cosines would lose it.
+    def unit(self, row: np.ndarray, term: np.ndarray, count: np.ndarray, n: int) -> tuple[np.ndarray, ...]:
+        """row, number, count and weight of the terms that the index has, in vectors of length 1 over all terms."""
+        at, known = look_up(self.words, term)
+        idf = np.where(known, self.idf[at] if len(self.idf) else 0, self.rare)
+        at, have = look_up(self.terms, term)
+        weight = (1 + np.log(count)) * idf * np.where(have, self.relevance[at] if len(self.terms) else 0, FLOOR)
+        norm = np.sqrt(np.bincount(row, weight * weight, n))
+        return row[have], at[have], count[have], (weight[have] / norm[row[have]]).astype(np.float32)
+
+
+def leading(row: np.ndarray, column: np.ndarray, count: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Sort keys for rows (the last is the first): the frequent terms (column >= 0) that a row has most often and second most.
+
+    They are mostly words that glue sentences, so rows of one language come together.
     """
-    found = Counter(t.strip(STRIP) for t in common.words(text))
-    found.pop(b"", None)
-    starts: dict[bytes, int] = {}
-    for word, n in found.items():
-        if len(word) >= START:
-            key = b"^" + word[:START]
-            starts[key] = starts.get(key, 0) + n
-    found.update(starts)
-    for term, n in list(found.items()):
-        if n > 1:
-            found.update({term + b"\0%d" % level: 1 for level in LEVELS if n >= level})
-    return found
+    some = np.flatnonzero(column >= 0)
+    some = some[np.lexsort((-column[some], count[some], row[some]))]
+    last = np.searchsorted(row[some], np.arange(n), "right") - 1
+    lead = np.full((2, n), -1, np.int64)
+    for i in (0, 1):
+        at = last - i
+        fits = at >= 0
+        fits[fits] = row[some[at[fits]]] == np.flatnonzero(fits)
+        lead[i, fits] = column[some[at[fits]]]
+    return lead[1], lead[0]
 
 
 class BlockMaxIndex:
-    """Sparse unit vectors of examples, in blocks, with the largest weight of each term in each block."""
-
-    def __init__(self, rows: list[tuple[np.ndarray, np.ndarray]], n_terms: int, block: int = BLOCK):
-        self.block, self.n = block, len(rows)
-        blocks = -(-max(1, self.n) // block)
-        self.most = np.zeros((n_terms, blocks), np.float32)
-        of = np.repeat(np.arange(self.n), [len(t) for t, _ in rows])
-        term = np.concatenate([t for t, _ in rows]) if rows else np.empty(0, np.int64)
-        weight = np.concatenate([w for _, w in rows]) if rows else np.empty(0)
-        # float32 bounds are rounded up, so that they stay bounds
-        np.maximum.at(self.most, (term, of // block), np.nextafter(weight.astype(np.float32), np.float32(2)))
-        order = np.lexsort((of, term))
-        self.postings = of[order].astype(np.int32), weight[order]
-        self.start = np.searchsorted(term[order], np.arange(n_terms + 1))
-
-    def nearest(self, terms: np.ndarray, weights: np.ndarray, k: int, skip: int = -1) -> tuple[np.ndarray, np.ndarray]:
-        """The k examples of the largest cosine above 0 (ties: the smaller number), and the cosines; exact."""
-        bound = weights @ self.most[terms]
-        order = np.argsort(-bound, kind="stable")
-        order = order[bound[order] > 0]
-        runs = [slice(self.start[t], self.start[t + 1]) for t in terms]
-        held, values, floor, at, step = np.empty(0, np.int64), np.empty(0), 0.0, 0, 8
-        while at < len(order) and (len(held) < k or bound[order[at]] * (1 + 1e-6) >= floor):
-            chosen = np.sort(order[at : at + step])
-            at, step = at + step, step * 2
-            score = np.zeros((len(chosen), self.block))
-            for run, w in zip(runs, weights, strict=True):
-                of, value = self.postings[0][run], self.postings[1][run]
-                if len(chosen) * 4 < len(order):
-                    low, high = (np.searchsorted(of, chosen * self.block), np.searchsorted(of, (chosen + 1) * self.block))
-                    pick = np.concatenate([np.arange(a, b) for a, b in zip(low, high, strict=True)])
-                    of, value = of[pick], value[pick]
-                where = np.searchsorted(chosen, of // self.block)
-                inside = (where < len(chosen)) & (chosen[np.minimum(where, len(chosen) - 1)] == of // self.block)
-                score[where[inside], of[inside] % self.block] += w * value[inside]
-            ids = (chosen[:, None] * self.block + np.arange(self.block)).ravel()
-            flat = score.ravel()
-            keep = (flat > 0) & (ids != skip)
-            held, values = np.concatenate([held, ids[keep]]), np.concatenate([values, flat[keep]])
-            best = np.lexsort((held, -values))[:k]
-            held, values = held[best], values[best]
-            floor = values[-1] if len(values) == k else 0.0
-        return held, values
-
-
-def unit(terms: np.ndarray, counts: np.ndarray, idf: np.ndarray) -> np.ndarray:
-    weights = (1 + np.log(counts)) * idf[terms]
-    return weights / np.linalg.norm(weights)
-
-
-def vote(cosines: np.ndarray, labels: np.ndarray, worth: np.ndarray, prior: float) -> float:
-    """Distance-weighted share of label 1; worth corrects for how the two labels were chosen."""
-    w = worth[labels] * cosines / (1 - np.minimum(cosines, 1) + SOFT)
-    return float((w @ labels + PRIOR_VOTES * prior) / (w.sum() + PRIOR_VOTES))
+    """Sparse unit vectors of n examples (row, term, weight by rows); order: the examples as blocks take them."""
+
+    def __init__(self, n: int, row: np.ndarray, term: np.ndarray, weight: np.ndarray, n_terms: int, order: np.ndarray | None = None, block: int = BLOCK, frequent: int = FREQUENT):
+        self.n, self.block, self.blocks = n, block, -(-max(1, n) // block)
+        self.width = self.blocks * block
+        self.ids = np.full(self.width, -1, np.int64)
+        self.ids[:n] = np.arange(n) if order is None else order
+        place = np.empty(max(1, n), np.int64)
+        place[self.ids[:n]] = np.arange(n)
+        at = place[row]
+        held = np.bincount(term, minlength=n_terms)
+        common_ = np.argsort(-held, kind="stable")[: min(frequent, n_terms)]
+        self.column = np.full(n_terms, -1, np.int64)
+        self.column[common_] = np.arange(len(common_))
+        column = self.column[term]
+        often = column >= 0
+        self.dense = np.zeros((len(common_), self.width), np.float32)
+        self.dense[column[often], at[often]] = weight[often]
+        self.most = self.dense.reshape(len(common_), self.blocks, block).max(2)
+        rest = np.flatnonzero(~often)
+        rest = rest[np.lexsort((at[rest], term[rest]))]
+        self.of, self.value = at[rest], weight[rest]
+        self.start = np.searchsorted(term[rest], np.arange(n_terms + 1))
+
+    def nearest(self, row: np.ndarray, term: np.ndarray, weight: np.ndarray, n: int, k: int, skip: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """For n unit vectors the k examples of the largest cosine above 0 (-1: none left) and the cosines, to six digits.
+
+        Examples of equal cosines come by their number; skip[i] is left out for vector i.
+        """
+        column = self.column[term]
+        often = column >= 0
+        t, r, w = term[~often], row[~often], weight[~often]
+        start, size = self.start[t], self.start[t + 1] - self.start[t]
+        sums = np.zeros(n * self.width, np.float32)
+        ends = np.cumsum(size)
+        cuts = np.searchsorted(ends, np.arange(0, int(size.sum()), POSTINGS)) if len(size) else []
+        for i, j in zip(cuts, [*cuts[1:], len(size)], strict=True):
+            if i == j:
+                continue
+            many = size[i:j]
+            at = np.arange(int(many.sum()))
+            at += np.repeat(start[i:j] - (np.cumsum(many) - many), many)
+            low = int(r[i]) * self.width
+            cell, product = self.of[at], self.value[at]
+            cell += np.repeat(r[i:j] * self.width - low, many)
+            product *= np.repeat(w[i:j], many)
+            part = np.bincount(cell, product)
+            sums[low : low + len(part)] += part
+        sums = sums.reshape(n, self.width)
+        used, local = np.unique(column[often], return_inverse=True)
+        q = np.zeros((n, len(used)), np.float32)
+        q[row[often], local] = weight[often]
+        bound = (sums.reshape(n, self.blocks, self.block).max(2) + q @ self.most[used]) * np.float32(1 + 1e-4) + np.float32(1e-6)
+        best = np.full((n, k), -1, np.int64)
+        limit = np.full(n, 5e-7, np.float32)
+
+        def take(exact: np.ndarray, who: np.ndarray, first: int) -> None:
+            """Bring scores of the examples from place `first` on into the k best keys of the vectors `who`."""
+            found, at = np.nonzero(exact > limit[who, None])
+            ids = self.ids[first + at]
+            keep = np.flatnonzero((ids >= 0) if skip is None else (ids >= 0) & (ids != skip[who[found]]))
+            key = (np.rint(exact[found[keep], at[keep]] * 1e6).astype(np.int64) << _ID_BITS) + (1 << _ID_BITS) - 1 - ids[keep]
+            of = np.concatenate([np.repeat(np.arange(len(who)), k), found[keep]])
+            # one number to sort by: the vector, then the falling key (21 bits of cosine, 21 of the example's number)
+            both = np.sort((of << 43) | ((1 << 42) - np.concatenate([best[who].ravel(), key])))
+            start = np.searchsorted(both, np.arange(len(who)) << 43)
+            best[who] = (1 << 42) - (both[start[:, None] + np.arange(k)] & ((1 << 43) - 1))
+            limit[who] = np.maximum((best[who, -1] >> _ID_BITS) / 1e6 - 1.5e-6, 5e-7)
+
+        # every vector's best block, then slabs of blocks that could still change anyone's nearest, by falling bound
+        lead = bound.argmax(1)
+        for b in np.unique(lead):
+            who = np.flatnonzero(lead == b)
+            cells = slice(b * self.block, (b + 1) * self.block)
+            take(sums[who, cells] + q[who] @ self.dense[used, cells], who, b * self.block)
+        everyone = np.arange(n)
+        slabs = [np.arange(i, min(i + SLAB, self.blocks)) for i in range(0, self.blocks, SLAB)]
+        for slab in sorted(slabs, key=lambda x: -float(bound[:, x].sum())):
+            wanted = slab[(bound[:, slab] >= limit[:, None]).any(0)]
+            if not len(wanted):
+                continue
+            first, last = wanted[0] * self.block, (wanted[-1] + 1) * self.block
+            exact = q @ self.dense[used, first:last]
+            exact += sums[:, first:last]
+            # what the first step took is not taken again
+            begin = lead * self.block
+            for i in np.flatnonzero((begin >= first) & (begin < last)):
+                exact[i, begin[i] - first : begin[i] - first + self.block] = -1
+            take(exact, everyone, first)
+        top = best
+        cosine = np.where(top >= 0, top >> _ID_BITS, 0) / 1e6
+        ids = np.where(cosine > 0, (1 << _ID_BITS) - 1 - (top & ((1 << _ID_BITS) - 1)), -1)
+        return ids, cosine
+
+
+def vote(ids: np.ndarray, cosines: np.ndarray, labels: np.ndarray, worth: np.ndarray, prior: float) -> np.ndarray:
+    """Distance-weighted share of label 1 in each row; worth corrects for how the two labels were chosen."""
+    y = np.where(ids >= 0, labels[np.maximum(ids, 0)], 0)
+    w = np.where(ids >= 0, worth[y] * cosines / (1 - np.minimum(cosines, 1) + SOFT), 0)
+    return ((w * y).sum(1) + PRIOR_VOTES * prior) / (w.sum(1) + PRIOR_VOTES)
 
 
 def fit_logistic(x: np.ndarray, y: np.ndarray, w: np.ndarray, rounds: int = 50) -> tuple[float, float]:
@@ -120,9 +208,9 @@ def fit_logistic(x: np.ndarray, y: np.ndarray, w: np.ndarray, rounds: int = 50)
     return float(max(beta[0], 1e-3)), float(beta[1])
 
 
-def logit(p: float) -> float:
-    p = min(max(p, 1e-6), 1 - 1e-6)
-    return float(np.log(p / (1 - p)))
+def logit(p: np.ndarray) -> np.ndarray:
+    p = np.clip(p, 1e-6, 1 - 1e-6)
+    return np.log(p / (1 - p))
 
 
 def chosen_examples(labels: DataFrame, label: str, held_out, limit: int) -> tuple[DataFrame, dict[int, float]]:
@@ -137,115 +225,181 @@ def chosen_examples(labels: DataFrame, label: str, held_out, limit: int) -> tupl
     return parts[0].unionByName(parts[1]), size
 
 
-def select_terms(sample: DataFrame, most: int = TERMS) -> list[bytes]:
-    """The words of the largest chi-squared between the labels; sample: text, label."""
+def document_frequencies(docs: DataFrame) -> DataFrame:
+    """term (64-bit hash), df over all rows of docs; counted in each part before the shuffle."""
 
     def run(batches):
-        found: tuple[Counter, Counter] = (Counter(), Counter())
+        parts, waiting = [], 0
+
+        def rows(parts):
+            k, n = (np.concatenate(x) for x in zip(*parts, strict=True))
+            k, of = np.unique(k, return_inverse=True)
+            return k, np.bincount(of, n).astype(np.int64)
+
+        def out(parts):
+            return pa.RecordBatch.from_arrays([*map(pa.array, rows(parts))], ["term", "df"])
+
         for batch in batches:
-            for text, y in zip(common.raw(batch.column(0)), batch.column(1).to_pylist(), strict=True):
-                found[y].update(terms_of(text).keys())
-        for word in found[0].keys() | found[1].keys():
-            yield word, found[0][word], found[1][word]
-
-    def rows(batches):
-        listed = list(run(batches))
-        yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in listed], t) for i, t in enumerate((pa.binary(), pa.int64(), pa.int64()))], ["term", "a", "b"])
-
-    sample = sample.select("text", "label")
-    n = {r["label"]: r["count"] for r in sample.groupBy("label").count().collect()}
-    n0, n1 = n.get(0, 0), n.get(1, 0)
+            texts = common.raw(batch.column(0))
+            for i, j in common.pieces(texts):
+                k, n = np.unique(np.concatenate([flat(texts[x : min(x + 4096, j)])[1] for x in range(i, j, 4096)]), return_counts=True)
+                parts.append((k, n))
+                waiting += len(k)
+                if waiting > 1_000_000:
+                    parts = [rows(parts)]
+                    waiting = 0
+                    if len(parts[0][0]) > 1_500_000:
+                        yield out(parts)
+                        parts = []
+        if parts:
+            yield out(parts)
+
+    return common.mapped(common.texts(docs).select("text"), run, "term long, df long").groupBy("term").agg(F.sum("df").alias("df"))
+
+
+def relevances(row: np.ndarray, term: np.ndarray, label: np.ndarray, n_terms: int) -> np.ndarray:
+    """FLOOR to 1 for each term, by the squared correlation of its being in an example with the example's label."""
+    n0, n1 = float((label == 0).sum()), float((label == 1).sum())
     if not n0 or not n1:
-        return []
-    a, b = F.col("a"), F.col("b")
-    all_ = F.lit(float(n0 + n1))
-    cross = a * F.lit(float(n1)) - b * F.lit(float(n0))
-    chi2 = all_ * cross * cross / (F.lit(float(n0)) * F.lit(float(n1)) * (a + b) * (all_ - a - b + 0.5))
-    counted = common.mapped(sample, rows, "term binary, a long, b long").groupBy("term").agg(F.sum("a").cast("double").alias("a"), F.sum("b").cast("double").alias("b"))
-    best = counted.where(a + b >= MIN_EXAMPLES).withColumn("chi2", chi2).where(F.col("chi2") >= CHI2).orderBy(F.desc("chi2"), "term").limit(most)
-    return [bytes(r["term"]) for r in best.select("term").collect()]
+        return np.full(n_terms, FLOOR)
+    a, b = (np.bincount(term[label[row] == y], minlength=n_terms).astype(float) for y in (0, 1))
+    cross = a * n1 - b * n0
+    chi2 = (n0 + n1) * cross * cross / (n0 * n1 * np.maximum(a + b, 1) * (n0 + n1 - a - b + 0.5))
+    return FLOOR + (1 - FLOOR) * np.minimum(1, np.maximum(0, chi2 - CHANCE) / (n0 + n1) / FULL)
+
+
+class Judge:
+    """Everything that scoring needs; the index itself is built where it is used, out of the examples' sparse vectors."""
+
+    def __init__(self, weighting: Weighting, names: np.ndarray, label: np.ndarray, vectors: tuple, order: np.ndarray, worth: np.ndarray, prior: float, empty: float, k: int):
+        self.weighting, self.names, self.label, self.vectors, self.order = weighting, names, label, vectors, order
+        self.worth, self.prior, self.empty, self.k = worth, prior, empty, k
+        self.slope, self.offset = 1.0, 0.0
+        self.held = None
+
+    def __getstate__(self):
+        return self.__dict__ | {"held": None}
+
+    def index(self) -> BlockMaxIndex:
+        if self.held is None:
+            self.held = BlockMaxIndex(len(self.label), *self.vectors, len(self.weighting.terms), self.order)
+        return self.held
+
+    def calibrate(self) -> None:
+        """Slope and offset from the votes that examples get from all others."""
+        if len(set(self.label.tolist())) < 2:
+            return
+        row, term, weight = self.vectors
+        start = np.searchsorted(row, np.arange(len(self.label) + 1))
+        picked = np.arange(len(self.label))[:: max(1, len(self.label) // CALIBRATION)]
+        votes = []
+        for i in range(0, len(picked), BATCH):
+            some = picked[i : i + BATCH]
+            at = np.concatenate([np.arange(start[j], start[j + 1]) for j in some])
+            local = np.repeat(np.arange(len(some)), start[some + 1] - start[some])
+            votes.append(vote(*self.index().nearest(local, term[at], weight[at], len(some), self.k, some), self.label, self.worth, self.prior))
+        y = self.label[picked]
+        self.slope, self.offset = fit_logistic(logit(np.concatenate(votes)), y, self.worth[y])
+
+    def scores(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Score and the three nearest examples (their numbers, -1: none) of each text."""
+        row, term, count = flat(texts)
+        size = np.bincount(row, minlength=len(texts))
+        out, near = np.full(len(texts), self.empty), np.full((len(texts), 3), -1, np.int64)
+        if not len(self.label):
+            return out, near
+        index = self.index()
+        row, term, count, weight = self.weighting.unit(row, term, count, len(texts))
+        # texts of like commonest words go together, so that they ask for the same blocks
+        ends = np.searchsorted(row, np.arange(len(texts) + 1))
+        order = np.lexsort(leading(row, index.column[term], count, len(texts)))
+        for i in range(0, len(order), BATCH):
+            some = order[i : i + BATCH]
+            length = ends[some + 1] - ends[some]
+            at = np.repeat(ends[some] - (np.cumsum(length) - length), length) + np.arange(int(length.sum()))
+            ids, cosines = index.nearest(np.repeat(np.arange(len(some)), length), term[at], weight[at], len(some), self.k)
+            z = self.slope * logit(vote(ids, cosines, self.label, self.worth, self.prior)) + self.offset
+            out[some], near[some] = 1 / (1 + np.exp(-z)), ids[:, :3]
+        out[size == 0], near[size == 0] = self.empty, -1
+        return out, near
+
+
+def learned(docs: DataFrame, labels: DataFrame, label: str, held_out, examples: int, k: int) -> Judge:
+    """The examples, their terms and weights, and the calibration."""
+    chosen, size = chosen_examples(labels, label, held_out, examples)
+    chosen = common.materialize(chosen, "examples")
+
+    def vectors(batches):
+        for batch in batches:
+            for i in range(0, len(batch), 500):
+                part = batch.slice(i, 500)
+                row, term, count = flat(common.raw(part.column(1)))
+                ends = pa.array(np.searchsorted(row, np.arange(len(part) + 1)).astype(np.int32))
+                lists = [pa.ListArray.from_arrays(ends, pa.array(x)) for x in (term, count.astype(np.int32))]
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), *lists], ["doc_id", "label", "terms", "counts"])
+
+    # a doc_id that several texts share teaches with the first of them
+    sample = common.texts(docs).join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "label").agg(F.min("text").alias("text")).select("doc_id", "text", "label")
+    table = common.mapped(sample, vectors, "doc_id long, label int, terms array<bigint>, counts array<int>").toArrow().combine_chunks().sort_by("doc_id")
+    n = docs.count()
+    frequencies = common.materialize(document_frequencies(docs), "frequencies").where(F.col("df") > max(1.0, n * RAREST)).toArrow().combine_chunks()
+    words, counts = (frequencies[c].to_numpy() for c in ("term", "df"))
+    order = np.argsort(words)
+    names, y = table["doc_id"].to_numpy(), table["label"].to_numpy().astype(np.int64)
+    lists, tf = (table[c].combine_chunks() if table.num_rows else pa.array([], pa.list_(pa.int64())) for c in ("terms", "counts"))
+    lists, tf = (x.chunk(0) if isinstance(x, pa.ChunkedArray) else x for x in (lists, tf))
+    sizes = np.diff(lists.offsets.to_numpy())
+    row, hashed, tf = np.repeat(np.arange(len(names)), sizes), lists.flatten().to_numpy(), tf.flatten().to_numpy()
+    terms, term = np.unique(hashed, return_inverse=True)
+    weighting = Weighting(n, words[order], counts[order], terms, relevances(row, term, y, len(terms)))
+    vectors_ = tuple(weighting.unit(row, hashed, tf, len(names))[i] for i in (0, 1, 3))
+    got = [float((y == v).sum()) for v in (0, 1)]
+    worth = np.array([size.get(v, 0.0) / max(1.0, got[v]) for v in (0, 1)])
+    worth /= max(worth.max(), 1e-9)
+    prior = size.get(1, 0.0) / max(1.0, sum(size.values()))
+    mass = [worth[v] * float(((sizes == 0) & (y == v)).sum()) for v in (0, 1)]
+    empty = (mass[1] + prior) / (sum(mass) + 1) if len(names) else prior
+    often = np.argsort(-np.bincount(term, minlength=len(terms)), kind="stable")[:FREQUENT]
+    column = np.full(len(terms), -1, np.int64)
+    column[often] = np.arange(len(often))
+    order = np.lexsort(leading(row, column[term], tf, len(names)))
+    judge = Judge(weighting, names, y, vectors_, order, worth, prior, empty, k)
+    judge.calibrate()
+    return judge
 
 
 def score(docs: DataFrame, labels: DataFrame, label: str = "toxic", held_out=None, examples: int = EXAMPLES, k: int = NEIGHBOURS) -> DataFrame:
     """doc_id, score (calibrated probability of label 1), evidence (ids of the nearest examples, nearest first).
 
-    Learns from label rows outside `held_out` (a condition on doc_id). Texts that are null, empty or without any term get
-    what the examples without terms say. Without examples of both labels the score is the base rate (0 if there are none).
+    Learns from label rows outside `held_out` (a condition on doc_id). Texts that are null, empty or without any word get
+    what the examples without words say. Without examples of both labels the score is the base rate (0 if there are none).
     Repeated and null ids are kept; an empty table gives no rows.
     """
-    spark = docs.sparkSession
-    held_out = F.lit(False) if held_out is None else held_out
-    chosen, size = chosen_examples(labels, label, held_out, examples)
-    chosen = common.materialize(chosen, "examples")
-    prior = size.get(1, 0.0) / max(1.0, sum(size.values()))
-    # a doc_id that several texts share teaches with one of them
-    sample = common.texts(docs).join(F.broadcast(chosen), "doc_id")
-    terms = select_terms(sample)
-    ids = common.broadcast_of(spark, {t: i for i, t in enumerate(terms)})
+    judge = learned(docs, labels, label, F.lit(False) if held_out is None else held_out, examples, k)
+    model = common.broadcast_of(docs.sparkSession, judge)
 
-    def vectors(batches):
-        known = ids.value
-        for batch in batches:
-            out_terms, out_counts = [], []
-            for text in common.raw(batch.column(1)):
-                found = {known[t]: n for t, n in terms_of(text).items() if t in known}
-                listed = sorted(found)
-                out_terms.append(listed)
-                out_counts.append([found[i] for i in listed])
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out_terms, pa.list_(pa.int32())), pa.array(out_counts, pa.list_(pa.int32()))], ["doc_id", "terms", "counts"])
-
-    table = common.materialize(common.mapped(common.texts(docs), vectors, "doc_id long, terms array<int>, counts array<int>"), "vectors")
-    n = table.count()
-    df = np.zeros(len(terms))
-    for r in table.select(F.explode("terms").alias("t")).groupBy("t").count().collect():
-        df[r["t"]] = r["count"]
-    idf = np.log((1 + n) / (1 + df)) + 1
-    learned = table.join(F.broadcast(chosen), "doc_id").groupBy("doc_id").agg(F.min(F.struct("terms", "counts", "label")).alias("x"))
-    rows = sorted(((r["doc_id"], r["x"]) for r in learned.collect()), key=lambda r: r[0])
-    full = [(i, x) for i, x in rows if x["terms"]]
-    bare = [x["label"] for _, x in rows if not x["terms"]]
-    own = np.array([x["label"] for _, x in full], np.int64)
-    got = [sum(x["label"] == y for _, x in rows) for y in (0, 1)]
-    worth = np.array([size.get(y, 0.0) / max(1, got[y]) for y in (0, 1)])
-    worth /= max(worth.max(), 1e-9)
-    vectors_ = [(np.array(x["terms"]), unit(np.array(x["terms"]), np.array(x["counts"], float), idf)) for _, x in full]
-    index = BlockMaxIndex(vectors_, len(terms))
-    mass = [worth[y] * sum(b == y for b in bare) for y in (0, 1)]
-    empty = (mass[1] + prior) / (sum(mass) + 1) if rows else prior
-    slope, offset = 1.0, 0.0
-    if len(set(own.tolist())) == 2:
-        picked = np.arange(len(full))[:: max(1, len(full) // 3000)]
-        votes = []
-        for i in picked:
-            near, cosines = index.nearest(*vectors_[i], k, skip=int(i))
-            votes.append(logit(vote(cosines, own[near], worth, prior)))
-        slope, offset = fit_logistic(np.array(votes), own[picked], worth[own[picked]])
-    model = common.broadcast_of(spark, (index, own, np.array([i for i, _ in full], np.int64), idf, worth, prior, empty, slope, offset))
-
-    def judge(batches):
-        index, own, names, idf, worth, prior, empty, slope, offset = model.value
-        seen: dict = {}
+    def run(batches):
+        import xxhash
+
+        common.reuse_memory()
+        judge, seen = model.value, {}
         for batch in batches:
-            scores, evidence = [], []
-            for terms_, counts_ in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
-                if not terms_ or not index.n:
-                    scores.append(empty)
-                    evidence.append([])
-                    continue
-                key = (*terms_, -1, *counts_)
-                if key not in seen:
-                    if len(seen) > 100_000:
-                        seen.clear()
-                    t = np.array(terms_)
-                    near, cosines = index.nearest(t, unit(t, np.array(counts_, float), idf), k)
-                    z = slope * logit(vote(cosines, own[near], worth, prior)) + offset
-                    seen[key] = (float(1 / (1 + np.exp(-z))), names[near[:3]].tolist())
-                s, e = seen[key]
-                scores.append(s)
-                evidence.append(e)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(scores, pa.float64()), pa.array(evidence, pa.list_(pa.int64()))], ["doc_id", "score", "evidence"])
-
-    return common.mapped(table, judge, "doc_id long, score double, evidence array<bigint>")
+            texts = common.raw(batch.column(1))
+            for i, j in common.pieces(texts, 2 << 20):
+                for at in range(i, j, 4096):
+                    some = texts[at : min(at + 4096, j)]
+                    marks = [xxhash.xxh3_128_digest(t) for t in some]
+                    new = {m: t for m, t in zip(marks, some, strict=True) if m not in seen}
+                    if len(seen) + len(new) > 50_000:
+                        seen, new = {}, dict(zip(marks, some, strict=True))
+                    scores, near = judge.scores(list(new.values()))
+                    for m, s, e in zip(new, scores.tolist(), near.tolist(), strict=True):
+                        seen[m] = s, [int(judge.names[x]) for x in e if x >= 0]
+                    out = [seen[m] for m in marks]
+                    names = batch.column(0).slice(at, len(some))
+                    yield pa.RecordBatch.from_arrays([names, pa.array([s for s, _ in out], pa.float64()), pa.array([e for _, e in out], pa.list_(pa.int64()))], ["doc_id", "score", "evidence"])
+
+    return common.mapped(common.texts(docs), run, "doc_id long, score double, evidence array<bigint>")
 
 
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
