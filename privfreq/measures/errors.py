@@ -24,7 +24,7 @@ def sse_by_path(truth: DataFrame, estimates: DataFrame) -> DataFrame:
 
 
 def sse_curve(truth: DataFrame, estimates: DataFrame, steps: int = 100) -> DataFrame:
-    """step, n_items, sse: the running sum of squared errors over items in falling true frequency, at even steps.
+    """f, n_items, sse (and step): the running sum of squared errors over items in falling true frequency, at even steps.
 
     Ranks and sums are made in a bounded number of classes: frequencies first, so the one-partition running sum is over
     distinct frequencies (at most a root of twice the number of clients).
@@ -32,7 +32,11 @@ def sse_curve(truth: DataFrame, estimates: DataFrame, steps: int = 100) -> DataF
     by_f = score(truth, estimates).groupBy("f").agg(F.count("*").alias("n"), F.sum("e2").alias("s"))
     down = Window.orderBy(F.desc("f")).rowsBetween(Window.unboundedPreceding, Window.currentRow)
     sums = by_f.select("f", F.sum("n").over(down).alias("n_items"), F.sum("s").over(down).alias("sse"))
-    return sums if steps is None else sums.select("f", "n_items", "sse").orderBy(F.desc("f")).limit(steps)
+    if steps is None:
+        return sums
+    # the last frequency within each of the even steps of the domain
+    of = F.ceil(F.col("n_items") * steps / F.max("n_items").over(Window.partitionBy()))
+    return sums.withColumn("step", of.cast("int")).groupBy("step").agg(F.max_by(F.struct("f", "n_items", "sse"), "n_items").alias("x")).select("step", "x.*").orderBy("step")
 
 
 def error_quantiles(scored: DataFrame, levels=(0.5, 0.9, 0.99)) -> DataFrame:
@@ -47,8 +51,9 @@ def method_errors(truth: DataFrame, estimates: dict[str, DataFrame]) -> DataFram
 
 
 def error_report(errors: DataFrame, *by: str, kind: str = "rollup") -> DataFrame:
-    """Mean squared errors at every level of `by` (rollup) or for every combination (cube); null: all."""
-    grouped = errors.rollup(*by) if kind == "rollup" else errors.cube(*by)
+    """Mean squared errors at every level of `by` (rollup), for every combination (cube) or for each column alone (sets)."""
+    columns = [F.col(c) for c in by]
+    grouped = {"rollup": errors.rollup, "cube": errors.cube, "sets": lambda *c: errors.groupingSets([[x] for x in c], *c)}[kind](*columns)
     return grouped.agg(F.sum("e2").alias("sse"), F.avg("e2").alias("mse"), F.count("*").alias("n_items"))
 
 

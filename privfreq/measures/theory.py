@@ -49,13 +49,17 @@ def theory_variance(truth: DataFrame, p: Params, method: str) -> DataFrame:
 
 
 def split_theory(truth: DataFrame, boundary: float, p: Params) -> DataFrame:
-    """One row for an exact split at the boundary: variance of light items (phase 2, scaled up) and of heavy ones (phase 1)."""
+    """One row for an exact split at the boundary: variance of light items (phase 2, scaled up) and of heavy ones (phase 1).
+
+    total: their mean over the domain; bound: the published bound, for a light item of the mean light frequency, before scaling.
+    """
     heavy = F.col("f") >= boundary
-    sums = truth.agg(F.sum("f").alias("n"), F.sum(F.col("f") * F.col("f")).alias("f2"), F.sum(F.when(~heavy, F.col("f") * F.col("f")).otherwise(0)).alias("light_f2"), F.sum(F.when(heavy, 1).otherwise(0)).alias("n_heavy"), F.count("*").alias("d"))
+    sums = truth.agg(F.sum("f").alias("n"), F.sum(F.col("f") * F.col("f")).alias("f2"), F.sum(F.when(~heavy, F.col("f") * F.col("f")).otherwise(0)).alias("light_f2"), F.sum(F.when(heavy, 1).otherwise(0)).alias("n_heavy"), F.sum(F.when(heavy, F.col("f")).otherwise(0)).alias("heavy_n"), F.count("*").alias("d"))
     noise, size = (p.c**2 - 1) / 4, p.k * p.m
     light = F.lit(_factor(p)) * (F.col("n") * F.lit(noise / (1 - p.r)) + F.col("light_f2") / size)
     heavy_ = F.lit(_factor(p)) * (F.col("n") * F.lit(noise / p.r) + F.col("f2") / size)
-    return sums.select(light.alias("light"), heavy_.alias("heavy"), ((light * (F.col("d") - F.col("n_heavy")) + heavy_ * F.col("n_heavy")) / F.col("d")).alias("total"))
+    bound = light_bound((F.col("n") - F.col("heavy_n")) / (F.col("d") - F.col("n_heavy")), F.col("n"), F.col("light_f2"), p.theta, p)
+    return sums.select(light.alias("light"), heavy_.alias("heavy"), ((light * (F.col("d") - F.col("n_heavy")) + heavy_ * F.col("n_heavy")) / F.col("d")).alias("total"), bound.alias("bound"))
 
 
 def crossover(truth: DataFrame, boundary: float, p: Params) -> DataFrame:
@@ -123,3 +127,49 @@ def empirical_ratio(counts: DataFrame) -> DataFrame:
     total = counts.groupBy("path").agg(F.sum("n").alias("t"))
     shares = counts.join(F.broadcast(total), "path").select("path", "out", (F.col("n") / F.col("t")).alias("share"))
     return shares.groupBy("out").agg((F.max("share") / F.min("share")).alias("ratio"), F.count("*").alias("paths"))
+
+
+def audit(clients: DataFrame, p: Params) -> DataFrame:
+    """paths, max_ratio, bound: what an observer of one-row reports (small m) sees of a client's path.
+
+    Clients whose key is even send as light items, all others the dummy report; what they send is counted by its bits.
+    With enough clients the ratio of the two paths' shares stays about within e^(eps/2).
+    """
+    from ..operators import reports
+
+    marked = clients.withColumn("heavy", F.col("key") % 2 == 1)
+    bits = reports.one_hot_bits(marked, p).groupBy("rid").agg(F.sum(F.expr("shiftleft(1, cast(b as int)) * cast(plus as int)")).alias("out"))
+    sent = bits.join(marked.select("rid", F.when(F.col("heavy"), "heavy").otherwise("light").alias("path")), "rid")
+    ratios = empirical_ratio(sent.groupBy("path", "out").agg(F.count("*").alias("n"))).where("paths = 2")
+    return ratios.agg(F.lit("heavy-light").alias("paths"), F.max("ratio").alias("max_ratio")).withColumn("bound", F.lit(math.exp(p.eps / 2)))
+
+
+#: Kinds of pairs of records, seen from the cells of one light item: of the same other light item, of different ones, with a dummy.
+PAIRS = ("same_other", "different", "dummy")
+
+
+def pair_covariance(p: Params, pair: str, k: int | None = None) -> float:
+    """Covariance of two records' shares in the row mean of a third item, both records in one row given (else by chance 1/k)."""
+    inside = 1 / p.m - 1 / p.m**2 if pair == "same_other" else 0.0
+    return inside if k is None else inside / k
+
+
+def covariance_table(spark: SparkSession, settings: list[Params]) -> DataFrame:
+    """m, k, pair, covariance of records in the same row."""
+    rows = [(p.m, p.k, pair, pair_covariance(p, pair)) for p in settings for pair in PAIRS]
+    return spark.createDataFrame(rows, "m int, k int, pair string, covariance double")
+
+
+def simulated_covariance(p: Params, pair: str, trials: int = 200_000, seed: int = 5) -> float:
+    """pair_covariance by drawing hash places and flips."""
+    import numpy as np
+
+    random = np.random.default_rng(seed)
+    probe, a = random.integers(0, p.m, trials), random.integers(0, p.m, trials)
+    b = a if pair == "same_other" else random.integers(0, p.m, trials)
+    value = []
+    for place, dummy in ((a, False), (b, pair == "dummy")):
+        plus = np.zeros(trials, bool) if dummy else place == probe
+        plus = plus ^ (random.random(trials) < p.q)
+        value.append((p.c * np.where(plus, 1, -1) + 1) / 2)
+    return float(np.cov(value[0], value[1])[0, 1])

@@ -4,13 +4,19 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.ml import PipelineModel
 from pyspark.ml.evaluation import RegressionEvaluator
 from pyspark.ml.feature import VectorAssembler
+from pyspark.ml.functions import vector_to_array
 from pyspark.ml.regression import GBTRegressor, RandomForestRegressor
-from pyspark.ml.tuning import ParamGridBuilder, TrainValidationSplit
-from pyspark.sql import DataFrame
+from pyspark.ml.tuning import CrossValidator, ParamGridBuilder
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructField, StructType
+
+from . import trees
 
 
 @dataclass(frozen=True)
@@ -56,22 +62,76 @@ def regressor(spec: ModelSpec):
     return RandomForestRegressor(featuresCol="x", labelCol="f_target", numTrees=spec.trees, maxDepth=spec.depth, seed=spec.seed, maxBins=64)
 
 
-def fit_frequency_model(train: DataFrame, spec: ModelSpec) -> PipelineModel:
-    """train: item, f_target. The t training rows are few; they are kept in memory, as fitting reads them again and again."""
+def _matrix(column: pa.Array) -> np.ndarray:
+    return column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1) if len(column) else np.empty((0, 1))
+
+
+def _inputs(items: DataFrame) -> Column:
+    """The features as an array; a number's logarithm orders as the number does, so trees over bins need one of them."""
+    x = vector_to_array("x")
+    return x if dict(items.dtypes)["item"] == "string" else F.slice(x, 1, 1)
+
+
+def fit_frequency_model(train: DataFrame, spec: ModelSpec, where: str = "process") -> PipelineModel | trees.Ensemble:
+    """train: item, f_target. process: the t rows, whose number is a parameter, are fitted in one process; cluster: by jobs."""
+    if where == "process":
+        rows = features(train).select(_inputs(train).alias("x"), "f_target").limit(trees.MOST_ROWS + 1).toArrow().combine_chunks()
+        if rows.num_rows > trees.MOST_ROWS:
+            raise ValueError(f"more than {trees.MOST_ROWS} training items: fit them on the cluster")
+        x, y = _matrix(rows["x"].combine_chunks()), rows["f_target"].to_numpy()
+        return trees.boosted(x, y, spec.trees, spec.depth, spec.step) if spec.kind == "boosted" else trees.forest(x, y, spec.trees, spec.depth, spec.seed)
     rows = features(train).select("x", "f_target").coalesce(8).persist()
     model = regressor(spec).fit(rows)
     rows.unpersist()
     return PipelineModel([model])
 
 
-def tune(train: DataFrame, steps=(0.05, 0.1), depths=(3, 5), trees: int = 10) -> ModelSpec:
-    """The boosted setting of least validation error on a grid."""
-    base = regressor(ModelSpec.boosted(steps[0], trees, depths[0]))
+def scored(model: PipelineModel | trees.Ensemble, items: DataFrame, features_=None) -> DataFrame:
+    """items with g, the model's prediction."""
+    with_x = (features_ or features)(items)
+    if not isinstance(model, trees.Ensemble):
+        return model.transform(with_x).select(*items.columns, F.col("prediction").alias("g"))
+    sent = items.sparkSession.sparkContext.broadcast(model)
+    names = items.columns
+
+    def run(batches):
+        for batch in batches:
+            g = sent.value.predict(_matrix(batch.column(len(names)))) if len(batch) else np.empty(0)
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], pa.array(g)], [*names, "g"])
+
+    return with_x.select(*names, _inputs(items).alias("x")).mapInArrow(run, StructType([*items.schema.fields, StructField("g", DoubleType())]))
+
+
+def tune(train: DataFrame, steps=(0.05, 0.1), depths=(3, 5), counts=(100, 350), folds: int = 3) -> ModelSpec:
+    """The boosted setting of least error on a grid, by cross-validation over the training items (fitted in one process).
+
+    The rows of a fold are what a hash of their order gives; ties go to the smaller setting.
+    """
+    rows = features(train).select(_inputs(train).alias("x"), "f_target", F.xxhash64("item").alias("h")).toArrow().combine_chunks()
+    x, y, fold = _matrix(rows["x"].combine_chunks()), rows["f_target"].to_numpy(), rows["h"].to_numpy() % folds
+    best = None
+    for step in steps:
+        for depth in depths:
+            errors = dict.fromkeys(counts, 0.0)
+            for f in range(folds):
+                inside = fold != f
+                for n in counts:
+                    model = trees.boosted(x[inside], y[inside], n, depth, step)
+                    errors[n] += float(((model.predict(x[~inside]) - y[~inside]) ** 2).sum())
+            for n, e in errors.items():
+                if best is None or e < best[0]:
+                    best = e, ModelSpec.boosted(step, n, depth)
+    return best[1]
+
+
+def tune_on_cluster(train: DataFrame, steps=(0.05, 0.1), depths=(3, 5), trees_: int = 10, folds: int = 2) -> ModelSpec:
+    """tune() by the cluster's regressor and cross-validator, for samples too large for one process."""
+    base = regressor(ModelSpec.boosted(steps[0], trees_, depths[0]))
     grid = ParamGridBuilder().addGrid(base.stepSize, list(steps)).addGrid(base.maxDepth, list(depths)).build()
     judge = RegressionEvaluator(labelCol="f_target", metricName="rmse")
-    found = TrainValidationSplit(estimator=base, estimatorParamMaps=grid, evaluator=judge, seed=7).fit(features(train).select("x", "f_target"))
-    best = min(zip(found.validationMetrics, grid, strict=True), key=lambda x: x[0])[1]
-    return ModelSpec.boosted(best[base.stepSize], trees, best[base.maxDepth])
+    found = CrossValidator(estimator=base, estimatorParamMaps=grid, evaluator=judge, numFolds=folds, seed=7).fit(features(train).select("x", "f_target"))
+    best = min(zip(found.avgMetrics, grid, strict=True), key=lambda v: v[0])[1]
+    return ModelSpec.boosted(best[base.stepSize], trees_, best[base.maxDepth])
 
 
 def model_error(truth: DataFrame, scores: DataFrame) -> DataFrame:
@@ -79,6 +139,8 @@ def model_error(truth: DataFrame, scores: DataFrame) -> DataFrame:
     return truth.join(scores, "item").agg(F.avg(F.pow(F.col("g") - F.col("f"), 2)).alias("mse"))
 
 
-def model_bytes(model: PipelineModel) -> int:
-    """A boosted model's or forest's size at 16 bytes a node (feature, threshold, two children or a value)."""
+def model_bytes(model: PipelineModel | trees.Ensemble) -> int:
+    """A model's size at 16 bytes a node (feature, threshold, two children or a value)."""
+    if isinstance(model, trees.Ensemble):
+        return 16 * model.nodes
     return 16 * sum(s.totalNumNodes for s in model.stages if hasattr(s, "totalNumNodes"))

@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
+from dataclasses import dataclass
 from functools import reduce
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.hashing import bucket, sign
 from ..params import Params
+from ..plans.gather import butterfly, dense, gather
 from . import reports
 
 
@@ -53,6 +56,24 @@ def _reports(state: DataFrame) -> DataFrame:
     return state.groupBy("j").agg(F.max("reports").alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"))
 
 
+@dataclass(frozen=True)
+class Cells:
+    """A collected one-hot state: 2 plus - reports of every cell, all +1 bits, all reports. k*m numbers, whatever the data."""
+
+    v: np.ndarray
+    plus: int
+    n: int
+
+
+def collected(state: DataFrame | Cells, p: Params) -> Cells:
+    """One run of the state, for everything that is read from it."""
+    if isinstance(state, Cells):
+        return state
+    rows = state.toPandas()
+    rows["v"] = 2 * rows["plus"] - rows["reports"]
+    return Cells(dense(rows, p.k, p.m, "b", "v"), int(rows["plus"].sum()), int(rows.groupby("j")["reports"].max().sum()))
+
+
 def row_sums(items: DataFrame, state: DataFrame, p: Params) -> DataFrame:
     """item, s1: sum over the item's cells of (2 plus - reports); integers, so any order of adding gives the same.
 
@@ -67,9 +88,13 @@ def one_hot_value(s1: Column, n: Column, mass: Column, p: Params) -> Column:
     return F.lit(p.m / (p.m - 1)) * ((F.lit(p.c) * s1 + n) / 2 - mass / p.m) + 0.0
 
 
-def one_hot_estimate(items: DataFrame, state: DataFrame, p: Params) -> DataFrame:
-    """item, f_hat for items (item, key)."""
-    with_n = row_sums(items, state, p).crossJoin(F.broadcast(_reports(state)))
+def one_hot_estimate(items: DataFrame, state: DataFrame | Cells, p: Params, how: str = "gather") -> DataFrame:
+    """item, f_hat for items (item, key). gather: the cells go to the items; join: by equal join, for checks."""
+    if how == "join":
+        with_n = row_sums(items, state, p).crossJoin(F.broadcast(_reports(state)))
+    else:
+        c = collected(state, p)
+        with_n = gather(items.select("item", "key"), c.v, p.hashes(), "s1").withColumn("n", F.lit(c.n).cast("bigint"))
     return with_n.select("item", one_hot_value(F.col("s1"), F.col("n"), F.col("n"), p).alias("f_hat"))
 
 
@@ -80,11 +105,22 @@ def hadamard_inverse(state: DataFrame, p: Params) -> DataFrame:
     return targets.groupBy("j", "b").agg(F.sum(F.col("signed_sum") * turn).alias("s"))
 
 
-def hadamard_estimate(items: DataFrame, state: DataFrame, p: Params, inverse: DataFrame | None = None) -> DataFrame:
-    table = hadamard_inverse(state, p) if inverse is None else inverse
-    n = state.agg(F.sum("reports").alias("n"))
-    sums = probes(items, p).join(F.broadcast(table), ["j", "b"], "left").groupBy("item").agg(F.coalesce(F.sum("s"), F.lit(0)).alias("s"))
-    return sums.crossJoin(F.broadcast(n)).select("item", (F.lit(p.m / (p.m - 1)) * (F.lit(p.hadamard_c) * F.col("s") - F.col("n") / p.m) + 0.0).alias("f_hat"))
+def hadamard_cells(state: DataFrame, p: Params) -> tuple[np.ndarray, int]:
+    """The inverse transform of all rows by m log m steps, and the number of reports."""
+    rows = state.toPandas()
+    return butterfly(dense(rows, p.k, p.m, "l", "signed_sum")), int(rows["reports"].sum())
+
+
+def hadamard_estimate(items: DataFrame, state: DataFrame, p: Params, inverse: DataFrame | None = None, how: str = "join") -> DataFrame:
+    """item, f_hat. join: with the transform by rows (k*m*m of them, so for small sketches); gather: see hadamard_cells."""
+    if how == "gather":
+        table, n = hadamard_cells(state, p)
+        sums = gather(items.select("item", "key"), table, p.hashes()).withColumn("n", F.lit(n).cast("bigint"))
+    else:
+        table = hadamard_inverse(state, p) if inverse is None else inverse
+        joined = probes(items, p).join(F.broadcast(table), ["j", "b"], "left").groupBy("item").agg(F.coalesce(F.sum("s"), F.lit(0)).alias("s"))
+        sums = joined.crossJoin(F.broadcast(state.agg(F.sum("reports").alias("n"))))
+    return sums.select("item", (F.lit(p.m / (p.m - 1)) * (F.lit(p.hadamard_c) * F.col("s") - F.col("n") / p.m) + 0.0).alias("f_hat"))
 
 
 def local_hash_value(support: Column, n: Column, p: Params) -> Column:
@@ -92,11 +128,19 @@ def local_hash_value(support: Column, n: Column, p: Params) -> Column:
 
 
 def local_hash_estimate(items: DataFrame, state: DataFrame, p: Params, table: DataFrame | None = None) -> DataFrame:
-    """table: the hash of every item under every function, where it was made beforehand (precompute)."""
-    places = (probes(items, p, p.k_pool, p.g) if table is None else table).withColumnRenamed("b", "y")
-    found = places.join(F.broadcast(state), ["j", "y"], "left").groupBy("item").agg(F.coalesce(F.sum("cnt"), F.lit(0)).alias("support"))
-    n = state.agg(F.sum("cnt").alias("n"))
-    return found.crossJoin(F.broadcast(n)).select("item", local_hash_value(F.col("support"), F.col("n"), p).alias("f_hat"))
+    """item, f_hat: the k_pool*g counts go to the items, which read k_pool of them.
+
+    table: the hash of every item under every function, where it was made beforehand (precompute).
+    """
+    if table is None:
+        rows = state.toPandas()
+        counts = dense(rows, p.k_pool, p.g, "y", "cnt")
+        found, n = gather(items.select("item", "key"), counts, p.hashes(p.k_pool), "support"), F.lit(int(counts.sum())).cast("bigint")
+    else:
+        places = table.withColumnRenamed("b", "y").join(F.broadcast(state), ["j", "y"], "left")
+        sums = places.groupBy("item").agg(F.coalesce(F.sum("cnt"), F.lit(0)).alias("support"))
+        found, n = sums.crossJoin(F.broadcast(state.agg(F.sum("cnt").alias("n")))), F.col("n")
+    return found.select("item", local_hash_value(F.col("support"), n, p).alias("f_hat"))
 
 
 def precomputed_hashes(domain: DataFrame, p: Params) -> DataFrame:
@@ -143,24 +187,24 @@ def count_state(clients: DataFrame, p: Params, signed: bool = False) -> DataFram
     return rows.select("j", bucket(F.col("key"), F.col("j"), p).cast("int").alias("b"), value.alias("v")).groupBy("j", "b").agg(F.sum("v").alias("cnt"))
 
 
+def _counts(state: DataFrame, p: Params) -> np.ndarray:
+    return dense(state.toPandas(), p.k, p.m, "b", "cnt")
+
+
 def countmin_estimate(items: DataFrame, state: DataFrame, p: Params) -> DataFrame:
-    found = probes(items, p).join(F.broadcast(state), ["j", "b"], "left")
-    return found.groupBy("item").agg(F.min(F.coalesce("cnt", F.lit(0))).cast("double").alias("f_hat"))
+    return gather(items.select("item", "key"), _counts(state, p), p.hashes(), combine="min").select("item", F.col("s").cast("double").alias("f_hat"))
 
 
 def countsketch_estimate(items: DataFrame, state: DataFrame, p: Params, combine: str = "mean") -> DataFrame:
-    rows = items.select("item", "key", F.explode(F.sequence(F.lit(0), F.lit(p.k - 1))).alias("j"))
-    rows = rows.select("item", "j", bucket(F.col("key"), F.col("j"), p).cast("int").alias("b"), sign(F.col("key"), F.col("j"), p).alias("s"))
-    value = F.coalesce(F.col("cnt") * F.col("s"), F.lit(0))
-    merged = (F.sum(value) / p.k if combine == "mean" else F.median(value)) + 0.0
-    return rows.join(F.broadcast(state), ["j", "b"], "left").groupBy("item").agg(merged.alias("f_hat"))
+    found = gather(items.select("item", "key"), _counts(state, p), p.hashes(), combine="sum" if combine == "mean" else combine, signs=p.hashes(family="s"))
+    return found.select("item", ((F.col("s") / p.k if combine == "mean" else F.col("s")) + 0.0).alias("f_hat"))
 
 
 def rowmean_estimate(items: DataFrame, state: DataFrame, p: Params) -> DataFrame:
     """The one-hot estimator without noise: what collisions alone cost."""
-    n = state.where("j = 0").agg(F.sum("cnt").alias("n"))
-    sums = probes(items, p).join(F.broadcast(state), ["j", "b"], "left").groupBy("item").agg(F.coalesce(F.sum("cnt"), F.lit(0)).alias("s"))
-    return sums.crossJoin(F.broadcast(n)).select("item", (F.lit(p.m / (p.m - 1)) * (F.col("s") / p.k - F.col("n") / p.m) + 0.0).alias("f_hat"))
+    cells_ = _counts(state, p)
+    found = gather(items.select("item", "key"), cells_, p.hashes())
+    return found.select("item", (F.lit(p.m / (p.m - 1)) * (F.col("s") / p.k - F.lit(int(cells_[0].sum())).cast("bigint") / p.m) + 0.0).alias("f_hat"))
 
 
 def exact(clients: DataFrame) -> DataFrame:
@@ -198,14 +242,28 @@ def heavy_hitters(estimates: DataFrame, n: int) -> DataFrame:
     return estimates.orderBy(F.desc("f_hat"), "item").limit(n)
 
 
-def postprocess(estimates: DataFrame, kind: str, total: int | None = None, cut: float = 0.0) -> DataFrame:
-    """clip: at 0; shift: clip, then scale to the total; significant: values below the cut become 0."""
-    clipped = estimates.withColumn("f_hat", F.greatest("f_hat", F.lit(0.0)))
+def postprocess(estimates: DataFrame, kind: str, total: int | None = None, cut: float = 0.0, rounds: int = 60) -> DataFrame:
+    """clip: at 0; scale: clip, then multiply to the total; shift: one number taken from all, then clip, so that the sum is
+    the total; significant: values below the cut become 0."""
+    value = F.col("f_hat")
+    clipped = estimates.withColumn("f_hat", F.greatest(value, F.lit(0.0)))
     if kind == "clip":
         return clipped
     if kind == "significant":
-        return estimates.withColumn("f_hat", F.when(F.col("f_hat") >= cut, F.col("f_hat")).otherwise(0.0))
-    if kind == "shift":
+        return estimates.withColumn("f_hat", F.when(value >= cut, value).otherwise(0.0))
+    if kind == "scale":
         whole = clipped.agg(F.sum("f_hat").alias("_t"))
-        return clipped.crossJoin(F.broadcast(whole)).withColumn("f_hat", F.when(F.col("_t") > 0, F.col("f_hat") * F.lit(float(total)) / F.col("_t")).otherwise(0.0)).drop("_t")
+        return clipped.crossJoin(F.broadcast(whole)).withColumn("f_hat", F.when(F.col("_t") > 0, value * F.lit(float(total)) / F.col("_t")).otherwise(0.0)).drop("_t")
+    if kind == "shift":
+        # the clipped sum falls as the shift grows: 64 shifts are tried in one pass, until they are close enough
+        ends = estimates.agg(F.min("f_hat").alias("lo"), F.max("f_hat").alias("hi"), F.count("*").alias("d")).first()
+        if not ends["d"]:
+            return estimates
+        low, high = ends["lo"] - float(total) / ends["d"], ends["hi"]
+        while high - low > 1e-9 * max(1.0, abs(high), abs(low)) and rounds > 0:
+            steps = [low + (high - low) * i / 64 for i in range(65)]
+            sums = estimates.agg(*[F.sum(F.greatest(value - F.lit(x), F.lit(0.0))).alias(f"s{i}") for i, x in enumerate(steps)]).first()
+            at = max(i for i in range(65) if sums[i] >= float(total) or i == 0)
+            low, high, rounds = steps[at], steps[min(at + 1, 64)], rounds - 1
+        return estimates.withColumn("f_hat", F.greatest(value - F.lit(low), F.lit(0.0)))
     raise ValueError(kind)

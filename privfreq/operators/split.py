@@ -8,6 +8,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..params import Params
+from ..plans.gather import gather
+from ..sources.sinks import materialize
 from . import reports, sketch
 
 
@@ -27,9 +29,12 @@ def sample_domain(domain: DataFrame, t: int, seed: int = 7) -> DataFrame:
     return domain.withColumn("_o", order).orderBy("_o", "item").limit(t).drop("_o")
 
 
-def phase1_targets(items: DataFrame, state: DataFrame, p: Params) -> DataFrame:
-    """item, f_target: the one-hot estimate of phase 1, scaled to all clients."""
-    return sketch.one_hot_estimate(items, state, p).select("item", (F.col("f_hat") / F.lit(p.r)).alias("f_target"))
+def phase1_targets(items: DataFrame, state, p: Params) -> DataFrame:
+    """item, f_target (and further columns of items but key): the one-hot estimate of phase 1, scaled to all clients."""
+    cells = sketch.collected(state, p)
+    n = F.lit(cells.n).cast("bigint")
+    value = sketch.one_hot_value(F.col("s1"), n, n, p) / F.lit(p.r)
+    return gather(items, cells.v, p.hashes(), "s1").select("item", value.alias("f_target"), *[c for c in items.columns if c not in ("item", "key")])
 
 
 def boundary_table(scores: DataFrame, theta: float, budget: Column | None = None) -> DataFrame:
@@ -40,14 +45,13 @@ def boundary_table(scores: DataFrame, theta: float, budget: Column | None = None
     """
     distinct = scores.groupBy("g").agg(F.count("*").alias("n"))
     down = Window.orderBy(F.desc("g")).rowsBetween(Window.unboundedPreceding, -1)
-    sums = distinct.crossJoin(F.broadcast(scores.agg(F.sum("g").alias("total")))).withColumn("before", F.coalesce(F.sum(F.col("g") * F.col("n")).over(down), F.lit(0.0)))
+    mass = F.col("g") * F.col("n")
+    sums = distinct.withColumn("before", F.coalesce(F.sum(mass).over(down), F.lit(0.0))).crossJoin(F.broadcast(distinct.agg(F.sum(mass).alias("total"))))
     room = F.lit(theta) * F.col("total") if budget is None else budget
-    fits = sums.where((F.col("g") > 0) & (F.col("before") + F.col("g") <= room)).withColumn("taken", F.least(F.col("n").cast("double"), F.floor((room - F.col("before")) / F.col("g"))))
-    found = fits.agg(F.min("g").alias("p"), F.sum("taken").cast("bigint").alias("prefix_len"), F.sum(F.col("g") * F.col("n")).alias("heavy"))
-    total = scores.agg(F.sum("g").alias("total"))
-    return found.crossJoin(F.broadcast(total)).select(
-        F.coalesce("p", F.lit(float("inf"))).alias("p"), F.coalesce("prefix_len", F.lit(0)).alias("prefix_len"), "total", F.coalesce(F.col("heavy") / F.col("total"), F.lit(0.0)).alias("realised")
-    )
+    fits = (F.col("g") > 0) & (F.col("before") + F.col("g") <= room)
+    taken = F.least(F.col("n").cast("double"), F.floor((room - F.col("before")) / F.col("g")))
+    found = sums.agg(F.min(F.when(fits, F.col("g"))).alias("p"), F.sum(F.when(fits, taken)).cast("bigint").alias("prefix_len"), F.sum(F.when(fits, mass)).alias("heavy"), F.max("total").alias("total"))
+    return found.select(F.coalesce("p", F.lit(float("inf"))).alias("p"), F.coalesce("prefix_len", F.lit(0)).alias("prefix_len"), "total", F.coalesce(F.col("heavy") / F.col("total"), F.lit(0.0)).alias("realised"))
 
 
 def find_boundary(scores: DataFrame, theta: float, known_total: float | None = None) -> Boundary:
@@ -96,13 +100,15 @@ class TableScorer:
 
 
 class ModelScorer:
-    """A fitted pipeline scores each distinct item once; the scores then serve as a table."""
+    """A fitted model (pipeline or ensemble) scores each distinct item once; the scores then serve as a table."""
 
     def __init__(self, model, features):
         self.model, self.features = model, features
 
     def score(self, items: DataFrame) -> DataFrame:
-        return self.model.transform(self.features(items)).select(*items.columns, F.col("prediction").alias("g"))
+        from . import model
+
+        return model.scored(self.model, items, self.features)
 
 
 def mark_heavy(scored: DataFrame, p: float, strict: bool = False) -> DataFrame:
@@ -115,48 +121,49 @@ def split_state(clients: DataFrame, scorer, p: float, params: Params, silent_hea
     return sketch.one_hot_state(reports.one_hot_bits(mark_heavy(scorer.score(clients), p), params, silent_heavy))
 
 
-def light_mass(state: DataFrame, theta: float, realised: float, params: Params, mass: str) -> DataFrame:
-    """One row n, mass: reports, and how many of them are taken to come from the light path.
+def light_mass(cells: sketch.Cells, theta: float, realised: float, params: Params, mass: str) -> float:
+    """How many reports are taken to come from the light path.
 
     nominal: (1-theta) n; realised: by the scores' own heavy share; sketch: the sum of all cells over k, which a light
     report raises by 1 on average and a dummy by 0.
     """
-    n, plus = F.col("n"), F.col("plus")
-    sums = sketch._reports(state).crossJoin(state.agg(F.coalesce(F.sum("plus"), F.lit(0)).alias("plus")))
-    value = {
-        "nominal": F.lit(1 - theta) * n,
-        "realised": F.lit(1 - realised) * n,
-        "sketch": (F.lit(params.c) * (2 * plus - params.m * n) + params.m * n) / 2,
-    }[mass]
-    return sums.select("n", value.alias("mass"))
+    n, m = cells.n, params.m
+    if mass == "sketch":
+        return (params.c * (2 * cells.plus - m * n) + m * n) / 2
+    return {"nominal": 1 - theta, "realised": 1 - realised}[mass] * n
 
 
-def split_estimate(items: DataFrame, scorer, boundary: Boundary, state: DataFrame, params: Params, mass: str = "sketch", scale: str = "population", phase1: DataFrame | None = None, strict: bool = False) -> DataFrame:
-    """item, f_hat, path for items (item, key).
+def split_estimate(items: DataFrame, scorer, boundary: Boundary, state, params: Params, mass: str = "sketch", scale: str = "population", phase1=None, strict: bool = False) -> DataFrame:
+    """item, f_hat, path (and further columns of items) for items (item, key).
 
     Heavy: the score. Light: the corrected row mean; raw: as the phase-2 count; population: divided by 1-r; pooled: plus
-    the estimate of the same item from phase 1 (state phase1).
+    the estimate of the same item from phase 1 (state phase1). The cells go to the scored items: no shuffle by item.
     """
-    marked = mark_heavy(scorer.score(items), boundary.p, strict).select("item", "g", "heavy")
-    light = sketch.row_sums(items, state, params).crossJoin(F.broadcast(light_mass(state, params.theta, boundary.realised, params, mass)))
-    light = light.select("item", sketch.one_hot_value(F.col("s1"), F.col("n"), F.col("mass"), params).alias("f"))
+    cells = sketch.collected(state, params)
+    n = F.lit(cells.n).cast("bigint")
+    rows = gather(mark_heavy(scorer.score(items), boundary.p, strict), cells.v, params.hashes(), "s1")
+    light = sketch.one_hot_value(F.col("s1"), n, F.lit(light_mass(cells, params.theta, boundary.realised, params, mass)), params)
     if scale == "population":
-        light = light.select("item", (F.col("f") / F.lit(1 - params.r)).alias("f"))
+        light = light / F.lit(1 - params.r)
     elif scale == "pooled":
-        light = light.join(sketch.one_hot_estimate(items, phase1, params), "item").select("item", (F.col("f") + F.col("f_hat")).alias("f"))
-    joined = marked.join(light, "item")
-    return joined.select("item", F.when(F.col("heavy"), F.col("g")).otherwise(F.col("f")).alias("f_hat"), F.when(F.col("heavy"), "heavy").otherwise("light").alias("path"))
+        first = sketch.collected(phase1, params)
+        rows = gather(rows, first.v, params.hashes(), "s0")
+        n0 = F.lit(first.n).cast("bigint")
+        light = light + sketch.one_hot_value(F.col("s0"), n0, n0, params)
+    rest = [c for c in items.columns if c not in ("item", "key", "g", "heavy")]
+    return rows.select("item", F.when(F.col("heavy"), F.col("g")).otherwise(light).alias("f_hat"), F.when(F.col("heavy"), "heavy").otherwise("light").alias("path"), *rest)
 
 
 @dataclass
 class SplitPathResult:
-    state: DataFrame
+    state: sketch.Cells
     scorer: object
     boundary: Boundary
     n1: int
     n2: int
-    phase1: DataFrame
+    phase1: sketch.Cells
     params: Params
+    model: object = None
 
     def estimate(self, items: DataFrame, mass: str = "sketch", scale: str = "population") -> DataFrame:
         return split_estimate(items, self.scorer, self.boundary, self.state, self.params, mass, scale, self.phase1)
@@ -173,13 +180,13 @@ def split_fit(clients: DataFrame, domain: DataFrame, params: Params, spec=None,
     build = build or vector_state
     phased = reports.assign_phase(clients, params)
     first, second = phased.where("phase = 1"), phased.where("phase = 2")
-    phase1 = build(first, params)
+    phase1 = sketch.collected(build(first, params), params)
     train = sample_domain(domain, t, params.seed)
-    targets = phase1_targets(train, phase1, params).join(train, "item")
+    targets = phase1_targets(train, phase1, params)
     spec = spec or model.ModelSpec.boosted(0.1, 20, 5)
     fitted = model.fit_frequency_model(targets, spec)
-    every = ModelScorer(fitted, model.features).score(domain).select("item", "g").persist()
+    every = materialize(ModelScorer(fitted, model.features).score(domain).select("item", "g"), "scores")
     cut = find_boundary(every, params.theta)
     scorer = TableScorer(every)
-    state = build(mark_heavy(scorer.score(second), cut.p), params)
-    return SplitPathResult(state, scorer, cut, first.count(), second.count(), phase1, params)
+    state = sketch.collected(build(mark_heavy(scorer.score(second), cut.p), params), params)
+    return SplitPathResult(state, scorer, cut, phase1.n, state.n, phase1, params, fitted)

@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from ..operators import reports, sketch
 from ..params import Params, threshold
+from .gather import butterfly
 
 STATE = "j int, b int, plus bigint, reports bigint"
 
@@ -96,38 +97,8 @@ def simulated_state(clients: DataFrame, p: Params, seed: int = 1) -> DataFrame:
 
 
 def gather_estimate(items: DataFrame, state: DataFrame, p: Params) -> DataFrame:
-    """one_hot_estimate for huge domains: the cells travel as one array and items are read in place, with no shuffle."""
-    rows = state.toPandas()
-    v, n = np.zeros((p.k, p.m), np.int64), np.zeros(p.k, np.int64)
-    v[rows["j"], rows["b"]] = 2 * rows["plus"] - rows["reports"]
-    n[rows["j"]] = rows["reports"]
-    total, sent = int(n.sum()), items.sparkSession.sparkContext.broadcast(v)
-    hashes = np.array(p.hashes(), np.int64)
-    prime = 2147483647
-
-    def read(batches):
-        cells = sent.value
-        for batch in batches:
-            key = batch.column(1).to_numpy(zero_copy_only=False)
-            s1 = np.zeros(len(key), np.int64)
-            for j, (a, b) in enumerate(hashes):
-                s1 += cells[j, (a * key + b) % prime % p.m]
-            value = p.m / (p.m - 1) * ((p.c * s1 + total) / 2 - total / p.m) + 0.0
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(value)], ["item", "f_hat"])
-
-    kind = dict(items.dtypes)["item"]
-    return items.select("item", "key").mapInArrow(read, f"item {kind}, f_hat double")
-
-
-def butterfly(x: np.ndarray) -> np.ndarray:
-    """The +-1 Hadamard transform of the last axis (a power of two)."""
-    x = x.copy()
-    h = 1
-    while h < x.shape[-1]:
-        y = x.reshape(*x.shape[:-1], -1, 2, h)
-        x = np.stack([y[..., 0, :] + y[..., 1, :], y[..., 0, :] - y[..., 1, :]], axis=-2).reshape(x.shape)
-        h *= 2
-    return x
+    """one_hot_estimate with the cells sent to the items."""
+    return sketch.one_hot_estimate(items, state, p, how="gather")
 
 
 def hadamard_inverse(state: DataFrame, p: Params) -> DataFrame:
@@ -143,5 +114,4 @@ def hadamard_inverse(state: DataFrame, p: Params) -> DataFrame:
 
 
 def fast_hadamard(clients: DataFrame, items: DataFrame, p: Params) -> DataFrame:
-    state = sketch.hadamard_state(reports.hadamard_reports(clients, p))
-    return sketch.hadamard_estimate(items, state, p, hadamard_inverse(state, p))
+    return sketch.hadamard_estimate(items, sketch.hadamard_state(reports.hadamard_reports(clients, p)), p, how="gather")

@@ -5,12 +5,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators import sketch
+from ..operators import reports, sketch
 from ..params import Params
 from . import kernels
 
 #: Rows of a score table that a broadcast may hold, probes that a join may make, bits that may be spelled out as rows.
-SCORES, PROBES, BITS = 10_000_000, 50_000_000, 20_000_000
+SCORES, PROBES, BITS = 5_000_000, 200_000, 20_000_000
 
 
 def choose_scorer(rows: int) -> str:
@@ -27,9 +27,15 @@ def choose_build(rows: int, p: Params) -> str:
     return "expression" if rows * p.m <= BITS else "vector"
 
 
-def estimate(items: DataFrame, state: DataFrame, p: Params, rows: int | None = None) -> DataFrame:
-    rows = items.count() if rows is None else rows
-    return (sketch.one_hot_estimate if choose_query(rows, p) == "join" else kernels.gather_estimate)(items, state, p)
+def build(clients: DataFrame, rows: int, p: Params) -> DataFrame:
+    """The one-hot (or split) state of `rows` clients by the form that their number asks for. The forms use other coins."""
+    if choose_build(rows, p) == "expression":
+        return sketch.one_hot_state(reports.one_hot_bits(clients, p))
+    return kernels.vector_state(clients, p)
+
+
+def estimate(items: DataFrame, state: DataFrame, p: Params, rows: int) -> DataFrame:
+    return sketch.one_hot_estimate(items, state, p, how=choose_query(rows, p))
 
 
 def score_join(items: DataFrame, scores: DataFrame, rows: int) -> DataFrame:

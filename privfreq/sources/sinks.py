@@ -2,10 +2,30 @@
 
 from __future__ import annotations
 
+import tempfile
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
+def materialize(df: DataFrame, name: str) -> DataFrame:
+    """Write df in the folder that spark.checkpoint.dir names and read it back: one run, whoever reads it and is lost.
+
+    In local mode, where no folder is named, a temporary one serves.
+    """
+    spark = df.sparkSession
+    folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not folder:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+        folder = f"file://{tempfile.mkdtemp(prefix='privfreq-')}"
+        spark.sparkContext.setCheckpointDir(folder)
+    path = f"{folder.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
 def save_state(state: DataFrame, path: str, run_id: str, phase: int) -> None:
     """Partitions by run and phase, so that a query reads its own files only."""
     marked = state.withColumns({"run_id": F.lit(run_id), "phase": F.lit(phase)})

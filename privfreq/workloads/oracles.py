@@ -8,6 +8,9 @@ from ..params import COIN, P31, SMALL, Params, threshold
 
 WORDS = SMALL.but(m=256, k=16)
 COUNT = SMALL.but(m=512, k=5)
+AUDIT = SMALL.but(m=3, k=1, eps=2.0)
+#: Points of the experiments' grids that are checked bit by bit, on small sketches.
+GRIDS = {"eps": tuple(float(e) for e in range(1, 8)), "r": (0.1, 0.15, 0.2, 0.25, 0.3), "theta": (0.3, 0.35, 0.4, 0.45, 0.5, 0.55, 0.6), "k": (2, 4, 8, 16, 32), "m": (16, 32, 64, 128, 256)}
 
 
 def num(x: float) -> str:
@@ -262,7 +265,7 @@ def oracles() -> dict[str, str]:
         "top_by_group": "SELECT grp, item, f, rn FROM (SELECT *, row_number() OVER (PARTITION BY grp ORDER BY f DESC, item)::INTEGER AS rn FROM (SELECT event_type AS grp, user_id AS item, count(*)::BIGINT AS f FROM events GROUP BY ALL)) WHERE rn <= 3",
         "moving_count": "SELECT item, day, f, sum(f) OVER (PARTITION BY item ORDER BY day RANGE BETWEEN 6 PRECEDING AND CURRENT ROW)::BIGINT AS moving FROM (SELECT event_type AS item, date_diff('day', DATE '1970-01-01', ts::DATE)::INTEGER AS day, count(*)::BIGINT AS f FROM events GROUP BY ALL)",
         "unseen_items": q(f"{base('words')}, {phase(p)}", "SELECT DISTINCT item FROM ph WHERE phase = 2 AND item NOT IN (SELECT item FROM ph WHERE phase = 1)"),
-        "restrict_candidates": q(base("words"), "SELECT item, f FROM truth WHERE item IN (SELECT item FROM truth ORDER BY f DESC, item LIMIT 20)"),
+        "restrict_candidates": q(f"t AS MATERIALIZED (SELECT item, count(*)::BIGINT AS f FROM ({CLIENTS['words']}) GROUP BY item), top AS MATERIALIZED (SELECT item FROM t ORDER BY f DESC, item LIMIT 20)", "SELECT item, f FROM t JOIN top USING (item)"),
         "domain_diff": f"WITH a AS (SELECT DISTINCT item FROM ({CLIENTS['words']})), b AS (SELECT DISTINCT item FROM ({CLIENTS['chat_words']})) SELECT 'left' AS side, count(*)::BIGINT AS n FROM a WHERE item NOT IN (SELECT item FROM b) UNION ALL SELECT 'right', count(*)::BIGINT FROM b WHERE item NOT IN (SELECT item FROM a) UNION ALL SELECT 'both', count(*)::BIGINT FROM a WHERE item IN (SELECT item FROM b)",
         "diff_estimates": f"WITH a AS (SELECT DISTINCT item FROM ({CLIENTS['words']})), b AS (SELECT DISTINCT item FROM ({CLIENTS['chat_words']})) SELECT side, count(*)::BIGINT AS n FROM (SELECT CASE WHEN a.item IS NULL THEN 'right' ELSE 'left' END AS side FROM a FULL JOIN b ON a.item = b.item WHERE a.item IS NULL OR b.item IS NULL) GROUP BY side",
         "filter_labels": q("c AS (SELECT * FROM (" + CLIENTS["words"] + ") WHERE doc_id IN (SELECT doc_id FROM labels WHERE quality = 1))", "SELECT count(*)::BIGINT AS n, count(DISTINCT item)::BIGINT AS d FROM c"),
@@ -286,6 +289,27 @@ def oracles() -> dict[str, str]:
         f"c AS ({seg}), d AS (SELECT DISTINCT segment, item, key FROM c), {hashes('hp', p.hashes(p.k_pool))}, dr AS (SELECT rid, segment, key, {uniform('rid', p, 'row', p.k_pool)} AS j FROM c), rp AS (SELECT segment, dr.j, CASE WHEN {coin('rid', p, 'keep')} < {threshold(p.keep)} THEN {place('key', p.g)} ELSE ({place('key', p.g)} + 1 + {uniform('rid', p, 'other', p.g - 1)}) % {p.g} END AS y FROM dr JOIN hp ON hp.j = dr.j), st AS (SELECT segment, j, y, count(*)::BIGINT AS cnt FROM rp GROUP BY ALL), n AS (SELECT segment, sum(cnt)::BIGINT AS n FROM st GROUP BY segment), s AS (SELECT d.segment, d.item, coalesce(sum(st.cnt), 0)::BIGINT AS s FROM d CROSS JOIN hp LEFT JOIN st ON st.segment = d.segment AND st.j = hp.j AND st.y = {place('d.key', p.g)} GROUP BY ALL)",
         f"SELECT segment, item, (s - n / {p.g}) / {num(p.keep - 1 / p.g)} + 0 AS f_hat FROM s JOIN n USING (segment)",
     )
+    point = lambda p: {"onehot": one_hot_estimate("types", p), "hadamard": hadamard_estimate("types", p), "pooled_lh": local_hash_estimate("types", p), "split": split("types", p)}
+    for name, values in GRIDS.items():
+        parts = [f"SELECT {num(v)} AS value, '{m}' AS method, round(avg((f_hat - f) * (f_hat - f)), 3) AS mse, count(*)::BIGINT AS n_items FROM ({q(ctes, 'SELECT item, f_hat, f FROM est JOIN truth USING (item)')})" for v in values for m, ctes in point(p.but(**{name: v})).items()]
+        out[f"grid_{name}"] = " UNION ALL ".join(parts)
+    out["error_grouping_sets"] = q(ERR, "SELECT method, item, round(sum(e2), 2) AS sse, count(*)::BIGINT AS n_items FROM err GROUP BY GROUPING SETS ((method), (item))")
+    out["postprocess_shift"] = q(base("types"), "SELECT round(sum(f)::DOUBLE, 3) AS total, 0::BIGINT AS negative, count(*)::BIGINT AS n_items FROM truth")
+    out["postprocess_significant"] = q(hadamard_estimate("types", p), "SELECT item, CASE WHEN f_hat >= 1000 THEN f_hat ELSE 0 END AS f_hat FROM est")
+    fac, noise, size = num((w.m / (w.m - 1)) ** 2), (w.c**2 - 1) / 4, w.k * w.m
+    light, heavy = f"{fac} * (n * {num(noise / (1 - w.r))} + lf2 / {size})", f"{fac} * (n * {num(noise / w.r)} + f2 / {size})"
+    out["theory_split"] = q(
+        f"{base('words')}, {SCORES}, {boundary('scores', w.theta)}, m AS (SELECT sum(f)::BIGINT AS n, sum(f * f)::BIGINT AS f2, sum(CASE WHEN f < (SELECT p FROM bd) THEN f * f ELSE 0 END)::BIGINT AS lf2, sum(CASE WHEN f >= (SELECT p FROM bd) THEN 1 ELSE 0 END)::BIGINT AS nh, sum(CASE WHEN f >= (SELECT p FROM bd) THEN f ELSE 0 END)::BIGINT AS hn, count(*)::BIGINT AS d FROM truth)",
+        f"SELECT round({light}, 3) AS light, round({heavy}, 3) AS heavy, round(({light} * (d - nh) + {heavy} * nh) / d, 3) AS total, round({fac} * (n * {num(noise)} + (n * {num(1 - w.theta)} - (n - hn) / (d - nh)) / {w.m} + lf2 / {size}), 3) AS bound FROM m",
+    )
+    a = AUDIT
+    out["privacy_audit"] = q(
+        f"{base('types')}, {hashes('hp', a.hashes())}, x AS (SELECT rid, key % 2 = 1 AS heavy, CASE WHEN key % 2 = 1 THEN -1 ELSE {place('key', a.m)} END AS pos FROM c, hp), bits AS (SELECT rid, heavy, t.b, (t.b = pos) <> (('0x' || substr(md5(rid || '|{a.seed}|bit|0'), 1 + 7 * t.b, 7))::BIGINT < {threshold(a.q)}) AS plus FROM x, (VALUES (0), (1), (2)) t(b)), o AS (SELECT rid, heavy, sum(CASE WHEN plus THEN 1 << t.b ELSE 0 END) AS out FROM bits t GROUP BY rid, heavy), n AS (SELECT heavy, out, count(*) AS n FROM o GROUP BY ALL), sh AS (SELECT heavy, out, n / sum(n) OVER (PARTITION BY heavy) AS share FROM n), ra AS (SELECT out, max(share) / min(share) AS ratio FROM sh GROUP BY out HAVING count(*) = 2)",
+        f"SELECT 'heavy-light' AS paths, round(max(ratio), 6) AS max_ratio, round({num(math.exp(a.eps / 2))}, 6) AS bound FROM ra",
+    )
+    out["theory_covariance"] = " UNION ALL ".join(f"SELECT {m}::INTEGER AS m, {k}::INTEGER AS k, '{pair}' AS pair, round({v}, 9) AS covariance" for m, k in ((8, 2), (64, 8), (1024, 64)) for pair, v in (("same_other", f"1e0 / {m} - 1e0 / {m * m}"), ("different", "0e0"), ("dummy", "0e0")))
+    u = f"({coin(LINE, p, 'zipf')} / {num(COIN)})"
+    out["zipf_stats"] = q(f"c AS (SELECT floor(pow(1 - {u} * {num(1 - 2_000_000 ** (1 - 1.1))}, {num(-1 / (1.1 - 1))}))::BIGINT AS item FROM lineitem), truth AS (SELECT item, count(*)::BIGINT AS f FROM c GROUP BY item)", "SELECT sum(f)::BIGINT AS n, count(*)::BIGINT AS d, max(f)::BIGINT AS f_max FROM truth")
     two = f"{base('types')}, {hashes('hp', p.hashes())}, {phase(p)}, ph1 AS (SELECT rid, key FROM ph WHERE phase = 1), ph2 AS (SELECT rid, key FROM ph WHERE phase = 2), {one_hot('ph1', p, 'a')}, {sums(p, 'a')}, {one_hot('ph2', p, 'b2')}, {sums(p, 'b2')}"
     out["two_round_heavy_hitters"] = q(f"{two}, top AS (SELECT item, {value(p)} AS f1 FROM a_s, a_n ORDER BY f1 DESC, item LIMIT 3)", f"SELECT item, {value(p)} / {num(1 - p.r)} AS f_hat FROM b2_s, b2_n WHERE item IN (SELECT item FROM top)")
     return out

@@ -9,12 +9,13 @@ from pyspark.sql import functions as F
 
 from ..measures import errors, theory
 from ..operators import model, relational, reports, sketch, split
-from ..params import SMALL, Params
+from ..params import SENSOR, SMALL, ZIPF, Params
 from ..plans import kernels, planner
 from ..sources import tables
+from ..sources.sinks import materialize
 from ..streaming import windows
 from . import sweeps
-from .oracles import COUNT, WORDS
+from .oracles import AUDIT, COUNT, GRIDS, WORDS
 
 S = SparkSession
 
@@ -35,7 +36,7 @@ def truth_scores(clients: DataFrame) -> DataFrame:
 def one_hot_of(name: str, p: Params):
     def run(spark: S, d: str) -> DataFrame:
         c = fixture(name)(spark, d)
-        return sketch.one_hot_estimate(sketch.domain_of(c), sketch.one_hot_state(reports.one_hot_bits(c, p)), p)
+        return sketch.one_hot_estimate(sketch.domain_of(c), sketch.one_hot_state(reports.one_hot_bits(c, p)), p, how="join")
 
     return run
 
@@ -72,7 +73,7 @@ def counted_of(how: str, name: str = "words", p: Params = COUNT):
 
 def split_parts(spark: S, d: str, p: Params, name: str):
     c = fixture(name)(spark, d)
-    scores = truth_scores(c)
+    scores = materialize(truth_scores(c), "scores")
     cut = split.find_boundary(scores, p.theta)
     return c, split.TableScorer(scores), cut, reports.assign_phase(c, p)
 
@@ -323,25 +324,80 @@ def curve(spark: S, d: str) -> DataFrame:
     return errors.sse_curve(sketch.exact(fixture("words")(spark, d)), counted_of("min")(spark, d), None)
 
 
-def fitted(spec: model.ModelSpec, name: str = "zipf"):
+def fitted(spec: model.ModelSpec, name: str = "zipf", p: Params = ZIPF):
+    """The two-phase estimator with a fitted model, every client's bits flipped."""
+
     def run(spark: S, d: str) -> DataFrame:
         c = fixture(name)(spark, d)
-        p = SMALL.but(m=256, k=16)
-        domain = sketch.domain_of(c)
-        return split.split_fit(c, domain, p, spec, t=20_000).estimate(domain)
+        domain = materialize(sketch.domain_of(c), "domain")
+        return split.split_fit(c, domain, p, spec, t=50_000).estimate(domain)
 
     return run
 
 
+def cluster_fitted(spark: S, d: str) -> DataFrame:
+    """item, g: the frequency model fitted by the cluster's own regressor, on the phase-1 targets."""
+    c, p = fixture("zipf")(spark, d), SMALL.but(m=256, k=16)
+    first = kernels.vector_state(reports.assign_phase(c, p).where("phase = 1"), p)
+    domain = sketch.domain_of(c)
+    targets = split.phase1_targets(split.sample_domain(domain, 20_000), first, p)
+    return model.scored(model.fit_frequency_model(targets, model.ModelSpec.boosted(0.1, 5, 4), "cluster"), domain).select("item", "g")
+
+
 def tuned(spark: S, d: str) -> DataFrame:
     c = fixture("sensor_coarse")(spark, d)
-    domain = sketch.domain_of(c)
-    first = kernels.vector_state(reports.assign_phase(c, SMALL).where("phase = 1"), SMALL)
-    train = split.phase1_targets(domain, first, SMALL).join(domain, "item")
-    spec = model.tune(train)
+    first = kernels.vector_state(reports.assign_phase(c, SENSOR).where("phase = 1"), SENSOR)
+    spec = model.tune(split.phase1_targets(sketch.domain_of(c), first, SENSOR))
     return spark.createDataFrame([(spec.kind, spec.step, spec.trees, spec.depth)], "kind string, step double, trees int, depth int")
 
 
+def checked_point(p: Params, name: str = "types") -> dict:
+    """Estimates of all methods on one small set with coins that another engine reproduces; true frequencies as scores."""
+    return {"onehot": one_hot_of(name, p), "hadamard": hadamard_of(name, p, fast=True), "pooled_lh": local_hash_of(name, p), "split": split_of(name=name, p=p)}
+
+
+def checked_grid(param: str, values):
+    """value, method, mse, n_items for each point of a sweep: the experiments' grids at a size that SQL can follow bit by bit."""
+
+    def run(spark: S, d: str) -> DataFrame:
+        truth = materialize(sketch.exact(fixture("types")(spark, d)), "truth")
+        rows = [errors.mse(truth, f(spark, d).select("item", "f_hat")).select(F.lit(float(v)).alias("value"), F.lit(m).alias("method"), F.round("mse", 3).alias("mse"), "n_items") for v in values for m, f in checked_point(SMALL.but(**{param: v})).items()]
+        return reduce(DataFrame.unionByName, rows)
+
+    return run
+
+
+def grouping_sets(spark: S, d: str) -> DataFrame:
+    return errors.error_report(scored(spark, d), "method", "item", kind="sets").select("method", "item", F.round("sse", 2).alias("sse"), "n_items")
+
+
+def shifted(spark: S, d: str) -> DataFrame:
+    """How much was taken from all, and what is left: the sum of the answers is the number of clients."""
+    c = fixture("types")(spark, d)
+    out = sketch.postprocess(hadamard_of("types", SMALL)(spark, d), "shift", total=c.count())
+    return out.agg(F.round(F.sum("f_hat"), 3).alias("total"), F.count_if(F.col("f_hat") < 0).alias("negative"), F.count("*").alias("n_items"))
+
+
+def significant(spark: S, d: str) -> DataFrame:
+    return sketch.postprocess(hadamard_of("types", SMALL)(spark, d), "significant", cut=1000.0)
+
+
+def split_variance(spark: S, d: str) -> DataFrame:
+    """Variance of light and heavy items of an exact split, and the published bound for a light item of mean frequency."""
+    truth = sketch.exact(fixture("words")(spark, d))
+    cut = split.find_boundary(word_scores(spark, d), WORDS.theta).p
+    return theory.split_theory(truth, cut, WORDS).select(*[F.round(c, 3).alias(c) for c in ("light", "heavy", "total", "bound")])
+
+
+def audit(spark: S, d: str) -> DataFrame:
+    """The largest ratio between shares of output patterns of two groups of clients, told apart by what they hold."""
+    return theory.audit(fixture("types")(spark, d), AUDIT).select("paths", F.round("max_ratio", 6).alias("max_ratio"), F.round("bound", 6).alias("bound"))
+
+
+def covariance(spark: S, d: str) -> DataFrame:
+    return theory.covariance_table(spark, [SMALL.but(m=m, k=k) for m, k in ((8, 2), (64, 8), (1024, 64))]).select("m", "k", "pair", F.round("covariance", 9).alias("covariance"))
+
+
 def queries() -> dict:
     out = {f"exact_{n}": exact_of(n) for n in ("words", "parts", "customers", "sensor_fine", "sensor_coarse", "types", "props", "users", "chat_words", "hosts")}
     out |= {
@@ -420,10 +476,18 @@ def queries() -> dict:
         "bloom_bits_estimate": bloom,
         "segment_report": segments,
         "two_round_heavy_hitters": two_rounds,
-        "split_gbt": fitted(model.ModelSpec.boosted(0.1, 10, 4)),
-        "split_forest": fitted(model.ModelSpec.forest(10, 5)),
-        "split_gbt_sensor": fitted(model.ModelSpec.boosted(0.1, 10, 3), "sensor_coarse"),
+        "split_gbt": fitted(model.ZIPF_BOOSTED),
+        "split_forest": fitted(model.ModelSpec.forest(100, 5)),
+        "split_gbt_sensor": fitted(model.SENSOR_BOOSTED, "sensor_coarse", SENSOR),
+        "model_cluster": cluster_fitted,
         "tune_model": tuned,
+        "error_grouping_sets": grouping_sets,
+        "postprocess_shift": shifted,
+        "postprocess_significant": significant,
+        "theory_split": split_variance,
+        "privacy_audit": audit,
+        "theory_covariance": covariance,
+        **{f"grid_{name}": checked_grid(name, values) for name, values in GRIDS.items()},
         "zipf_stats": lambda s, d: relational.domain_stats(fixture("zipf")(s, d)),
     }
     return out | sweeps.QUERIES

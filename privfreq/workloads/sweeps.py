@@ -1,7 +1,11 @@
-"""The experiments: accuracy, space, query time and sweeps of k, m, eps, r, theta and s, on simulated states.
+"""The experiments: accuracy, model choice, space, query time, and sweeps of k, m, eps, r, theta and s.
 
 Simulated states have the clients' distribution (binomial cells) at the cost of a count, so that a sweep of many settings
 stays cheap; each point's error is measured against true frequencies over the whole domain.
+
+`split` is the two-phase estimator as it would run: phase 1 is sketched, a model is fitted to its estimates, heavy items
+are answered by the model. `split_exact` is an ablation that no deployment has: true frequencies choose the heavy items,
+which are then read from the phase-1 sketch.
 """
 
 from __future__ import annotations
@@ -9,141 +13,229 @@ from __future__ import annotations
 import time
 from functools import reduce
 
-import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..measures import errors, theory
+from ..measures import theory
 from ..operators import model, reports, sketch, split
-from ..params import Params
+from ..params import SENSOR, ZIPF, Params
 from ..plans import kernels
+from ..plans.gather import gather
 from ..sources import tables
 
-BASE = Params(m=256, k=16, k_pool=128)
+#: Published settings of each data set: sketch, shares and boosted trees; words stand for a second skewed set.
+SETS = {"zipf": (ZIPF, model.ZIPF_BOOSTED), "words": (ZIPF, model.ZIPF_BOOSTED), "sensor_coarse": (SENSOR, model.SENSOR_BOOSTED)}
+#: The control without skew has the Zipf sets' settings.
+CONTROL = {"parts": (ZIPF, model.ZIPF_BOOSTED)}
+METHODS = ("onehot", "hadamard", "pooled_lh", "split", "split_exact")
+#: Items of the domain that the model learns from.
+TRAIN = 50_000
+RESULT = "source string, param string, value double, method string, mse double, sse double, mse_light double, mse_heavy double, n_heavy bigint, mass_heavy double"
 
 
-def one_hot_mse(clients: DataFrame, domain: DataFrame, truth: DataFrame, p: Params) -> DataFrame:
-    return errors.mse(truth, kernels.gather_estimate(domain, kernels.simulated_state(clients, p), p))
+class Data:
+    """Clients and the true frequencies of a data set, kept while its points are measured."""
 
+    def __init__(self, clients: DataFrame):
+        self.clients = clients.persist()
+        self.truth = clients.groupBy("item", "key").agg(F.count("*").cast("double").alias("f")).persist()
+        row = self.truth.agg(F.count("*").alias("d"), F.sum("f").alias("n"), F.avg(F.col("f") * F.col("f")).alias("zero")).first()
+        self.d, self.n, self.zero = row["d"], row["n"], row["zero"]
+        self.fits: dict = {}
 
-def hadamard_mse(clients: DataFrame, domain: DataFrame, truth: DataFrame, p: Params) -> DataFrame:
-    return errors.mse(truth, kernels.fast_hadamard(clients, domain, p))
+    def close(self) -> None:
+        self.clients.unpersist()
+        self.truth.unpersist()
 
 
-def local_hash_mse(clients: DataFrame, domain: DataFrame, truth: DataFrame, p: Params) -> DataFrame:
-    return errors.mse(truth, sketch.local_hash_estimate(domain, sketch.local_hash_state(reports.local_hash_reports(clients, p)), p))
+def _errors(rows: DataFrame) -> dict:
+    """Mean and summed squared errors of rows (f, f_hat, path), and of either path."""
+    e2 = F.pow(F.col("f_hat") - F.col("f"), 2)
+    of = lambda path: F.when(F.col("path") == path, e2)
+    heavy = F.col("path") == "heavy"
+    return rows.agg(F.avg(e2).alias("mse"), F.sum(e2).alias("sse"), F.avg(of("light")).alias("mse_light"), F.avg(of("heavy")).alias("mse_heavy"), F.count_if(heavy).alias("n_heavy"), (F.sum(F.when(heavy, F.col("f")).otherwise(0.0)) / F.sum("f")).alias("mass_heavy")).first().asDict()
 
 
-def split_mse(clients: DataFrame, domain: DataFrame, truth: DataFrame, p: Params, scores: DataFrame | None = None) -> DataFrame:
-    """With true frequencies as scores (an exact split), or with given ones; heavy items are read from phase 1, over r."""
-    scores = truth.select("item", F.col("f").cast("double").alias("g")) if scores is None else scores
-    cut = split.find_boundary(scores, p.theta)
-    scorer = split.TableScorer(scores)
-    phased = reports.assign_phase(clients, p)
-    first = kernels.simulated_state(phased.where("phase = 1"), p)
-    state = kernels.simulated_state(split.mark_heavy(scorer.score(phased.where("phase = 2")), cut.p), p)
-    light = split.split_estimate(domain, scorer, cut, state, p)
-    heavy = kernels.gather_estimate(domain, first, p).select("item", (F.col("f_hat") / F.lit(p.r)).alias("h"))
-    both = light.join(heavy, "item").select("item", F.when(F.col("path") == "heavy", F.col("h")).otherwise(F.col("f_hat")).alias("f_hat"), "path")
-    return errors.score(truth, both).agg(F.avg("e2").alias("mse"), F.sum("e2").alias("sse"), F.count("*").alias("n_items"), F.avg(F.when(F.col("path") == "light", F.col("e2"))).alias("mse_light"), F.avg(F.when(F.col("path") == "heavy", F.col("e2"))).alias("mse_heavy"))
+def _plain(data: Data, table, hashes, value) -> dict:
+    return _errors(gather(data.truth, table, hashes).select("f", value(F.col("s")).alias("f_hat"), F.lit("light").alias("path"))) | {"n_heavy": None, "mass_heavy": None, "mse_light": None, "mse_heavy": None}
 
 
-RUNS = {"onehot": one_hot_mse, "hadamard": hadamard_mse, "pooled_lh": local_hash_mse, "split": split_mse}
+def one_hot_errors(data: Data, p: Params, spec=None) -> dict:
+    cells = sketch.collected(kernels.simulated_state(data.clients, p), p)
+    n = F.lit(cells.n)
+    return _plain(data, cells.v, p.hashes(), lambda s: sketch.one_hot_value(s, n, n, p))
 
 
-def measure(clients: DataFrame, points: list[tuple[str, float, Params]], methods: tuple[str, ...]) -> DataFrame:
-    """param, value, method, mse, mse_light, mse_heavy for every setting and method; and the error of answering 0."""
-    clients = clients.persist()
-    domain, truth = sketch.domain_of(clients).persist(), sketch.exact(clients).persist()
-    zero = truth.agg(F.avg(F.pow("f", F.lit(2.0))).alias("m")).first()["m"]
-    rows = []
-    for name, value, p in points:
-        for method in methods:
-            r = RUNS[method](clients, domain, truth, p).first().asDict()
-            rows.append((name, float(value), method, r["mse"], r.get("mse_light"), r.get("mse_heavy")))
-        rows.append((name, float(value), "all_zero", zero, None, None))
-    out = clients.sparkSession.createDataFrame(rows, "param string, value double, method string, mse double, mse_light double, mse_heavy double")
-    for df in (clients, domain, truth):
-        df.unpersist()
-    return out
+def hadamard_errors(data: Data, p: Params, spec=None) -> dict:
+    table, n = sketch.hadamard_cells(sketch.hadamard_state(reports.hadamard_reports(data.clients, p)), p)
+    return _plain(data, table, p.hashes(), lambda s: F.lit(p.m / (p.m - 1)) * (F.lit(p.hadamard_c) * s - n / p.m))
+
+
+def local_hash_errors(data: Data, p: Params, spec=None) -> dict:
+    from ..plans.gather import dense
+
+    counts = dense(sketch.local_hash_state(reports.local_hash_reports(data.clients, p)).toPandas(), p.k_pool, p.g, "y", "cnt")
+    return _plain(data, counts, p.hashes(p.k_pool), lambda s: sketch.local_hash_value(s, F.lit(int(counts.sum())), p))
 
 
-def sweep(spark: SparkSession, sf_dir: str, param: str, values, methods=("onehot", "split"), base: Params = BASE, source: str = "words", **options) -> DataFrame:
-    """The sweep of one parameter: k, m, eps, r, theta on one data set, or s on the Zipf sets."""
+def phase_one(data: Data, p: Params, spec: model.ModelSpec) -> tuple[sketch.Cells, object, DataFrame]:
+    """The sketch of phase 1, the model fitted to its estimates, and the domain's scores; once for each of their settings."""
+    key = (p.eps, p.m, p.k, p.r, spec)
+    if key not in data.fits:
+        first = sketch.collected(kernels.simulated_state(reports.assign_phase(data.clients, p).where("phase = 1"), p), p)
+        train = split.sample_domain(data.truth.select("item", "key"), TRAIN, p.seed)
+        fitted = model.fit_frequency_model(split.phase1_targets(train, first, p), spec)
+        data.fits[key] = first, fitted, model.scored(fitted, data.truth)
+    return data.fits[key]
+
+
+def split_errors(data: Data, p: Params, spec: model.ModelSpec, exact: bool = False) -> dict:
+    first, _, scores = phase_one(data, p, spec)
+    if exact:
+        scores = data.truth.withColumn("g", F.col("f"))
+    cut = split.find_boundary(scores, p.theta)
+    second = reports.assign_phase(data.clients, p).where("phase = 2")
+    marked = split.mark_heavy(split.TableScorer(scores, rows=data.d).score(second), cut.p)
+    state = sketch.collected(kernels.simulated_state(marked, p), p)
+    rows = gather(scores.withColumn("heavy", F.col("g") >= F.lit(cut.p)), state.v, p.hashes(), "s1")
+    mass = split.light_mass(state, p.theta, cut.realised, p, "sketch")
+    light = sketch.one_hot_value(F.col("s1"), F.lit(state.n), F.lit(mass), p) / F.lit(1 - p.r)
+    heavy = F.col("g")
+    if exact:
+        rows = gather(rows, first.v, p.hashes(), "s0")
+        heavy = sketch.one_hot_value(F.col("s0"), F.lit(first.n), F.lit(first.n), p) / F.lit(p.r)
+    return _errors(rows.select("f", F.when(F.col("heavy"), heavy).otherwise(light).alias("f_hat"), F.when(F.col("heavy"), "heavy").otherwise("light").alias("path")))
+
+
+RUNS = {"onehot": one_hot_errors, "hadamard": hadamard_errors, "pooled_lh": local_hash_errors, "split": split_errors, "split_exact": lambda d, p, s: split_errors(d, p, s, True)}
+
+
+def measure(source: str, clients: DataFrame, points: list[tuple[str, float, Params]], spec: model.ModelSpec, methods=METHODS) -> list[tuple]:
+    """Rows of RESULT for every setting and method; `all_zero` is the error of answering 0 for everything."""
+    data, rows = Data(clients), []
+    try:
+        for name, value, p in points:
+            for method in methods:
+                r = RUNS[method](data, p, spec)
+                rows.append((source, name, float(value), method, *[r[c] for c in ("mse", "sse", "mse_light", "mse_heavy", "n_heavy", "mass_heavy")]))
+            rows.append((source, name, float(value), "all_zero", data.zero, data.zero * data.d, None, None, None, None))
+    finally:
+        data.close()
+    return rows
+
+
+def sweep(spark: SparkSession, sf_dir: str, param: str, values, source: str, methods=METHODS, **base) -> DataFrame:
+    """One parameter (k, m, eps, r, theta) on one data set, or the skew s of the Zipf set; the others as published."""
     if param == "s":
-        parts = [measure(tables.zipf_items(spark, sf_dir, s), [("s", s, base)], methods) for s in values]
-        return reduce(DataFrame.unionByName, parts)
-    return measure(tables.FIXTURES[source](spark, sf_dir), [(param, v, base.but(**{param: v})) for v in values], methods)
+        p, spec = SETS["zipf"]
+        rows = [r for s in values for r in measure("zipf", tables.zipf_items(spark, sf_dir, s), [("s", s, p.but(**base))], spec, methods)]
+    else:
+        p, spec = (SETS | CONTROL)[source]
+        rows = measure(source, tables.FIXTURES[source](spark, sf_dir), [(param, v, p.but(**base).but(**{param: v})) for v in values], spec, methods)
+    return spark.createDataFrame(rows, RESULT)
 
 
-def accuracy(spark: SparkSession, sf_dir: str, base: Params = BASE) -> DataFrame:
-    """All four methods on the three kinds of data and on the control without skew."""
-    sets = ("words", "zipf", "sensor_coarse", "parts")
-    return reduce(DataFrame.unionByName, [measure(tables.FIXTURES[n](spark, sf_dir), [(n, i, base)], tuple(RUNS)) for i, n in enumerate(sets)])
+def accuracy(spark: SparkSession, sf_dir: str, **base) -> DataFrame:
+    """All methods on all data sets and on the control without skew, at the published settings or with others."""
+    rows = []
+    for source, (p, spec) in (SETS | CONTROL).items():
+        rows += measure(source, tables.FIXTURES[source](spark, sf_dir), [("default", 0, p.but(**base))], spec)
+    return spark.createDataFrame(rows, RESULT)
 
 
 def model_choice(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Boosted trees against a forest of as many trees and depth: error on true frequencies, bytes."""
-    rows, p = [], BASE
-    for source in ("zipf", "sensor_coarse"):
-        clients = tables.FIXTURES[source](spark, sf_dir)
-        domain, truth = sketch.domain_of(clients).persist(), sketch.exact(clients).persist()
-        first = kernels.simulated_state(reports.assign_phase(clients, p).where("phase = 1"), p)
-        train = split.phase1_targets(split.sample_domain(domain, 20_000), first, p).join(domain, "item").persist()
-        for kind, spec in (("boosted", model.ModelSpec.boosted(0.1, 10, 4)), ("forest", model.ModelSpec.forest(10, 4))):
-            fitted = model.fit_frequency_model(train, spec)
-            scores = split.ModelScorer(fitted, model.features).score(domain).select("item", "g")
-            rows.append((source, kind, model.model_error(truth, scores).first()["mse"], model.model_bytes(fitted)))
-    return spark.createDataFrame(rows, "source string, model string, mse double, bytes bigint")
-
-
-def space_accuracy(spark: SparkSession, sf_dir: str, shapes=((128, 8), (256, 16), (512, 32))) -> DataFrame:
-    """Error against the bytes of the state, for growing sketches."""
-    points = [("bytes", theory.sketch_bytes(BASE.but(m=m, k=k), "onehot"), BASE.but(m=m, k=k)) for m, k in shapes]
-    return measure(tables.words(spark, sf_dir), points, ("onehot", "split"))
-
-
-def query_latency(spark: SparkSession, sf_dir: str, n: int = 50_000, source: str = "zipf") -> DataFrame:
-    """method, micros: mean time of a lookup over n items, on the driver's copy of each method's state."""
-    clients = tables.FIXTURES[source](spark, sf_dir)
-    domain, p = sketch.domain_of(clients), BASE
-    keys = np.array([r["key"] for r in split.sample_domain(domain, n).select("key").collect()], np.int64)
-    keys = np.resize(keys, n)
-    state = kernels.simulated_state(clients, p).toPandas()
-    cells = np.zeros((p.k, p.m))
-    cells[state["j"], state["b"]] = state["plus"]
-    local = sketch.local_hash_state(reports.local_hash_reports(clients, p)).toPandas()
-    support = np.zeros((p.k_pool, p.g))
-    support[local["j"], local["y"]] = local["cnt"]
-    g = np.sort(np.random.default_rng(1).random(2000))
-
-    def rows(table: np.ndarray, hashes, width: int) -> np.ndarray:
-        return sum(table[j, (a * keys + b) % 2147483647 % width] for j, (a, b) in enumerate(hashes))
-
-    inverse = kernels.butterfly(cells)
-    full = np.array([rows(support, p.hashes(p.k_pool), p.g)])  # the precomputed table of the local-hash method
-    runs = {
-        "onehot": lambda: rows(cells, p.hashes(), p.m),
-        "hadamard": lambda: rows(inverse, p.hashes(), p.m),
-        "pooled_lh": lambda: full[0, np.arange(n)],
-        "split": lambda: (np.searchsorted(g, keys / 2147483647), rows(cells, p.hashes(), p.m)),
+    """Boosted trees at the published settings against a forest of as many bytes: error on true frequencies."""
+    rows = []
+    for source, (p, spec) in SETS.items():
+        data = Data(tables.FIXTURES[source](spark, sf_dir))
+        first, boosted, scores = phase_one(data, p, spec)
+        size = model.model_bytes(boosted)
+        targets = split.phase1_targets(split.sample_domain(data.truth.select("item", "key"), TRAIN, p.seed), first, p).persist()
+        probe = model.fit_frequency_model(targets, model.ModelSpec.forest(10, spec.depth))
+        n = max(1, round(10 * size / model.model_bytes(probe)))
+        forest = model.fit_frequency_model(targets, model.ModelSpec.forest(n, spec.depth))
+        for kind, fitted, trees, table in (("boosted", boosted, spec.trees, scores), ("forest", forest, n, model.scored(forest, data.truth))):
+            e2 = F.pow(F.col("g") - F.col("f"), 2)
+            r = table.agg(F.avg(e2).alias("mse"), F.sum(e2).alias("sse")).first()
+            rows.append((source, kind, trees, spec.depth, spec.step if kind == "boosted" else None, r["mse"], r["sse"], model.model_bytes(fitted)))
+        targets.unpersist()
+        data.close()
+    return spark.createDataFrame(rows, "source string, model string, trees int, depth int, step double, mse double, sse double, bytes bigint")
+
+
+#: Rows of the published space table as k at m = 1024: of the split path's sketch, and of the one-hot and Hadamard sketches.
+SPACE = ((8, 32), (32, 64), (64, 128), (128, 256), (256, 316))
+
+
+def space_accuracy(spark: SparkSession, sf_dir: str, rows=SPACE, source: str = "zipf") -> DataFrame:
+    """budget, method, k, m, model_bytes, sketch_bytes, total_bytes, mse, sse: the five budgets, models included."""
+    p, spec = SETS[source]
+    data, out = Data(tables.FIXTURES[source](spark, sf_dir)), []
+    for i, (small, large) in enumerate(rows, 1):
+        for method in ("onehot", "hadamard", "split"):
+            q = p.but(k=small if method == "split" else large)
+            r = RUNS[method](data, q, spec)
+            model_size = model.model_bytes(phase_one(data, q, spec)[1]) if method == "split" else 0
+            size = theory.sketch_bytes(q, method)
+            out.append((i, method, q.k, q.m, model_size, size, model_size + size, r["mse"], r["sse"]))
+    data.close()
+    return spark.createDataFrame(out, "budget int, method string, k int, m int, model_bytes bigint, sketch_bytes bigint, total_bytes bigint, mse double, sse double")
+
+
+def query_latency(spark: SparkSession, sf_dir: str, n: int = 50_000, source: str = "zipf", runs: int = 3) -> DataFrame:
+    """method, micros, n: mean time of a lookup over n items by the estimators themselves, the best of some runs.
+
+    Every method reads its own collected state; the split path predicts with its model and reads its sketch. Items beyond
+    the domain's size repeat. pooled_lh_table reads the items' hashes out of a table made beforehand.
+    """
+    p, spec = SETS[source]
+    data = Data(tables.FIXTURES[source](spark, sf_dir))
+    copies = -(-n // max(1, data.d))
+    domain = data.truth.select("item", "key")
+    many = split.sample_domain(domain, n, p.seed)
+    if copies > 1:
+        many = domain.withColumn("c", F.explode(F.sequence(F.lit(1), F.lit(copies)))).orderBy("c", "item").limit(n).select("item", "key")
+    items = many.repartition(spark.sparkContext.defaultParallelism).persist()
+    count = items.count()
+    result = split.split_fit(data.clients, domain, p, spec, TRAIN, kernels.simulated_state)
+    onehot = sketch.collected(kernels.simulated_state(data.clients, p), p)
+    hadamard, total = sketch.hadamard_cells(sketch.hadamard_state(reports.hadamard_reports(data.clients, p)), p)
+    local = sketch.local_hash_state(reports.local_hash_reports(data.clients, p)).persist()
+    hashed = sketch.precomputed_hashes(items, p).persist()
+    hashed.count()
+    by_model = split.ModelScorer(result.model, model.features)
+    plans = {
+        "onehot": sketch.one_hot_estimate(items, onehot, p),
+        "hadamard": gather(items, hadamard, p.hashes()).select("item", F.lit(p.m / (p.m - 1)) * (F.lit(p.hadamard_c) * F.col("s") - total / p.m)),
+        "pooled_lh": sketch.local_hash_estimate(items, local, p),
+        "pooled_lh_table": sketch.local_hash_estimate(items, local, p, hashed),
+        "split": split.split_estimate(items, by_model, result.boundary, result.state, p),
     }
     out = []
-    for name, f in runs.items():
-        began = time.perf_counter()
-        f()
-        out.append((name, (time.perf_counter() - began) / n * 1e6))
-    return spark.createDataFrame(out, "method string, micros double")
+    for name, plan in plans.items():
+        took = []
+        for _ in range(runs):
+            began = time.perf_counter()
+            plan.write.format("noop").mode("overwrite").save()
+            took.append(time.perf_counter() - began)
+        out.append((name, min(took) / max(1, count) * 1e6, count))
+    for df in (items, local, hashed):
+        df.unpersist()
+    data.close()
+    return spark.createDataFrame(out, "method string, micros double, n bigint")
+
 
+#: The sweeps' points; those of k and m are lost in print, so these are powers of two around the defaults.
+K, M, EPS = (8, 16, 32, 64, 128), (128, 256, 512, 1024, 2048), tuple(float(e) for e in range(1, 8))
+R, THETA, S = (0.1, 0.15, 0.2, 0.25, 0.3), (0.3, 0.35, 0.4, 0.45, 0.5, 0.55, 0.6), (1.1, 1.2, 1.3, 1.4, 1.5)
 
 QUERIES = {
-    "sweep_k": lambda s, d: sweep(s, d, "k", (8, 16, 32)),
-    "sweep_m": lambda s, d: sweep(s, d, "m", (128, 256, 512)),
-    "sweep_eps": lambda s, d: sweep(s, d, "eps", (1.0, 4.0, 7.0)),
-    "sweep_r": lambda s, d: sweep(s, d, "r", (0.1, 0.2, 0.3)),
-    "sweep_theta": lambda s, d: sweep(s, d, "theta", (0.3, 0.45, 0.6)),
-    "sweep_s": lambda s, d: sweep(s, d, "s", (1.1, 1.3, 1.5)),
+    **{f"sweep_{name}_{source}": (lambda s, d, name=name, values=values, source=source: sweep(s, d, name, values, source)) for name, values in (("k", K), ("m", M), ("eps", EPS)) for source in SETS},
+    "sweep_r": lambda s, d: sweep(s, d, "r", R, "zipf"),
+    "sweep_theta": lambda s, d: sweep(s, d, "theta", THETA, "zipf"),
+    "sweep_s": lambda s, d: sweep(s, d, "s", S, "zipf"),
     "accuracy_methods": accuracy,
+    "accuracy_small_sketch": lambda s, d: accuracy(s, d, m=256, k=16),
     "model_choice": model_choice,
     "space_accuracy": space_accuracy,
     "query_latency": query_latency,
