@@ -269,12 +269,14 @@ def relevances(row: np.ndarray, term: np.ndarray, label: np.ndarray, n_terms: in
 
 
 class Judge:
-    """Everything that scoring needs; the index itself is built where it is used, out of the examples' sparse vectors."""
+    """Everything that scoring needs; the index itself is built where it is used, out of the examples' sparse vectors.
+
+    vectors: where each example's terms begin (and the end), their numbers, their weights.
+    """
 
     def __init__(self, weighting: Weighting, names: np.ndarray, label: np.ndarray, vectors: tuple, order: np.ndarray, worth: np.ndarray, prior: float, empty: float, k: int):
         self.weighting, self.names, self.label, self.vectors, self.order = weighting, names, label, vectors, order
         self.worth, self.prior, self.empty, self.k = worth, prior, empty, k
-        self.slope, self.offset = 1.0, 0.0
         self.held = None
 
     def __getstate__(self):
@@ -282,26 +284,24 @@ class Judge:
 
     def index(self) -> BlockMaxIndex:
         if self.held is None:
-            self.held = BlockMaxIndex(len(self.label), *self.vectors, len(self.weighting.terms), self.order)
+            start, term, weight = self.vectors
+            row = np.repeat(np.arange(len(self.label)), np.diff(start))
+            self.held = BlockMaxIndex(len(self.label), row, term, weight, len(self.weighting.terms), self.order)
         return self.held
 
-    def calibrate(self) -> None:
-        """Slope and offset from the votes that examples get from all others."""
-        if len(set(self.label.tolist())) < 2:
-            return
-        row, term, weight = self.vectors
-        start = np.searchsorted(row, np.arange(len(self.label) + 1))
-        picked = np.arange(len(self.label))[:: max(1, len(self.label) // CALIBRATION)]
-        votes = []
-        for i in range(0, len(picked), BATCH):
-            some = picked[i : i + BATCH]
-            at = np.concatenate([np.arange(start[j], start[j + 1]) for j in some])
-            local = np.repeat(np.arange(len(some)), start[some + 1] - start[some])
-            votes.append(vote(*self.index().nearest(local, term[at], weight[at], len(some), self.k, some), self.label, self.worth, self.prior))
-        y = self.label[picked]
-        self.slope, self.offset = fit_logistic(logit(np.concatenate(votes)), y, self.worth[y])
-
-    def scores(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    def picked(self) -> np.ndarray:
+        """The examples that calibrate: every n-th of them."""
+        return np.arange(len(self.label))[:: max(1, len(self.label) // CALIBRATION)]
+
+    def votes(self, some: np.ndarray) -> np.ndarray:
+        """What these examples get from all others."""
+        start, term, weight = self.vectors
+        size = start[some + 1] - start[some]
+        at = np.repeat(start[some] - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
+        near = self.index().nearest(np.repeat(np.arange(len(some)), size), term[at], weight[at], len(some), self.k, some)
+        return vote(*near, self.label, self.worth, self.prior)
+
+    def scores(self, texts: list[bytes], slope: float, offset: float) -> tuple[np.ndarray, np.ndarray]:
         """Score and the three nearest examples (their numbers, -1: none) of each text."""
         row, term, count = flat(texts)
         size = np.bincount(row, minlength=len(texts))
@@ -318,7 +318,7 @@ class Judge:
             length = ends[some + 1] - ends[some]
             at = np.repeat(ends[some] - (np.cumsum(length) - length), length) + np.arange(int(length.sum()))
             ids, cosines = index.nearest(np.repeat(np.arange(len(some)), length), term[at], weight[at], len(some), self.k)
-            z = self.slope * logit(vote(ids, cosines, self.label, self.worth, self.prior)) + self.offset
+            z = slope * logit(vote(ids, cosines, self.label, self.worth, self.prior)) + offset
             out[some], near[some] = 1 / (1 + np.exp(-z)), ids[:, :3]
         out[size == 0], near[size == 0] = self.empty, -1
         return out, near
@@ -348,11 +348,13 @@ def learned(docs: DataFrame, labels: DataFrame, label: str, held_out, examples:
     names, y = table["doc_id"].to_numpy(), table["label"].to_numpy().astype(np.int64)
     lists, tf = (table[c].combine_chunks() if table.num_rows else pa.array([], pa.list_(pa.int64())) for c in ("terms", "counts"))
     lists, tf = (x.chunk(0) if isinstance(x, pa.ChunkedArray) else x for x in (lists, tf))
-    sizes = np.diff(lists.offsets.to_numpy())
+    sizes = np.diff(lists.offsets.to_numpy()).astype(np.int64)
     row, hashed, tf = np.repeat(np.arange(len(names)), sizes), lists.flatten().to_numpy(), tf.flatten().to_numpy()
     terms, term = np.unique(hashed, return_inverse=True)
     weighting = Weighting(n, words[order], counts[order], terms, relevances(row, term, y, len(terms)))
-    vectors_ = tuple(weighting.unit(row, hashed, tf, len(names))[i] for i in (0, 1, 3))
+    del hashed
+    _, term, _, weight = weighting.unit(row, terms[term], tf, len(names))
+    vectors_ = np.concatenate([[0], np.cumsum(sizes)]), term.astype(np.int32), weight
     got = [float((y == v).sum()) for v in (0, 1)]
     worth = np.array([size.get(v, 0.0) / max(1.0, got[v]) for v in (0, 1)])
     worth /= max(worth.max(), 1e-9)
@@ -363,9 +365,27 @@ def learned(docs: DataFrame, labels: DataFrame, label: str, held_out, examples:
     column = np.full(len(terms), -1, np.int64)
     column[often] = np.arange(len(often))
     order = np.lexsort(leading(row, column[term], tf, len(names)))
-    judge = Judge(weighting, names, y, vectors_, order, worth, prior, empty, k)
-    judge.calibrate()
-    return judge
+    return Judge(weighting, names, y, vectors_, order, worth, prior, empty, k)
+
+
+def calibrated(spark: SparkSession, judge: Judge, model: common.Shared) -> tuple[float, float]:
+    """Slope and offset of the logistic curve, from the votes that examples get from all others."""
+    if len(set(judge.label.tolist())) < 2:
+        return 1.0, 0.0
+    picked = judge.picked()
+
+    def run(batches):
+        judge = model.value
+        picked = judge.picked()
+        for batch in batches:
+            for b in batch.column(0).to_pylist():
+                some = picked[b * BATCH : (b + 1) * BATCH]
+                yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(judge.votes(some))], ["i", "v"])
+
+    parts = -(-len(picked) // BATCH)
+    rows = common.mapped(spark.range(0, parts, 1, min(parts, common.partitions(spark))), run, "i long, v double").toPandas().sort_values("i")
+    y = judge.label[rows["i"].to_numpy()]
+    return fit_logistic(logit(rows["v"].to_numpy()), y, judge.worth[y])
 
 
 def score(docs: DataFrame, labels: DataFrame, label: str = "toxic", held_out=None, examples: int = EXAMPLES, k: int = NEIGHBOURS) -> DataFrame:
@@ -377,6 +397,7 @@ def score(docs: DataFrame, labels: DataFrame, label: str = "toxic", held_out=Non
     """
     judge = learned(docs, labels, label, F.lit(False) if held_out is None else held_out, examples, k)
     model = common.broadcast_of(docs.sparkSession, judge)
+    slope, offset = calibrated(docs.sparkSession, judge, model)
 
     def run(batches):
         import xxhash
@@ -392,7 +413,7 @@ def score(docs: DataFrame, labels: DataFrame, label: str = "toxic", held_out=Non
                     new = {m: t for m, t in zip(marks, some, strict=True) if m not in seen}
                     if len(seen) + len(new) > 50_000:
                         seen, new = {}, dict(zip(marks, some, strict=True))
-                    scores, near = judge.scores(list(new.values()))
+                    scores, near = judge.scores(list(new.values()), slope, offset)
                     for m, s, e in zip(new, scores.tolist(), near.tolist(), strict=True):
                         seen[m] = s, [int(judge.names[x]) for x in e if x >= 0]
                     out = [seen[m] for m in marks]
