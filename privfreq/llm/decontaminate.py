@@ -1,9 +1,10 @@
 """Benchmark decontamination: rare n-gram seeds pick passages, Smith-Waterman alignment of words scores them.
 
-Seeds are runs of three words of a test item whose chance, by the corpus's own word shares, is small; every item keeps
-its rarest ones. Each document is read once against all seeds of a block of items; hits of one item on neighbouring
-diagonals name a passage, which is aligned with the item (match +2, mismatch and gap -1). The score is the alignment's
-share of a perfect one, so edited and paraphrased copies score by what is left of the item.
+Seeds are pairs of an item's words, next to each other or with one word between, whose chance by the corpus's own word
+shares is small; they meet the same pairs of a document at either distance, so that replaced, added and left out words
+leave seeds. Each document is read once against all seeds of a block of items. Hits of one item on neighbouring diagonals
+name a passage if they are surprising enough together, and it is aligned with the item (match +2, mismatch and gap -1).
+The score is the alignment's share of a perfect one, so edited and paraphrased copies score by what is left of the item.
 """
 
 from __future__ import annotations
@@ -18,9 +19,13 @@ from pyspark.sql import functions as F
 
 from . import common
 
-SEED, MATCH, MISMATCH, GAP = 3, 2, 1, 1
+MATCH, MISMATCH, GAP = 2, 1, 1
 #: Largest chance of a rare seed at any place; an item keeps this many of its rarest seeds in any case.
-RARE, AT_LEAST = 1e-7, 12
+RARE, AT_LEAST = 1e-5, 12
+#: Distances between the words of a seed, and the fewest words of an item.
+REACH, SHORTEST = (1, 2), 3
+#: Surprise (-log10 of the chances) that the hits of a passage must have together, and its share of all that the item has.
+SURPRISE, SHARE = 10.0, 0.15
 #: Score from which a passage counts as the item's copy.
 LEAK = 0.5
 #: Items held by a broadcast at a time; more are matched in further blocks.
@@ -50,27 +55,39 @@ def spoken(text: bytes) -> list[bytes]:
     return unicodedata.normalize("NFC", folded).translate(_CUT_WIDE).encode().split()
 
 
-def align(item: np.ndarray, passage: np.ndarray) -> tuple[int, int, int, int]:
-    """Best local alignment: score, first and last place in the passage, words matched."""
+#: Scores and matched words travel in one number: the score's unit, above any number of matches.
+_UNIT = 1 << 32
+
+
+def _sweep(item: np.ndarray, passage: np.ndarray, local: bool) -> tuple[int, int, int]:
+    """The best value of score * _UNIT + matches and where it ends (words of the item, of the passage); one row is kept.
+
+    local: it may begin anywhere; otherwise at the beginning of both.
+    """
     width = len(passage)
-    slope = GAP * np.arange(width + 1)
-    table = np.zeros((len(item) + 1, width + 1), np.int64)
-    for i, word in enumerate(item, 1):
-        step = table[i - 1, :-1] + np.where(passage == word, MATCH, -MISMATCH)
-        row = np.maximum(0, np.concatenate([[0], np.maximum(step, table[i - 1, 1:] - GAP)]))
-        table[i] = np.maximum(0, np.maximum.accumulate(row + slope) - slope)
-    i, j = np.unravel_index(int(table.argmax()), table.shape)
-    score, last, matched, first = int(table[i, j]), int(j) - 1, 0, int(j) - 1
-    while i and j and table[i, j]:
-        same = passage[j - 1] == item[i - 1]
-        if table[i, j] == table[i - 1, j - 1] + (MATCH if same else -MISMATCH):
-            matched += same
-            i, j, first = i - 1, j - 1, int(j) - 1
-        elif table[i, j] == table[i - 1, j] - GAP:
-            i -= 1
-        else:
-            j -= 1
-    return score, first, last, int(matched)
+    slope = GAP * _UNIT * np.arange(width + 1)
+    row = np.zeros(width + 1, np.int64) if local else -slope
+    best = (0, 0, 0)
+    for i, word in enumerate(item.tolist(), 1):
+        new = np.empty_like(row)
+        new[0] = 0 if local else -GAP * _UNIT * i
+        new[1:] = np.maximum(row[:-1] + np.where(passage == word, MATCH * _UNIT + 1, -MISMATCH * _UNIT), row[1:] - GAP * _UNIT)
+        row = np.maximum.accumulate(new + slope) - slope
+        if local:
+            row[row < _UNIT] = 0
+        j = int(row.argmax())
+        if row[j] > best[0]:
+            best = int(row[j]), i, j
+    return best
+
+
+def align(item: np.ndarray, passage: np.ndarray) -> tuple[int, int, int, int]:
+    """Best local alignment: score, first and last place in the passage, words matched. Memory grows with the passage alone."""
+    value, i, j = _sweep(item, passage, True)
+    if not value:
+        return 0, 0, -1, 0
+    _, _, back = _sweep(item[:i][::-1], passage[:j][::-1], False)
+    return value // _UNIT, j - back, j - 1, value % _UNIT
 
 
 class SeedIndex:
@@ -80,54 +97,53 @@ class SeedIndex:
         self.ids = {w: i for i, w in enumerate(sorted({w for _, ws in items for w in ws}), 1)}
         self.base = len(self.ids) + 1
         self.items = [(name, np.array([self.ids[w] for w in ws], np.int64)) for name, ws in items]
-        share = np.array([1.0] + [chance.get(w, 1e-12) for w in self.ids])
-        key, of, at = [], [], []
+        share = np.array([1.0] + [max(chance.get(w, 0.0), 1e-9) for w in self.ids])
+        parts: list[tuple] = [(np.empty(0, np.int64),) * 3 + (np.empty(0),)]
+        self.need = np.full(len(self.items), np.inf)
         for n, (_, a) in enumerate(self.items):
-            if len(a) < SEED:
+            if len(a) < SHORTEST:
                 continue
-            k = self.keys(a)
-            p = np.log(share[a])
-            p = sum(p[i : len(a) - SEED + 1 + i] for i in range(SEED))
-            use = np.flatnonzero((p <= np.log(RARE)) | (p <= np.sort(p)[: min(AT_LEAST, len(p))][-1]))
-            key.append(k[use])
-            of.append(np.full(len(use), n))
-            at.append(use)
-        self.key, self.of, self.at = (np.concatenate(x) if x else np.empty(0, np.int64) for x in (key, of, at))
-        order = np.argsort(self.key, kind="stable")
-        self.key, self.of, self.at = self.key[order], self.of[order], self.at[order]
-
-    def keys(self, a: np.ndarray) -> np.ndarray:
-        n = len(a) - SEED + 1
-        return reduce(lambda k, i: k * self.base + a[i : n + i], range(1, SEED), a[:n])
+            key = np.concatenate([a[:-d] * self.base + a[d:] for d in REACH])
+            at = np.concatenate([np.arange(len(a) - d) for d in REACH])
+            rare = -np.log10(np.concatenate([share[a[:-d]] * share[a[d:]] for d in REACH]))
+            use = (rare >= -np.log10(RARE)) | (rare >= -np.sort(-rare)[: min(AT_LEAST, len(rare))][-1])
+            parts.append((key[use], np.full(int(use.sum()), n), at[use], rare[use]))
+            self.need[n] = min(SURPRISE, SHARE * rare[use].sum())
+        key, of, at, rare = (np.concatenate(x) for x in zip(*parts, strict=True))
+        order = np.argsort(key, kind="stable")
+        self.key, self.of, self.at, self.rare = key[order], of[order], at[order], rare[order]
 
     def passages(self, a: np.ndarray) -> list[tuple[int, int, int]]:
-        """(item number, from, to): stretches of the document around hits of one item."""
-        if len(a) < SEED or not len(self.key):
-            return []
-        n = len(a) - SEED + 1
-        full = np.flatnonzero(np.logical_and.reduce([a[i : n + i] > 0 for i in range(SEED)]))
-        if not len(full):
+        """(item number, from, to): stretches of the document around hits of one item that are surprising together."""
+        if not len(self.key):
             return []
-        key = self.keys(a)[full]
-        low, high = np.searchsorted(self.key, key), np.searchsorted(self.key, key, "right")
-        hits = np.flatnonzero(high > low)
-        if not len(hits):
+        entries, places = [], []
+        for d in REACH:
+            full = np.flatnonzero((a[:-d] > 0) & (a[d:] > 0))
+            key = a[full] * self.base + a[full + d]
+            low = np.searchsorted(self.key, key)
+            hit = np.flatnonzero(self.key[np.minimum(low, len(self.key) - 1)] == key)
+            many = np.searchsorted(self.key, key[hit], "right") - low[hit]
+            entries.append(np.repeat(low[hit] - (np.cumsum(many) - many), many) + np.arange(int(many.sum())))
+            places.append(np.repeat(full[hit], many))
+        entry, place = np.concatenate(entries), np.concatenate(places)
+        if not len(entry):
             return []
-        entry = np.concatenate([np.arange(low[h], high[h]) for h in hits])
-        place = np.repeat(full[hits], high[hits] - low[hits])
         item, diagonal = self.of[entry], place - self.at[entry]
         order = np.lexsort((diagonal, item))
-        out: list[tuple[int, int, int]] = []
-        for i in order:
-            n, d = int(item[i]), int(diagonal[i])
-            size = len(self.items[n][1])
-            slack = size // 2 + 2
-            lo, hi = max(0, d - slack), min(len(a), d + size + slack)
-            if out and out[-1][0] == n and lo <= out[-1][2] - slack:
-                out[-1] = (n, out[-1][1], max(hi, out[-1][2]))
-            else:
-                out.append((n, lo, hi))
-        return out
+        entry, item, diagonal = entry[order], item[order], diagonal[order]
+        size = np.array([len(x) for _, x in self.items])[item]
+        # a stretch ends where the item changes or the next hit lies too many diagonals on
+        new = np.concatenate([[True], (item[1:] != item[:-1]) | (diagonal[1:] - diagonal[:-1] > size[1:])])
+        stretch = np.cumsum(new) - 1
+        # a seed counts once in a stretch, however often it is hit
+        once = np.unique(stretch * len(self.key) + entry)
+        surprise = np.bincount(once // len(self.key), self.rare[once % len(self.key)])
+        first, last = np.flatnonzero(new), np.append(np.flatnonzero(new)[1:] - 1, len(new) - 1)
+        good = surprise >= self.need[item[first]] * (1 - 1e-9)
+        slack = size[first] // 2 + 2
+        low, high = np.maximum(0, diagonal[first] - slack), np.minimum(len(a), diagonal[last] + size[first] + slack)
+        return list(zip(item[first][good].tolist(), low[good].tolist(), high[good].tolist(), strict=True))
 
 
 def word_shares(docs: DataFrame, vocabulary: set[bytes]) -> dict[bytes, float]:

@@ -296,6 +296,50 @@ def test_alignment_by_brute_force():
         assert decontaminate.align(a, b)[0] == t.max()
 
 
+def edited(item, rng, vocabulary, how, rate):
+    out = []
+    for i, w in enumerate(item):
+        kind = how if how != "mixed" else rng.choice(("replaced", "added", "left_out"))
+        if rng.random() >= rate if rate < 1 else i % 3 != 2:
+            out.append(w)
+        elif kind == "replaced":
+            out.append(rng.choice(vocabulary))
+        elif kind == "added":
+            out += [w, rng.choice(vocabulary)]
+    return out
+
+
+@pytest.mark.parametrize("how,rate", [("replaced", 1), ("replaced", 0.25), ("added", 0.5), ("left_out", 0.2), ("mixed", 0.3)])
+def test_leak_recall_against_aligning_everything(how, rate):
+    """Copies with edits: of all passages whose full alignment is a leak, nearly all are found by their seeds (rate 1: every third word)."""
+    rng = random.Random(f"{how}{rate}")
+    vocabulary = [f"w{int(rng.paretovariate(0.6)) % 20000}".encode() for _ in range(20_000)]
+    items = [(n, [rng.choice(vocabulary) for _ in range(rng.randint(12, 60))]) for n in range(60)]
+    counts = Counter(vocabulary)
+    index = decontaminate.SeedIndex(items, {w: c / len(vocabulary) for w, c in counts.items()})
+    want = found = 0
+    for n, (_, item) in enumerate(items):
+        text = [rng.choice(vocabulary) for _ in range(80)] + edited(item, rng, vocabulary, how, rate) + [rng.choice(vocabulary) for _ in range(80)]
+        a, own = np.array([index.ids.get(w, 0) for w in text], np.int64), index.items[n][1]
+        if decontaminate.align(own, a)[0] >= decontaminate.LEAK * 2 * len(own):
+            want += 1
+            found += any(decontaminate.align(own, a[lo:hi])[0] >= decontaminate.LEAK * 2 * len(own) for m, lo, hi in index.passages(a) if m == n)
+    assert want >= 40 and found >= 0.95 * want
+
+
+def test_a_very_long_item_is_aligned_in_little_memory():
+    import tracemalloc
+
+    rng = np.random.default_rng(3)
+    item = rng.integers(1, 5000, 20_000)
+    passage = np.concatenate([rng.integers(1, 5000, 3000), np.delete(item, np.arange(0, 20_000, 10)), rng.integers(1, 5000, 3000)])
+    tracemalloc.start()
+    score, first, last, matched = decontaminate.align(item, passage)
+    assert tracemalloc.get_traced_memory()[1] < 50_000_000
+    tracemalloc.stop()
+    assert matched >= 18_000 and 0 <= first - 3000 < 20 and abs(last - 21_000) < 20 and score >= 2 * 18_000 - 2100
+
+
 def test_leaks_exact_and_edited(spark):
     rng = random.Random(9)
     vocabulary = [f"w{i}" for i in range(3000)]
