@@ -1,18 +1,18 @@
-"""Language-model scores by a probabilistic suffix tree over bytes, and by add-one word counts as a base.
-
-A text is read as its words (A-Z lower-cased) with single spaces between them and one end sign, so the alphabet has 256
-symbols and every text a proper probability. The tree's states are contexts of up to DEPTH symbols. Counts of all runs
-of DEPTH+1 symbols give those of all shorter contexts. A context stays if it was seen MIN_COUNT times, whatever the size
-of the corpus, and its next-symbol distribution diverges from its suffix's: n times the divergence must exceed half a
-log n for each symbol that follows it. The suffixes of what stays stay too. A state's distribution is blended with that
-of its suffix, by the number of different symbols seen there; the root's with the uniform one. A symbol is scored by the
-longest suffix of what stands before it that is a state.
-
-Nothing of the tree but its first two levels (65,536 numbers) comes to the driver. A context of two symbols or more, its
-suffixes of two or more and all runs that end in them share their last two symbols: `branches` deals the counts by those,
-tests and blends each branch in one task, and leaves a table of the probability of every run in the corpus. Texts are
-read in groups of a bounded size; a group's runs join that table, and meet the group's texts again for scoring.
-`SuffixTree` and `retained` are the same tree in the memory of one process; tests hold the tables to it.
+"""Language-model scores by a probabilistic suffix tree over words, with add-one word counts as its root.
+
+A text is its words (A-Z lower-cased) and one end; the alphabet has the training words, the end, and one sign for every
+other word, as the add-one base has. The tree's states are contexts of up to DEPTH words (a text's start is one as well).
+A context stays if it was seen MIN_COUNT times, whatever the size of the corpus, and its next-word distribution diverges
+from its suffix's: leaving one occurrence out at a time, its words must be likelier under it by more than half a log of
+its count. Next words seen MIN_COUNT times get their share less a discount; what is left goes to the suffix's
+distribution, down to the root. A word is scored by the longest states of what stands before it.
+
+Nothing of the tree comes to the driver. Texts are dealt into groups of bounded size. A group asks for the corpus's counts
+of its own distinct runs of words, once each, as sorted 54-bit hashes in packed arrays; a bucket (a range of hashes) adds
+up what all groups sent and answers every group in its own order, so that neither side joins rows. One round asks for
+words and pairs, each further one for runs a word longer (only those that can occur twice, so the tree grows level by
+level) and for what decides on the contexts of the round before: sums over a context's occurrences, whichever groups
+hold them. The last round scores. A group holds a run once, so a run that a third of all rows have is no larger than others.
 """
 
 from __future__ import annotations
@@ -24,419 +24,252 @@ from pyspark.sql import functions as F
 
 from . import common
 
-#: Longest context, and how often one must be seen.
-DEPTH, MIN_COUNT = 5, 2
-#: Most frequent words whose counts are broadcast (16 bytes each); counts of all others are joined.
-HEAD = 300_000
-END = 10  # cannot occur in a word
-#: Symbols handled at a time.
-CHUNK = 1_000_000
-#: Bytes of text in a group and runs in a bucket of branches, about.
-GROUP, BUCKET = 24_000_000, 500_000
-
-SCORED = "doc_id long, held_out boolean, n_tokens long, head_known long, head_log double, score double, tail array<bigint>, times array<int>"
-
-
-def stream(words: list[bytes]) -> bytes:
-    return b" ".join(words) + bytes([END])
-
-
-def runs(texts: list[bytes], depth: int) -> np.ndarray:
-    """For every symbol of the streams the depth symbols before it (end signs before the first) and itself, packed."""
-    pad = bytes([END]) * depth
-    data = np.frombuffer(b"".join(pad + t for t in texts), np.uint8)
-    own = np.ones(len(data), bool)
-    start = np.cumsum([0] + [len(t) + depth for t in texts[:-1]])
-    for i in range(depth):
-        own[start + i] = False
-    at = np.flatnonzero(own)
-    key = np.zeros(len(at), np.uint64)
-    for i in range(depth, -1, -1):
-        key = (key << np.uint64(8)) | data[at - i]
-    return key
-
-
-def chunks(texts, size: int = CHUNK):
-    """Lists of texts of about `size` symbols; a longer text stands alone."""
-    held, n = [], 0
-    for t in texts:
-        if held and n + len(t) > size:
-            yield held
-            held, n = [], 0
-        held.append(t)
-        n += len(t)
-    if held:
-        yield held
-
-
-class Tally:
-    """Counts of 64-bit keys, kept sorted; given out when there are too many."""
-
-    def __init__(self, most: int = 2_000_000):
-        self.most, self.parts, self.waiting = most, [], 0
-
-    def add(self, keys: np.ndarray, counts: np.ndarray | None = None) -> None:
-        k, n = np.unique(keys, return_counts=True) if counts is None else (keys, counts)
-        self.parts.append((k, n))
-        self.waiting += len(k)
-        if self.waiting > 2 * len(self.parts[0][0]) + 500_000:
-            self.merge()
-
-    def merge(self) -> tuple[np.ndarray, np.ndarray]:
-        if not self.parts:
-            return np.empty(0, np.uint64), np.empty(0, np.int64)
-        k, n = (np.concatenate(x) for x in zip(*self.parts, strict=True))
-        order = np.argsort(k, kind="stable")
-        k, n = k[order], n[order]
-        first = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]])) if len(k) else np.empty(0, np.int64)
-        self.parts = [(k[first], np.add.reduceat(n, first) if len(k) else n)]
-        self.waiting = len(first)
-        return self.parts[0]
-
-    def full(self) -> bool:
-        return self.waiting > self.most
-
-    def take(self):
-        k, n = self.merge()
-        self.parts, self.waiting = [], 0
-        return k, n
-
-
-def counted(docs: DataFrame, depth: int) -> DataFrame:
-    """kind (0 words by hash, 1 runs of symbols), key, n over the texts; combined in each part before the shuffle."""
-
-    def rows(kind, tally):
-        k, n = tally.take()
-        for i in range(0, len(k), 200_000):
-            part = k[i : i + 200_000]
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), kind, np.int32)), pa.array(part.view(np.int64)), pa.array(n[i : i + 200_000])], ["kind", "key", "n"])
-
-    def run(batches):
-        keyed = common.Keyed()
-        words_, runs_ = Tally(), Tally()
-        for batch in batches:
-            for group in chunks(common.raw(batch.column(1))):
-                listed = [common.words(t) for t in group]
-                words_.add(np.array([keyed[w] for ws in listed for w in ws], np.uint64))
-                runs_.add(runs([stream(ws) for ws in listed], depth))
-                for kind, tally in ((0, words_), (1, runs_)):
-                    if tally.full():
-                        yield from rows(kind, tally)
-        yield from rows(0, words_)
-        yield from rows(1, runs_)
-
-    return common.mapped(common.texts(docs), run, "kind int, key long, n long").groupBy("kind", "key").agg(F.sum("n").alias("n"))
-
-
-class SuffixTree:
-    """States and next-symbol probabilities, as sorted arrays: keys are depth << 56 | packed symbols."""
-
-    def __init__(self, depth: int, entries: np.ndarray, logs: np.ndarray, states: np.ndarray, escapes: np.ndarray):
-        self.depth, self.entries, self.logs, self.states, self.escapes = depth, entries, logs, states, escapes
-
-    @classmethod
-    def build(cls, depth: int, levels: dict[int, tuple[np.ndarray, np.ndarray]]) -> SuffixTree:
-        """levels[d]: packed context and symbol, count, of the states of depth d (every suffix of a state is a state)."""
-        entries, logs, states, escapes = [], [], [], []
-        before: tuple | None = None
-        for d in range(depth + 1):
-            key, n = levels.get(d, (np.empty(0, np.uint64), np.empty(0, np.int64)))
-            order = np.argsort(key)
-            key, n = key[order], n[order].astype(float)
-            context, symbol = key >> np.uint64(8), key & np.uint64(255)
-            state, first, kinds = np.unique(context, return_index=True, return_counts=True)
-            total = np.add.reduceat(n, first) if len(first) else np.empty(0)
-            of = np.repeat(np.arange(len(state)), kinds)
-            if d == 0:
-                kinds_, base = np.full(len(state), 256.0), np.full(len(key), 1 / 256)
+#: Longest context in words, how often it and its next words must be seen, and what is taken off the latter's counts.
+DEPTH, MIN_COUNT, DISCOUNT = 2, 2, 0.75
+#: Bytes of text in a group, and in a bucket's share of the corpus, about.
+GROUP, BUCKET = 6_000_000, 16_000_000
+#: Bits of a run's hash, and those that are sent (the bucket tells the others).
+BITS, SENT = 54, 48
+_K = np.uint64(0x9E3779B97F4A7C15)
+START, END = np.uint64(1), np.uint64(2)  # a word's hash is one of them by a chance of 2^-53
+
+ASKS = "bucket int, grp int, level int, keys binary, sums binary"
+ANSWERS = "grp int, level int, bucket int, sums binary"
+SCORED = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double"
+
+
+def packed(keys: np.ndarray) -> bytes:
+    return keys.astype("<u8").view(np.uint8).reshape(-1, 8)[:, : SENT // 8].tobytes()
+
+
+def unpacked(data: bytes, bucket: int, buckets: int) -> np.ndarray:
+    raw = np.frombuffer(data, np.uint8).reshape(-1, SENT // 8)
+    wide = np.zeros((len(raw), 8), np.uint8)
+    wide[:, : SENT // 8] = raw
+    top = np.uint64(bucket) << np.uint64(BITS - (buckets.bit_length() - 1))
+    return wide.view("<u8").ravel() & np.uint64((1 << SENT) - 1) | (top >> np.uint64(SENT) << np.uint64(SENT))
+
+
+def run_hashes(before: np.ndarray, token: np.ndarray) -> np.ndarray:
+    """Hashes of runs: of what a context is, and the word after it."""
+    return common.mix(before * _K + token) >> np.uint64(64 - BITS)
+
+
+class Group:
+    """The tokens of some texts, and what is known of the runs that end in each, level by level.
+
+    answers: for a level (runs of level+1 words) the corpus's counts of its distinct keys; for -level what decides on
+    contexts of that many words. learns: whether a text is a training text.
+    """
+
+    def __init__(self, texts: list[bytes], learns: np.ndarray, answers: dict[int, np.ndarray], tokens: int = 1, kinds: int = 0, training: int = 0):
+        self.texts, self.answers, self.total, self.training = len(texts), answers, tokens + kinds + 1, training
+        rows, words = [np.arange(self.texts)], [np.full(self.texts, END)]
+        for i, j in common.pieces(texts):
+            row, h = common.word_hashes(texts[i:j])
+            rows.append(row + i)
+            words.append(h >> np.uint64(64 - BITS))
+        row = np.concatenate([*rows[1:], rows[0]])
+        order = np.argsort(row, kind="stable")
+        self.row, self.token = row[order], np.concatenate([*words[1:], words[0]])[order]
+        self.n_tokens = np.bincount(self.row, minlength=self.texts)
+        self.first = np.cumsum(self.n_tokens) - self.n_tokens
+        self.learns = learns[self.row]
+        self.keys: dict[int, np.ndarray] = {}
+        self.counts: dict[int, np.ndarray] = {}
+        self.distinct: dict[int, tuple] = {}
+
+    def behind(self, values: np.ndarray, start) -> np.ndarray:
+        """What stands one token earlier; start for a text's first token."""
+        out = np.empty_like(values)
+        out[1:] = values[:-1]
+        out[self.first] = start
+        return out
+
+    def runs(self, level: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Places whose run of level+1 words is looked at, its distinct hashes, and which of them each place has."""
+        if level not in self.distinct:
+            if level == 0:
+                self.keys[0], places = self.token, np.arange(len(self.token))
             else:
-                parent = (context & np.uint64((1 << (8 * (d - 1))) - 1)) << np.uint64(8) | symbol
-                kinds_, base = kinds.astype(float), np.exp(before[1][np.searchsorted(before[0], parent)])
-            p = (n + kinds_[of] * base) / (total + kinds_)[of]
-            before = (key, np.log(p))
-            mark = np.uint64(d << 56)
-            entries.append(key | mark)
-            logs.append(np.log(p))
-            states.append(state | mark)
-            escapes.append(np.log(kinds_ / (total + kinds_)))
-        return cls(depth, *(np.concatenate(x) for x in (entries, logs, states, escapes)))
-
-    @staticmethod
-    def find(table: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        if not len(table):
-            return np.zeros(len(keys), np.int64), np.zeros(len(keys), bool)
-        at = np.minimum(np.searchsorted(table, keys), len(table) - 1)
-        return at, table[at] == keys
-
-    def log_probability(self, key: np.ndarray) -> np.ndarray:
-        """Natural logs for packed runs of depth symbols and the next one."""
-        out = np.zeros(len(key))
-        open_ = np.arange(len(key))
-        for d in range(self.depth, -1, -1):
-            k = key[open_]
-            at, known = self.find(self.entries, (k & np.uint64((1 << (8 * (d + 1))) - 1)) | np.uint64(d << 56))
-            out[open_[known]] += self.logs[at[known]]
-            rest = ~known
-            open_, k = open_[rest], k[rest]
-            if d:
-                context = ((k >> np.uint64(8)) & np.uint64((1 << (8 * d)) - 1)) | np.uint64(d << 56)
-                at, state = self.find(self.states, context)
-                out[open_[state]] += self.escapes[at[state]]
-        # never seen at all: the root's share of the uniform distribution
-        root = np.searchsorted(self.states, np.uint64(0))
-        seen = len(self.states) > 0 and self.states[0] == 0
-        out[open_] += (self.escapes[root] if seen else 0.0) - np.log(256)
+                self.runs(level - 1)
+                before = self.behind(self.keys[level - 1], START if level == 1 else np.uint64(0))
+                self.keys[level] = run_hashes(before, self.token)
+                places = np.arange(len(self.token))
+                if level > 1:  # both runs that are a word shorter must occur twice
+                    often = self.count(level - 1) >= MIN_COUNT
+                    places = np.flatnonzero(often & self.behind(often, False))
+            self.distinct[level] = places, *np.unique(self.keys[level][places], return_inverse=True)
+        return self.distinct[level]
+
+    def count(self, level: int) -> np.ndarray:
+        """How often the run that ends at each place occurs in training texts (0 where it was not looked at)."""
+        if level not in self.counts:
+            places, _, of = self.runs(level)
+            self.counts[level] = np.zeros(len(self.token), np.int64)
+            self.counts[level][places] = self.answers[level][of]
+        return self.counts[level]
+
+    def context_count(self, level: int) -> np.ndarray:
+        """How often the `level` words before each place occur in training texts."""
+        return self.behind(self.count(level - 1), self.training if level == 1 else 0)
+
+    def contexts(self, level: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Places after a context that was seen often enough, the distinct contexts, and which of them each place has."""
+        if -level not in self.distinct:
+            self.count(level - 1)
+            places = np.flatnonzero(self.context_count(level) >= MIN_COUNT)
+            before = self.behind(self.keys[level - 1], START if level == 1 else np.uint64(0))
+            self.distinct[-level] = places, *np.unique(before[places], return_inverse=True)
+        return self.distinct[-level]
+
+    def probability(self, level: int) -> np.ndarray:
+        """Of every token after the states of up to `level` words."""
+        if level == 0:
+            return (self.count(0) + 1) / self.total
+        out = self.probability(level - 1)
+        places, _, of = self.contexts(level)
+        taken, gain, often = self.answers[-level].reshape(-1, 3)[of].T
+        n, c = self.context_count(level)[places].astype(float), self.count(level)[places]
+        rest = np.clip(1 - taken / n, 1e-9, 1.0)
+        state = (taken > 0) & (gain + (n - often) * np.log(rest) > np.log(n) / 2)
+        own = np.where(c >= MIN_COUNT, (c - DISCOUNT) / n, 0.0)
+        out[places] = np.where(state, own + rest * out[places], out[places])
         return out
 
+    def ask_runs(self, level: int) -> tuple[np.ndarray, np.ndarray]:
+        places, keys, of = self.runs(level)
+        return keys, np.bincount(of, self.learns[places], len(keys)).astype(np.int64)
+
+    def ask_contexts(self, level: int) -> tuple[np.ndarray, np.ndarray]:
+        """For each context: what its frequent next words take of its occurrences, by how much it makes them likelier with
+        one occurrence left out (natural log, at least), and how many occurrences they are."""
+        places, keys, of = self.contexts(level)
+        c, n = self.count(level)[places], self.context_count(level)[places]
+        use = np.flatnonzero(self.learns[places] & (c >= MIN_COUNT))
+        c, n, of = c[use].astype(float), n[use], of[use]
+        without = self.probability(level - 1)[places][use]
+        gain = np.log((c - 1 - DISCOUNT) / (n - 1) / without)
+        sums = [np.bincount(of, v, len(keys)) for v in ((c - DISCOUNT) / c, gain, np.ones(len(c)))]
+        return keys, np.column_stack(sums)
+
+    def scores(self, depth: int) -> tuple[np.ndarray, ...]:
+        """n_tokens, n_known, base, score of every text (log10)."""
+        add = lambda x: np.bincount(self.row, x, self.texts)
+        known = self.count(0) > 0
+        return self.n_tokens, add(known).astype(np.int64), add(np.log10(self.probability(0))), add(np.log10(self.probability(depth)))
+
+
+def asked(group: Group, number: int, level: int, buckets: int):
+    """The rows of ASKS of a group: its keys are sorted, so a bucket has a slice of them."""
+    keys, sums = group.ask_runs(level) if level >= 0 else group.ask_contexts(-level)
+    sums = sums.astype(np.float32) if level < 0 else sums.astype("<u4")
+    cuts = np.searchsorted(keys, np.arange(1, buckets, dtype=np.uint64) << np.uint64(BITS - (buckets.bit_length() - 1)))
+    for bucket, (i, j) in enumerate(zip([0, *cuts], [*cuts, len(keys)], strict=True)):
+        if i < j:
+            yield bucket, number, level, packed(keys[i:j]), sums[i:j].tobytes()
+
+
+def answered(table: pa.Table, buckets: int) -> pa.Table:
+    """Rows of ANSWERS to the asks of one bucket and level; group -1 gets how many keys were counted, and their sum."""
+    rows = sorted(table.to_pylist(), key=lambda r: r["grp"])
+    bucket, level = rows[0]["bucket"], rows[0]["level"]
+    parts = [unpacked(r["keys"], bucket, buckets) for r in rows]
+    keys, of = np.unique(np.concatenate(parts), return_inverse=True)
+    if level < 0:
+        sums = np.concatenate([np.frombuffer(r["sums"], np.float32) for r in rows]).reshape(-1, 3)
+        total = np.column_stack([np.bincount(of, sums[:, i], len(keys)) for i in range(3)]).astype(np.float32)
+        facts = np.zeros(2)
+    else:
+        total = np.bincount(of, np.concatenate([np.frombuffer(r["sums"], "<u4") for r in rows]), len(keys)).astype("<u4")
+        facts = np.array([(total > 0).sum(), total.sum(dtype=np.float64)])
+    out = {"grp": [-1], "level": [level], "bucket": [bucket], "sums": [facts.tobytes()]}
+    at = 0
+    for r, part in zip(rows, parts, strict=True):
+        for name, value in (("grp", r["grp"]), ("level", level), ("bucket", bucket), ("sums", total[of[at : at + len(part)]].tobytes())):
+            out[name].append(value)
+        at += len(part)
+    return pa.table({"grp": pa.array(out["grp"], pa.int32()), "level": pa.array(out["level"], pa.int32()), "bucket": pa.array(out["bucket"], pa.int32()), "sums": pa.array(out["sums"], pa.binary())})
 
-def diverging(key: np.ndarray, n: np.ndarray, up_key: np.ndarray, up_n: np.ndarray, d: int) -> np.ndarray:
-    """The contexts (packed) of depth d whose distribution differs enough from that of their suffix.
 
-    key, n: context and symbol with counts, sorted; up_key, up_n: the same of depth d-1, with all suffixes of the contexts.
-    """
-    context, first, kinds = np.unique(key >> np.uint64(8), return_index=True, return_counts=True)
-    total = np.add.reduceat(n, first)
-    up_context, up_first = np.unique(up_key >> np.uint64(8), return_index=True)
-    up_total = np.add.reduceat(up_n, up_first)
-    mask = np.uint64((1 << (8 * d)) - 1)
-    parent = np.searchsorted(up_key, key & mask)
-    suffix = np.searchsorted(up_context, (key & mask) >> np.uint64(8))
-    gain = n * (np.log(n / np.repeat(total, kinds)) - np.log(up_n[parent] / up_total[suffix]))
-    return context[np.add.reduceat(gain, first) >= kinds * np.log(total) / 2]
-
-
-def retained(table: DataFrame, total: int, depth: int, min_share: float) -> dict[int, tuple[np.ndarray, np.ndarray]]:
-    """The next-symbol counts of the states of each depth.
-
-    Counts of shorter contexts are sums of those of longer ones. Contexts of the smallest share or more are at most
-    1/min_share for each depth, with at most 256 symbols each, whatever the corpus: those are brought together and tested.
-    A suffix has at least its context's share, so it is among them.
-    """
-    level = table.where("kind = 1").select("key", "n")
-    frequent: dict[int, tuple[np.ndarray, np.ndarray]] = {}
-    for d in range(depth, -1, -1):
-        context = F.shiftright("key", 8)
-        sums = level.groupBy(context.alias("context")).agg(F.sum("n").alias("t")).where(F.col("t") >= min_share * total).select("context")
-        x = level.withColumn("context", context).join(sums, "context").select("key", "n").toPandas()
-        key, n = x["key"].to_numpy(np.int64).view(np.uint64), x["n"].to_numpy(np.int64)
-        del x
-        order = np.argsort(key)
-        frequent[d] = key[order], n[order]
-        if d:
-            level = common.materialize(level.groupBy(F.col("key").bitwiseAND((1 << (8 * d)) - 1).alias("key")).agg(F.sum("n").alias("n")), f"level{d - 1}")
-    kept = {0: frequent[0]}
-    needed = np.empty(0, np.uint64)
-    for d in range(depth, 0, -1):
-        key, n = frequent[d]
-        chosen = np.union1d(needed, diverging(key, n.astype(float), frequent[d - 1][0], frequent[d - 1][1].astype(float), d)) if len(key) else needed
-        use = np.isin(key >> np.uint64(8), chosen)
-        kept[d] = key[use], n[use]
-        del frequent[d]
-        needed = np.unique(chosen & np.uint64((1 << (8 * (d - 1))) - 1))
-    return kept
-
-
-def grouped_counts(rows: DataFrame, depth: int) -> DataFrame:
-    """kind, group, key, n: words of the training texts (0) and runs of all texts (1; n counts the training texts only)."""
-
-    def run(table):
-        keyed = common.Keyed()
-        words_, runs_ = Tally(), Tally()
-        for text, held in ((c["text"], c["held_out"]) for c in table.select(["text", "held_out"]).to_batches(max_chunksize=1000)):
-            pairs = list(zip(common.raw(text), held.to_pylist(), strict=True))
-            for learns in (True, False):
-                for texts_ in chunks(t for t, h in pairs if (h is False) == learns):
-                    listed = [common.words(t) for t in texts_]
-                    k, n = np.unique(runs([stream(ws) for ws in listed], depth), return_counts=True)
-                    runs_.add(k, n if learns else np.zeros_like(n))
-                    if learns:
-                        words_.add(np.fromiter((keyed[w] for ws in listed for w in ws), np.uint64))
-        group = table["group"][0].as_py()
-        parts = [tally.take() for tally in (words_, runs_)]
-        size = [len(k) for k, _ in parts]
-        return pa.table(
-            {
-                "kind": pa.array(np.repeat(np.arange(2, dtype=np.int32), size)),
-                "group": pa.array(np.full(sum(size), group, np.int32)),
-                "key": pa.array(np.concatenate([k for k, _ in parts]).view(np.int64)),
-                "n": pa.array(np.concatenate([n for _, n in parts])),
-            }
-        )
-
-    return rows.groupBy("group").applyInArrow(run, "kind int, group int, key long, n long")
-
-
-def chain(key: np.ndarray, n: np.ndarray, pairs: np.ndarray, depth: int, min_count: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """For all runs of some branches (sorted): a, b, deep. The probability is a + b times that given the last symbol alone.
-
-    n may be 0 (a run of texts that teach nothing). pairs[c, s]: how often s follows c in all training texts. deep: whether
-    a context of two symbols or more is a state.
-    """
-    levels, up = {depth: (key, n)}, {}
-    for d in range(depth - 1, 1, -1):
-        k, up[d + 1] = np.unique(levels[d + 1][0] & np.uint64((1 << (8 * (d + 1))) - 1), return_inverse=True)
-        levels[d] = k, np.bincount(up[d + 1], levels[d + 1][1], len(k))
-    found = {}
-    for d in range(2, depth + 1):
-        k, m = levels[d]
-        context, first, of = np.unique(k >> np.uint64(8), return_index=True, return_inverse=True)
-        total, kinds = np.add.reduceat(m, first), np.add.reduceat((m > 0).astype(float), first)
-        if d == 2:
-            last = (context & np.uint64(255)).astype(np.int64)
-            over, whole = pairs[last[of], (k & np.uint64(255)).astype(np.int64)], pairs.sum(1)[last[of]]
-        else:
-            over, whole = levels[d - 1][1][up[d]], found[d - 1]["total"][found[d - 1]["of"]][up[d]]
-        with np.errstate(divide="ignore", invalid="ignore"):
-            gain = np.where(m > 0, m * (np.log(m / total[of]) - np.log(over / whole)), 0.0)
-            state = (total >= min_count) & (np.add.reduceat(gain, first) >= kinds * np.log(total) / 2)
-        found[d] = {"of": of, "total": total, "kinds": kinds, "state": state, "context": context}
-    for d in range(depth, 2, -1):
-        x, y = found[d], found[d - 1]
-        y["state"][np.searchsorted(y["context"], x["context"][x["state"]] & np.uint64((1 << (8 * (d - 1))) - 1))] = True
-    a, b, deep = np.zeros(len(levels[2][0])), np.ones(len(levels[2][0])), found[2]["state"][found[2]["of"]]
-    for d in range(2, depth + 1):
-        if d > 2:
-            a, b, deep = a[up[d]], b[up[d]], deep[up[d]]
-        x = found[d]
-        of, state = x["of"], x["state"][x["of"]]
-        share = np.where(state, x["kinds"][of] / np.maximum(1, x["total"] + x["kinds"])[of], 1.0)
-        a = share * a + np.where(state, levels[d][1] / np.maximum(1, x["total"] + x["kinds"])[of], 0.0)
-        b = share * b
-    return a, b, deep
-
-
-def root_levels(pairs: np.ndarray, needed: np.ndarray, min_count: int) -> np.ndarray:
-    """p[c, s]: the probability of s given the last symbol c alone, where c is a state if it diverges or is needed."""
-    alone = pairs.sum(0)
-    p0 = (alone + 1) / (alone.sum() + 256)
-    total, kinds = pairs.sum(1), (pairs > 0).sum(1)
-    with np.errstate(divide="ignore", invalid="ignore"):
-        gain = np.where(pairs > 0, pairs * (np.log(pairs / total[:, None]) - np.log(alone / alone.sum())), 0.0).sum(1)
-        state = needed | ((total >= min_count) & (gain >= kinds * np.log(total) / 2))
-    blended = (pairs + kinds[:, None] * p0) / np.maximum(1, total + kinds)[:, None]
-    return np.where(state[:, None], blended, p0)
-
-
-def branches(counts: DataFrame, depth: int, min_count: int = MIN_COUNT) -> DataFrame:
-    """key, p: the probability of every run's last symbol after those before it; counts: key, n (repeated keys add up)."""
-    if depth < 2:
-        raise ValueError("contexts have two symbols or more")
-    spark = counts.sparkSession
-    total = common.materialize(counts.groupBy("key").agg(F.sum("n").alias("n")), "runs")
-    pairs = np.zeros((256, 256))
-    for r in total.groupBy(F.col("key").bitwiseAND(0xFFFF).alias("k")).agg(F.sum("n").alias("n")).collect():
-        pairs[r["k"] >> 8, r["k"] & 255] = r["n"]
-    buckets = max(1, -(-total.count() // BUCKET))
-
-    def solve(table):
-        key = table["key"].to_numpy().view(np.uint64)
-        order = np.argsort(key)
-        key = key[order]
-        a, b, deep = chain(key, table["n"].to_numpy()[order].astype(float), pairs, depth, min_count)
-        return pa.table({"key": pa.array(key.view(np.int64)), "a": pa.array(a), "b": pa.array(b), "deep": pa.array(deep)})
-
-    branch = F.pmod(F.xxhash64(F.shiftright("key", 8).bitwiseAND(0xFFFF)), F.lit(buckets)).cast("int")
-    solved = common.materialize(total.withColumn("branch", branch).groupBy("branch").applyInArrow(solve, "key long, a double, b double, deep boolean"), "states")
-    needed = np.zeros(256, bool)
-    for r in solved.where("deep").select(F.shiftright("key", 8).bitwiseAND(255).alias("c")).distinct().collect():
-        needed[r["c"]] = True
-    top = root_levels(pairs, needed, min_count)
-
-    def finish(batches):
-        for batch in batches:
-            key, a, b = (batch.column(i).to_numpy() for i in range(3))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(a + b * top[(key >> 8) & 255, key & 255])], ["key", "p"])
-
-    return common.mapped(solved.select("key", "a", "b"), finish, "key long, p double")
-
-
-def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, min_count: int = MIN_COUNT, head: int = HEAD) -> DataFrame:
+def collected(answers: pa.Table | None) -> dict[int, np.ndarray]:
+    """The answers of one group by level, in the order of its keys."""
+    out: dict[int, list] = {}
+    rows = [] if answers is None else answers.select(["level", "bucket", "sums"]).to_pylist()
+    for r in sorted(rows, key=lambda r: r["bucket"]):
+        out.setdefault(r["level"], []).append(r["sums"])
+    return {level: np.frombuffer(b"".join(parts), np.float32 if level < 0 else "<u4").astype(np.float64 if level < 0 else np.int64) for level, parts in out.items()}
+
+
+def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, group_bytes: int = GROUP) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (both log10 of the text's probability).
 
-    Learns from the documents where `held_out` (a condition on doc_id) is false. Null and empty texts are the end sign alone.
-    Words are counted by 64-bit hashes. Without any training text the tree is uniform. Repeated and null ids are kept; an
-    empty table gives no rows.
+    Learns from the documents where `held_out` (a condition on doc_id) is false. Null and empty texts are the end alone.
+    Words and runs are told apart by 54-bit hashes. Without any training text every token has probability 1. Repeated and
+    null ids are kept; an empty table gives no rows.
     """
-    spark = docs.sparkSession
+    if depth < 1:
+        raise ValueError("contexts have one word or more")
     rows = common.texts(docs).select("doc_id", "text", held_out.alias("held_out"))
     size = rows.agg(F.sum(F.octet_length("text")).alias("bytes"), F.count(F.when(~F.col("held_out"), 1)).alias("train")).first()
-    groups, texts_ = max(1, -(-(size["bytes"] or 0) // GROUP)), size["train"]
-    # dealt by row number, so that neither repeated texts nor repeated ids gather; written, so that both readings agree
-    rows = common.materialize(rows.withColumn("group", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(groups)).cast("int")), "texts")
-    table = common.materialize(grouped_counts(rows, depth), "counts")
-    vocabulary = common.materialize(table.where("kind = 0").groupBy("key").agg(F.sum("n").alias("n")), "vocabulary")
-    sums = vocabulary.agg(F.sum("n").alias("n"), F.count("*").alias("v")).first()
-    tokens = (sums["n"] or 0) + texts_
-    kinds = sums["v"] + (texts_ > 0)
-    runs_ = table.where("kind = 1")
-    tree = branches(runs_.select("key", "n"), depth, min_count)
-    # the smallest count that the head's room allows, from a histogram of counts (distinct ones are few: a root of the tokens)
-    room, least = head, 1
-    for r in vocabulary.groupBy("n").count().orderBy(F.desc("n")).toLocalIterator():
-        if room < r["count"]:
-            least = r["n"] + 1
-            break
-        room -= r["count"]
-    top = vocabulary.where(F.col("n") >= least).toPandas()
-    order = np.argsort(top["key"].to_numpy(np.int64))
-    model = common.broadcast_of(spark, (top["key"].to_numpy(np.int64)[order], np.log10(top["n"].to_numpy(float)[order] + 1)))
-    del top, order  # the driver has little room
-    ends = float(np.log10(texts_ + 1))
-
-    def run(left, right):
-        words_, logs = model.value
-        keyed = common.Keyed()
-        known_runs = right["key"].to_numpy().view(np.uint64)
-        order = np.argsort(known_runs)
-        known_runs, log_p = known_runs[order], np.log10(right["p"].to_numpy()[order])
-        del right, order
-        out = []
-        for batch in left.select(["doc_id", "text", "held_out"]).to_batches(max_chunksize=1000):
-            for i, group in _slices(batch):
-                listed = [common.words(t) for t in group]
-                n, known, log, tail, times = [], [], [], [], []
-                for ws in listed:
-                    h, c = np.unique(np.fromiter(map(keyed.__getitem__, ws), np.uint64, len(ws)).view(np.int64), return_counts=True)
-                    at = np.minimum(np.searchsorted(words_, h), max(0, len(words_) - 1))
-                    hit = words_[at] == h if len(words_) else np.zeros(len(h), bool)
-                    n.append(len(ws) + 1)
-                    known.append(int(c[hit].sum()) + (texts_ > 0))
-                    log.append(float(c[hit] @ logs[at[hit]]) + ends)
-                    tail.append(h[~hit])
-                    times.append(c[~hit].astype(np.int32))
-                streams = [stream(ws) for ws in listed]
-                key = runs(streams, depth)
-                at = np.minimum(np.searchsorted(known_runs, key), len(known_runs) - 1)
-                if not (known_runs[at] == key).all():
-                    raise ValueError("a text has runs that its group was not counted with")
-                score = np.add.reduceat(log_p[at], np.cumsum([0] + [len(s) for s in streams[:-1]]))
-                part = batch.slice(i, len(group))
-                out.append(
-                    pa.RecordBatch.from_arrays(
-                        [part.column(0), part.column(2), pa.array(n, pa.int64()), pa.array(known, pa.int64()), pa.array(log, pa.float64()), pa.array(score), pa.array(tail, pa.list_(pa.int64())), pa.array(times, pa.list_(pa.int32()))],
-                        [c.split()[0] for c in SCORED.split(", ")],
-                    )
-                )
-        return pa.Table.from_batches(out)
-
-    priced = runs_.select("group", "key").join(tree, "key").select("group", "key", "p")
-    scored = common.materialize(rows.groupBy("group").cogroup(priced.groupBy("group")).applyInArrow(run, SCORED).withColumn("row", F.monotonically_increasing_id()), "scored")
-    if least > 1:
-        tails = scored.select("row", F.explode(F.arrays_zip("tail", "times")).alias("x")).select("row", F.col("x.tail").alias("key"), F.col("x.times").alias("times"))
-        rare = tails.join(vocabulary.where(F.col("n") < least), "key").groupBy("row").agg(F.sum("times").alias("tail_known"), F.sum(F.col("times") * F.log10(F.col("n") + 1)).alias("tail_log"))
-        scored = scored.join(rare, "row", "left")
-    else:
-        scored = scored.withColumns({"tail_known": F.lit(0).cast("long"), "tail_log": F.lit(0.0)})
-    log = F.col("head_log") + F.coalesce("tail_log", F.lit(0.0)) - F.col("n_tokens") * F.lit(float(np.log10(tokens + kinds + 1)))
-    known = F.col("head_known") + F.coalesce("tail_known", F.lit(0))
-    return scored.select("doc_id", "held_out", "n_tokens", known.alias("n_known"), F.lit(int(tokens)).cast("long").alias("train_tokens"), log.alias("base_score"), "score")
+    groups = max(1, -(-(size["bytes"] or 0) // group_bytes))
+    buckets = 1 << max(BITS - SENT, (max(1, (size["bytes"] or 0) // BUCKET) - 1).bit_length())
+    training = size["train"]
+    # dealt by row number, so that neither repeated texts nor repeated ids gather; written, so that all readings agree
+    rows = common.materialize(rows.withColumn("grp", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(groups)).cast("int")), "texts")
+
+    def opened(texts: pa.Table, answers: pa.Table | None, tokens: int, kinds: int) -> Group:
+        common.claim(__name__)
+        common.reuse_memory()
+        column = texts["text"].combine_chunks()
+        column = column.chunk(0) if isinstance(column, pa.ChunkedArray) else column
+        learns = ~np.array(texts["held_out"].to_pylist(), bool)
+        return Group(common.raw(column), learns, collected(answers), tokens, kinds, training)
+
+    def asking(levels: list[int], tokens: int, kinds: int):
+        def ask(texts: pa.Table, answers: pa.Table | None) -> pa.Table:
+            if not texts.num_rows:
+                listed = []
+            else:
+                group = opened(texts, answers, tokens, kinds)
+                listed = [r for level in levels for r in asked(group, texts["grp"][0].as_py(), level, buckets)]
+            kinds_ = (pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.binary())
+            return pa.table({c.split()[0]: pa.array([r[i] for r in listed], kinds_[i]) for i, c in enumerate(ASKS.split(", "))})
 
+        return ask
 
-def _slices(batch):
-    at = 0
-    for group in chunks(common.raw(batch.column(1))):
-        yield at, group
-        at += len(group)
+    def answer(asks: DataFrame) -> DataFrame:
+        written = common.materialize(asks, "asks")
+
+        def solve(table: pa.Table) -> pa.Table:
+            common.claim(__name__)
+            return answered(table, buckets)
+
+        out = common.materialize(written.groupBy("bucket", "level").applyInArrow(solve, ANSWERS), "answers")
+        common.discard(written)
+        common.forget_shuffles(docs.sparkSession)
+        return out
+
+    def both(answers: DataFrame):
+        return rows.groupBy("grp").cogroup(answers.where("grp >= 0").groupBy("grp"))
+
+    first = asking([0, 1], 1, 0)
+    answers = answer(rows.groupBy("grp").applyInArrow(lambda texts: first(texts, None), ASKS))
+    facts = [np.frombuffer(r["sums"]) for r in answers.where("grp = -1 and level = 0").select("sums").toLocalIterator()]
+    kinds, tokens = (int(sum(f[i] for f in facts)) for i in (0, 1))
+    for d in range(1, depth + 1):
+        levels = [-d] + [d + 1] * (d < depth)
+        answers = answers.unionByName(answer(both(answers).applyInArrow(asking(levels, tokens, kinds), ASKS)))
+
+    def score(texts: pa.Table, answers_: pa.Table) -> pa.Table:
+        names = [c.split()[0] for c in SCORED.split(", ")]
+        if not texts.num_rows:
+            return pa.table({n: pa.array([], t) for n, t in zip(names, (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.float64(), pa.float64()), strict=True)})
+        got = opened(texts, answers_, tokens, kinds).scores(depth)
+        return pa.table({"doc_id": texts["doc_id"], "held_out": texts["held_out"], **{n: pa.array(v) for n, v in zip(names[2:], got, strict=True)}})
+
+    scored = both(answers).applyInArrow(score, SCORED)
+    return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(tokens).cast("long").alias("train_tokens"), "base_score", "score")
 
 
 def op7_suffix_tree(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -340,21 +340,35 @@ def learned(docs: DataFrame, labels: DataFrame, label: str, held_out, examples:
 
     # a doc_id that several texts share teaches with the first of them
     sample = common.texts(docs).join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "label").agg(F.min("text").alias("text")).select("doc_id", "text", "label")
-    table = common.mapped(sample, vectors, "doc_id long, label int, terms array<bigint>, counts array<int>").toArrow().combine_chunks().sort_by("doc_id")
+    sample = common.mapped(sample, vectors, "doc_id long, label int, terms array<bigint>, counts array<int>").toArrow()
+    names, y = sample["doc_id"].to_numpy(), sample["label"].to_numpy().astype(np.int64)
+    # the examples hold some ten million words at most; each array of them is dropped as soon as it has served
+    sizes = np.concatenate([np.empty(0, np.int64), *[np.diff(c.offsets.to_numpy()) for c in sample["terms"].chunks]]).astype(np.int64)
+    hashed = np.concatenate([np.empty(0, np.int64), *[c.flatten().to_numpy() for c in sample["terms"].chunks]])
+    tf = np.concatenate([np.empty(0, np.int32), *[c.flatten().to_numpy() for c in sample["counts"].chunks]])
+    del sample
+    common.free()
+    rank = np.argsort(names, kind="stable")
+    begin = np.cumsum(sizes) - sizes
+    at = np.repeat(begin[rank] - (np.cumsum(sizes[rank]) - sizes[rank]), sizes[rank]) + np.arange(len(hashed))
+    names, y, sizes, hashed, tf = names[rank], y[rank], sizes[rank], hashed[at], tf[at]
+    del at
+    terms = np.unique(hashed)
+    term = np.searchsorted(terms, hashed).astype(np.int32)
+    del hashed
+    row = np.repeat(np.arange(len(names), dtype=np.int32), sizes)
+    start = np.concatenate([[0], np.cumsum(sizes)])
     n = docs.count()
-    frequencies = common.materialize(document_frequencies(docs), "frequencies").where(F.col("df") > max(1.0, n * RAREST)).toArrow().combine_chunks()
+    frequencies = common.materialize(document_frequencies(docs), "frequencies").where(F.col("df") > max(1.0, n * RAREST)).toArrow()
     words, counts = (frequencies[c].to_numpy() for c in ("term", "df"))
     order = np.argsort(words)
-    names, y = table["doc_id"].to_numpy(), table["label"].to_numpy().astype(np.int64)
-    lists, tf = (table[c].combine_chunks() if table.num_rows else pa.array([], pa.list_(pa.int64())) for c in ("terms", "counts"))
-    lists, tf = (x.chunk(0) if isinstance(x, pa.ChunkedArray) else x for x in (lists, tf))
-    sizes = np.diff(lists.offsets.to_numpy()).astype(np.int64)
-    row, hashed, tf = np.repeat(np.arange(len(names)), sizes), lists.flatten().to_numpy(), tf.flatten().to_numpy()
-    terms, term = np.unique(hashed, return_inverse=True)
     weighting = Weighting(n, words[order], counts[order], terms, relevances(row, term, y, len(terms)))
-    del hashed
-    _, term, _, weight = weighting.unit(row, terms[term], tf, len(names))
-    vectors_ = np.concatenate([[0], np.cumsum(sizes)]), term.astype(np.int32), weight
+    del frequencies, words, counts
+    weight = np.empty(len(term), np.float32)
+    for i in range(0, len(names), 1000):
+        some = slice(start[i], start[min(i + 1000, len(names))])
+        weight[some] = weighting.unit(row[some] - i, terms[term[some]], tf[some], 1000)[3]
+    vectors_ = start, term, weight
     got = [float((y == v).sum()) for v in (0, 1)]
     worth = np.array([size.get(v, 0.0) / max(1.0, got[v]) for v in (0, 1)])
     worth /= max(worth.max(), 1e-9)
@@ -362,9 +376,10 @@ def learned(docs: DataFrame, labels: DataFrame, label: str, held_out, examples:
     mass = [worth[v] * float(((sizes == 0) & (y == v)).sum()) for v in (0, 1)]
     empty = (mass[1] + prior) / (sum(mass) + 1) if len(names) else prior
     often = np.argsort(-np.bincount(term, minlength=len(terms)), kind="stable")[:FREQUENT]
-    column = np.full(len(terms), -1, np.int64)
+    column = np.full(len(terms), -1, np.int32)
     column[often] = np.arange(len(often))
     order = np.lexsort(leading(row, column[term], tf, len(names)))
+    common.free()
     return Judge(weighting, names, y, vectors_, order, worth, prior, empty, k)
 
 

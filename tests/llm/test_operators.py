@@ -467,9 +467,66 @@ def test_leak_of_an_accented_item_in_capitals(spark):
 # suffix tree
 
 
+def brute_tree(texts, learns, depth):
+    """log10 probabilities by dictionaries of word tuples, and every state's next-word distribution."""
+    end, start = "END", "START"
+    tokens = [[*t.encode().lower().split(), end] for t in texts]
+    training = [[start, *x] for x, y in zip(tokens, learns) if y]
+    counts = [Counter() for _ in range(depth + 1)]  # counts[d]: (context of d words, word)
+    for x in training:
+        for i in range(1, len(x)):
+            for d in range(min(depth, i) + 1):
+                counts[d][tuple(x[i - d : i + 1])] += 1
+    total, kinds = sum(counts[0].values()), len(counts[0])
+    seen = [Counter() for _ in range(depth + 1)]
+    for d in range(1, depth + 1):
+        for run, c in counts[d].items():
+            seen[d][run[:-1]] += c
+    states = [{} for _ in range(depth + 1)]
+
+    def p(context, word):
+        if not context:
+            return (counts[0][(word,)] + 1) / (total + kinds + 1)
+        shorter = p(context[1:], word)
+        if context not in states[len(context)]:
+            return shorter
+        c, n = counts[len(context)][(*context, word)], seen[len(context)][context]
+        return (c - suffix_tree.DISCOUNT) / n * (c >= 2) + states[len(context)][context] * shorter
+
+    for d in range(1, depth + 1):
+        by = defaultdict(dict)
+        for run, c in counts[d].items():
+            by[run[:-1]][run[-1]] = c
+        for context, following in by.items():
+            n = seen[d][context]
+            twice = {w: c for w, c in following.items() if c >= 2}
+            if n < 2 or not twice:
+                continue
+            rest = max(1e-9, 1 - sum(c - suffix_tree.DISCOUNT for c in twice.values()) / n)
+            gain = sum(c * math.log((c - 1 - suffix_tree.DISCOUNT) / (n - 1) / p(context[1:], w)) for w, c in twice.items())
+            if gain + (n - sum(twice.values())) * math.log(rest) > math.log(n) / 2:
+                states[d][context] = rest
+    out = []
+    for x in tokens:
+        full = [start, *x]
+        out.append(sum(math.log10(p(tuple(full[max(0, i - depth) : i]), full[i])) for i in range(1, len(full))))
+    return out, p, states, [w for (w,) in counts[0]]
+
+
+@pytest.mark.parametrize("depth", [1, 2, 3])
+def test_suffix_tree_against_brute_force(spark, docs, depth):
+    out = common.remainder(7) == 2
+    rows = sorted((r["doc_id"], r["text"]) for r in docs.collect())
+    learns = [zlib.crc32(str(i).encode()) % 7 != 2 for i, _ in rows]
+    want, _, states, _ = brute_tree([t for _, t in rows], learns, depth)
+    assert all(states[d] for d in range(1, depth + 1))
+    got = {r["doc_id"]: r["score"] for r in suffix_tree.text_scores(docs, out, depth, 60_000).collect()}
+    assert max(abs(got[i] - w) / abs(w) for (i, _), w in zip(rows, want)) < 1e-5
+
+
 def test_suffix_tree_counts_and_base(spark, docs):
     out = common.remainder(7) == 2
-    got = {r["doc_id"]: r for r in suffix_tree.text_scores(docs, out, head=500).collect()}
+    got = {r["doc_id"]: r for r in suffix_tree.text_scores(docs, out).collect()}
     tokens = {r["doc_id"]: r["text"].encode().lower().split() for r in docs.collect()}
     train = [i for i in tokens if zlib.crc32(str(i).encode()) % 7 != 2]
     counts = Counter(w for i in train for w in tokens[i])
@@ -478,45 +535,38 @@ def test_suffix_tree_counts_and_base(spark, docs):
         base = sum(math.log10((counts[w] + 1) / (n + v + 1)) for w in ws) + math.log10((len(train) + 1) / (n + v + 1))
         r = got[i]
         assert r["base_score"] == pytest.approx(base, rel=1e-9) and r["n_known"] == sum(counts[w] > 0 for w in ws) + 1
-        assert r["n_tokens"] == len(ws) + 1 and r["train_tokens"] == n and r["score"] < 0
-
-
-def test_suffix_tree_is_a_distribution(spark):
-    docs = documents(spark, ["abab abab abab abab", "abba abab ba", "a b a b"] * 40)
-    table = common.materialize(suffix_tree.counted(docs, 3), "t")
-    total = table.where("kind = 1").agg(F.sum("n")).first()[0]
-    tree = suffix_tree.SuffixTree.build(3, suffix_tree.retained(table, total, 3, 1e-3))
-    for context in (b"aba", b"zzz", b"\n\n\n", b"b a"):
-        base = np.uint64(int.from_bytes(context, "big") << 8)
-        p = np.exp(tree.log_probability(base | np.arange(256, dtype=np.uint64)))
-        assert p.sum() == pytest.approx(1.0) and (p > 0).all()
-    seen = np.exp(tree.log_probability(np.array([int.from_bytes(b"abab", "big")], np.uint64)))[0]
-    assert seen > 0.5 and len(tree.states) > 3
-
-
-def test_suffix_tree_tables_are_the_tree(spark, docs, monkeypatch):
-    monkeypatch.setattr(suffix_tree, "BUCKET", 3000)
-    counts = suffix_tree.counted(docs, 4)
-    total = counts.where("kind = 1").agg(F.sum("n")).first()[0]
-    tree = suffix_tree.SuffixTree.build(4, suffix_tree.retained(counts, total, 4, 2 / total))
-    unseen = spark.range(500).select((F.xxhash64("id").bitwiseAND((1 << 40) - 1)).alias("key"), F.lit(0).cast("long").alias("n"))
-    got = suffix_tree.branches(counts.where("kind = 1").select("key", "n").unionByName(unseen), 4).toPandas()
-    assert len(got) > 9000
-    want = tree.log_probability(got["key"].to_numpy(np.int64).view(np.uint64))
-    assert np.allclose(np.log(got["p"].to_numpy()), want, rtol=1e-9)
-
-
-def test_suffix_tree_keeps_rare_contexts_however_large_the_corpus(spark, monkeypatch):
-    monkeypatch.setattr(suffix_tree, "GROUP", 100_000)
-    rare, common_ = "zqxj zqxj zqxj", " ".join(["plain words of a long text"] * 300)
+        assert r["n_tokens"] == len(ws) + 1 and r["train_tokens"] == n and r["held_out"] == (i not in train)
+
+
+def test_suffix_tree_is_a_distribution():
+    texts = ["a b a b a b c", "b a b a c", "a b c a b c x y"] * 20
+    _, p, states, words = brute_tree(texts, [True] * len(texts), 2)
+    assert states[1] and states[2]
+    for context in [*states[1], *states[2], ("never",)]:
+        assert sum(p(context, w) for w in words) + p(context, "unknown") == pytest.approx(1.0)
+
+
+@pytest.mark.parametrize("sf", ["sf0.01", "sf0.1"])
+def test_held_out_texts_are_likelier_than_by_their_words_alone(spark, sf):
+    scored = suffix_tree.op7_suffix_tree(spark, f"/root/testdata/{sf}").where("held_out")
+    r = scored.agg((F.sum("score") / F.sum("n_tokens")).alias("tree"), (F.sum("base_score") / F.sum("n_tokens")).alias("base")).first()
+    assert r["tree"] > r["base"] + 0.05
+
+
+def test_suffix_tree_keeps_rare_contexts_however_large_the_corpus(spark):
+    rare, common_ = "zqxj vvkw zqxj vvkw", " ".join(["plain words of a long text"] * 300)
     docs = documents(spark, [rare, rare] + [common_] * 100)
-    got = {r["doc_id"]: r["score"] for r in suffix_tree.text_scores(docs, F.lit(False)).collect()}
-    assert got[0] == pytest.approx(got[1]) and got[0] > -15  # under a share of 2e-5 of 780,000 symbols nothing of it was a state
+    got = {r["doc_id"]: r for r in suffix_tree.text_scores(docs, F.lit(False), 2, 100_000).collect()}
+    assert got[0]["score"] == pytest.approx(got[1]["score"]) and got[0]["score"] > got[0]["base_score"] / 2
 
 
-def test_runs_of_symbols():
-    got = suffix_tree.runs([b"ab\n", b"c\n"], 2)
-    assert [int(x).to_bytes(3, "big") for x in got] == [b"\n\na", b"\nab", b"ab\n", b"\n\nc", b"\nc\n"]
+def test_packed_hashes():
+    keys = np.unique(common.mix(np.arange(5000, dtype=np.uint64)) >> np.uint64(64 - suffix_tree.BITS))
+    for buckets in (64, 1024):
+        cuts = (keys >> np.uint64(suffix_tree.BITS - buckets.bit_length() + 1)).astype(int)
+        for b in np.unique(cuts)[:20]:
+            part = keys[cuts == b]
+            assert (suffix_tree.unpacked(suffix_tree.packed(part), int(b), buckets) == part).all()
 
 
 # secrets
