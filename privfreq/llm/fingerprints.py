@@ -123,7 +123,7 @@ def edit(text: str, following: str) -> str:
     return text[: len(text) - half] + following[:half]
 
 
-RESULT = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
+RESULT = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double, held_by_edited double, n_distinct double"
 
 
 def with_next(docs: DataFrame) -> DataFrame:
@@ -168,13 +168,15 @@ def with_next(docs: DataFrame) -> DataFrame:
 def edited_likeness(docs: DataFrame, k: int = K, width: int = WIDTH) -> DataFrame:
     """For each document its fingerprint, that of its edited text, and the likeness to that and to the next document.
 
+    held_by_edited: the estimated share of its shingles that the edited text has; n_distinct: how many it has, estimated.
+
     Next: ascending doc_id (null first, equal ids by their texts' hash), after the last the first. Null and empty texts
     have the empty fingerprint, alike to each other only. An empty table gives no rows.
     """
 
     def run(batches):
         keyed = common.Keyed()
-        columns: tuple[list, ...] = ([], [], [], [], [], [], [])
+        columns: tuple[list, ...] = tuple([] for _ in NAMES)
 
         def rows(batches):
             for batch in batches:
@@ -182,7 +184,7 @@ def edited_likeness(docs: DataFrame, k: int = K, width: int = WIDTH) -> DataFram
                     yield row
 
         def flush():
-            kinds = (pa.int64(), pa.int64(), *[pa.string()] * 3, pa.float64(), pa.float64())
+            kinds = (pa.int64(), pa.int64(), *[pa.string()] * 3, *[pa.float64()] * 4)
             out = pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], NAMES)
             for c in columns:
                 c.clear()
@@ -197,7 +199,7 @@ def edited_likeness(docs: DataFrame, k: int = K, width: int = WIDTH) -> DataFram
                 of, held_text, held_own = held
                 new = edit(held_text, text)
                 changed = sketch(new.encode(), keyed, k, width)
-                row = (of, len(held_text), hashlib.sha256(new.encode()).hexdigest(), to_text(held_own), to_text(changed), resemblance(held_own, changed, k), resemblance(held_own, own, k))
+                row = (of, len(held_text), hashlib.sha256(new.encode()).hexdigest(), to_text(held_own), to_text(changed), resemblance(held_own, changed, k), resemblance(held_own, own, k), containment(held_own, changed, k), distinct(held_own, k))
                 for column, value in zip(columns, row, strict=True):
                     column.append(value)
                 if len(columns[0]) >= 500:

@@ -39,16 +39,20 @@ DIGIT_NAMES = {
     for i, name in enumerate(names.split())
 } | {"oh": "0"}
 _NAME = "|".join(sorted(DIGIT_NAMES, key=len, reverse=True))
-_AT = r"\s*[\[({<]\s*(?:at|@|arroba|chez)\s*[\])}>]\s*|\s+AT\s+"
-_DOT = r"\s*[\[({<]\s*(?:dot|\.|punkt|point|punto)\s*[\])}>]\s*|\s+DOT\s+"
+# Names of the highest level that a spelled-out address may end in; those that are words as well are left out.
+_TOP = "com|org|net|edu|gov|mil|int|info|biz|name|io|co|uk|de|fr|es|eu|nl|ch|se|dk|pl|pt|br|mx|ca|au|jp|cn|ru|example|test|invalid|localhost"
+#: Signs in brackets count anywhere; capitals between spaces only where a name and a host could stand beside them.
+_AT = r"(?i:\s*[\[({<]\s*(?:at|@|arroba|chez)\s*[\])}>]\s*)|(?<=[A-Za-z0-9._%+-])\s+AT\s+(?=[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]|\s+(?:DOT|dot)\s+[A-Za-z]|\s*[\[({<]))"
+_DOT_IN_BRACKETS = r"(?i:\s*[\[({<]\s*(?:dot|\.|punkt|point|punto)\s*[\])}>]\s*)"
+_DOT = _DOT_IN_BRACKETS + r"|(?<=[A-Za-z0-9-])\s+DOT\s+(?=[A-Za-z0-9])"
 #: What may stand between spelled digits; a spelled or bracketed dot as well.
-_JOIN = rf"(?:{_DOT}|\s+(?:punkt|point|punto)\s+|[ \-.,]{{1,3}})"
+_JOIN = rf"(?:{_DOT_IN_BRACKETS}|\s+(?:dot|punkt|point|punto)\s+|[ \-.,]{{1,3}})"
 #: Three or more digits in a row, at least two of them spelled, are a spelled number; a "plus" before it is its sign.
 SPELLED = re.compile(rf"(?<!\w)(plus[ \-]{{1,3}}|más[ \-]{{1,3}})?(?:(?:{_NAME}|[0-9]){_JOIN}){{2,}}(?:{_NAME}|[0-9])(?!\w)", re.I)
 DIGIT = re.compile(rf"({_NAME}|[0-9])({_JOIN}?)", re.I)
-#: A bracketed sign counts anywhere; bare "at" only in "name at host dot word".
-BARE = re.compile(r"([A-Za-z0-9._%+-]+)(\s+at\s+|\s*@\s*)((?:[A-Za-z0-9-]+\s+dot\s+)+)([A-Za-z]{2,}(?![A-Za-z0-9]))", re.I)
-SIGNS = re.compile(f"(?P<at>{_AT})|(?P<dot>{_DOT})", re.I)
+#: Bare "at" and "dot" only in "name at host dot top".
+BARE = re.compile(rf"([A-Za-z0-9._%+-]+)(\s+at\s+|\s*@\s*)(?!(?:the|a|an|this|that|my|our|your)\s)((?:[A-Za-z0-9-]+\s+dot\s+)+)((?:{_TOP})(?![A-Za-z0-9]))", re.I)
+SIGNS = re.compile(f"(?P<at>{_AT})|(?P<dot>{_DOT})")
 
 
 def luhn(digits: str) -> bool:
@@ -128,7 +132,7 @@ def undigit(tape: Tape) -> Tape:
             start, end = m.start() + d.start(), m.start() + d.start() + len(d[1])
             pieces.append((start, end, d[1] if d[1].isdigit() else DIGIT_NAMES[d[1].lower()]))
             if d[2] and m.start() + d.end() < m.end():
-                pieces.append((end, m.start() + d.end(), "." if "." in d[2] or any(c.isalpha() for c in d[2]) else ""))
+                pieces.append((end, m.start() + d.end(), "." if d[2] == "." or any(c.isalpha() or c in "[({<" for c in d[2]) else ""))
     return tape.rewritten(pieces) if pieces else tape
 
 
@@ -181,14 +185,15 @@ def digest(spans: dict[str, list[tuple[int, int]]]) -> str:
     return ",".join(f"{kind}:{a}:{b}" for kind in KINDS for a, b in spans[kind])
 
 
-RESULT = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long"
+RESULT = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long, n_spans long"
 NAMES = [c.split()[0] for c in RESULT.split(", ")]
 
 
 def personal_data(docs: DataFrame) -> DataFrame:
     """One row a document: counts and digest of the plain spans, and all spans (code points, end exclusive).
 
-    n_email, n_ip, n_card and n_phone count plain spans; n_added counts those that only the rewritten text shows. Null and
+    n_email, n_ip, n_card and n_phone count plain spans; n_added counts those that only the rewritten text shows, n_spans
+    all. Null and
     empty texts have no spans; repeated rows are kept; an empty table gives no rows.
     """
 
@@ -198,10 +203,10 @@ def personal_data(docs: DataFrame) -> DataFrame:
             for text in batch.column(1).to_pylist():
                 base, found = all_spans(text)
                 plain = digest(base)
-                row = (*(len(base[k]) for k in KINDS), hashlib.sha256(plain.encode()).hexdigest(), plain if found is base else digest(found), sum(map(len, found.values())) - sum(map(len, base.values())))
+                row = (*(len(base[k]) for k in KINDS), hashlib.sha256(plain.encode()).hexdigest(), plain if found is base else digest(found), sum(map(len, found.values())) - sum(map(len, base.values())), sum(map(len, found.values())))
                 for column, value in zip(columns, row, strict=True):
                     column.append(value)
-            kinds = [pa.int64()] * 4 + [pa.string()] * 2 + [pa.int64()]
+            kinds = [pa.int64()] * 4 + [pa.string()] * 2 + [pa.int64()] * 2
             yield pa.RecordBatch.from_arrays([batch.column(0), *map(pa.array, columns, kinds)], NAMES)
 
     return common.mapped(common.texts(docs), run, RESULT)

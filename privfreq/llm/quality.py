@@ -2,7 +2,8 @@
 
 A pair takes a labelled good and a labelled bad document; the chance that the good one wins is the logistic function of
 the difference of their scores, so the loss is logistic in the feature differences. The features are counts of the whole
-text. The cut is a quantile of the scores of the whole corpus: the level is the one that splits the labelled examples best.
+text. The cut is a quantile of the scores of the whole corpus, found by counting; its level is given, or else the share of
+the corpus below the score that splits the labelled examples best.
 """
 
 from __future__ import annotations
@@ -85,10 +86,33 @@ def fit_pairs(difference: np.ndarray, rounds: int = 30) -> np.ndarray:
     return w
 
 
-def score(docs: DataFrame, labels: DataFrame, label: str = "quality", held_out=None, examples: int = EXAMPLES, pairs: int = PAIRS) -> DataFrame:
-    """doc_id and score (0 to 1; 0.3 at the cut), higher for label 1.
+def order_statistics(df: DataFrame, column: str, rank: int, bins: int = 1024) -> tuple[float, float]:
+    """The values of this rank (from 1) and of the next in falling-free order, exactly, by counting in ever finer bins.
 
-    Learns from label rows outside `held_out`. Null and empty texts are scored as texts without words. Without examples of
+    Each pass brings `bins` rows to the driver and narrows the range to one bin, whose own ends bound the next pass.
+    """
+    value = F.col(column)
+    ends = df.agg(F.min(value).alias("lo"), F.max(value).alias("hi")).first()
+    low, high, below = ends["lo"], ends["hi"], 0
+    while low < high:
+        width = (high - low) / bins
+        place = F.least(F.floor((value - F.lit(low)) / F.lit(width)), F.lit(bins - 1)) if width > 0 else (value > F.lit(low)).cast("int")
+        rows = df.where(value.between(low, high)).groupBy(place.alias("b")).agg(F.count("*").alias("n"), F.min(value).alias("lo"), F.max(value).alias("hi")).orderBy("b").collect()
+        for i, r in enumerate(rows):
+            if below + r["n"] >= rank:
+                break
+            below += r["n"]
+        if below + r["n"] == rank or r["lo"] == r["hi"]:  # the bin's end is the value; the next one may be in another bin
+            above = df.where(value > F.lit(r["hi"])).agg(F.min(value)).first()[0]
+            return r["hi"], r["hi"] if below + r["n"] > rank or above is None else above
+        low, high = r["lo"], r["hi"]
+    return low, low
+
+
+def score(docs: DataFrame, labels: DataFrame, label: str = "quality", held_out=None, examples: int = EXAMPLES, pairs: int = PAIRS, level: float | None = None) -> DataFrame:
+    """doc_id, score (0 to 1; 0.3 at the cut), higher for label 1, and level: the share of the corpus below the cut.
+
+    level: that share, if it is to be so; otherwise the one that splits the labelled examples best. Learns from label rows outside `held_out`. Null and empty texts are scored as texts without words. Without examples of
     both labels every score is 1 (nothing is known against a document). Repeated and null ids are kept; an empty table
     gives no rows.
     """
@@ -106,7 +130,7 @@ def score(docs: DataFrame, labels: DataFrame, label: str = "quality", held_out=N
     learned.sort(key=lambda r: r["doc_id"])
     y = np.array([r["r"]["label"] for r in learned], np.int64)
     if len(set(y.tolist())) < 2:
-        return table.select("doc_id", F.lit(1.0).alias("score"))
+        return table.select("doc_id", F.lit(1.0).alias("score"), F.lit(0.0).alias("level"))
     x = bend(np.array([r["r"]["x"] for r in learned], float))
     center, scale = x.mean(0), x.std(0) + 1e-9
     z = (x - center) / scale
@@ -131,15 +155,23 @@ def score(docs: DataFrame, labels: DataFrame, label: str = "quality", held_out=N
     best = np.flatnonzero(right >= right.max() - 1e-9)
     cut = float(at[best].mean())
     sides = ranked.agg(F.max(F.when(F.col("rank_score") < cut, F.col("rank_score"))).alias("below"), F.min(F.when(F.col("rank_score") >= cut, F.col("rank_score"))).alias("above")).first()
-    # the quantile of that level, between the two neighbouring scores of the corpus
-    threshold = cut if None in sides else (sides["below"] + sides["above"]) / 2
+    ranked = common.materialize(ranked, "ranked")
+    count = ranked.agg(F.count("*").alias("n"), F.count_if(F.col("rank_score") < cut).alias("below")).first()
+    rank = count["below"] if level is None else int(np.ceil(level * count["n"]))
+    rank = min(max(rank, 0), count["n"])
+    if not count["n"]:
+        threshold = cut
+    elif rank == 0:
+        threshold = min(cut, ranked.agg(F.min("rank_score")).first()[0])
+    else:
+        threshold = float(np.mean(order_statistics(ranked, "rank_score", rank)))
     weight = np.where(y == 1, size.get(1, 1.0) / len(good), size.get(0, 1.0) / len(bad))
     slope, _ = fit_logistic(s - threshold, y, weight / weight.max())
     base = float(np.log(BAR / (1 - BAR)))
-    return ranked.select("doc_id", (1 / (1 + F.exp(-(F.lit(slope) * (F.col("rank_score") - F.lit(float(threshold))) + F.lit(base))))).alias("score"))
+    return ranked.select("doc_id", (1 / (1 + F.exp(-(F.lit(slope) * (F.col("rank_score") - F.lit(float(threshold))) + F.lit(base))))).alias("score"), F.lit(rank / max(1, count["n"])).alias("level"))
 
 
 def op6_quality_ranking(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = common.remainder(5) == 0
     scored = score(common.read(spark, sf_dir, "documents"), common.read(spark, sf_dir, "labels"), "quality", out)
-    return scored.select("doc_id", out.alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+    return scored.select("doc_id", out.alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"), "level")

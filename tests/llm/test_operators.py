@@ -146,6 +146,89 @@ def test_pii_leaves_plain_text_alone():
     assert pii.plain_spans("999.1.1.1 1.2.3.4")["ip"] == [(10, 17)]
 
 
+def brute_spans(text, kind):
+    """Leftmost, longest, non-overlapping matches by trying every start and end."""
+    import regex
+
+    full, at, out = regex.compile(pii.PATTERNS[kind].pattern), 0, []
+    while at < len(text):
+        end = next((j for j in range(len(text), at, -1) if full.fullmatch(text, at, j)), None)
+        if end is None:
+            at += 1
+            continue
+        digits = [int(c) for c in text[at:end] if c in "0123456789"]
+        doubled = [d if i % 2 == 0 else sum(divmod(2 * d, 10)) for i, d in enumerate(reversed(digits))]
+        good = {"email": True, "ip": all(int(p or 0) <= 255 for p in text[at:end].split(".")) if kind == "ip" else True, "card": 13 <= len(digits) <= 19 and sum(doubled) % 10 == 0, "phone": 9 <= len(digits) <= 15}[kind]
+        if good:
+            out.append((at, end))
+        at = end
+    return out
+
+
+def test_plain_spans_against_brute_force():
+    rng = random.Random(11)
+    pools = {"email": "ab1.-@ _", "ip": "0125..x ", "card": "4028 -x", "phone": "+12 ().-x"}
+    hits = Counter()
+    for _ in range(1500):
+        kind = rng.choice(pii.KINDS)
+        text = "".join(rng.choice(pools[kind]) for _ in range(rng.randint(5, 45)))
+        if kind == "card" and rng.random() < 0.5:
+            text += " 4012 8888 8888 1881 " + text[:4]
+        if kind == "phone" and rng.random() < 0.5:
+            text += "+" + "".join(str(rng.randint(0, 9)) + rng.choice(("", " ", "-", "(", ".")) for _ in range(rng.randint(7, 17))) + "x"
+        if kind == "ip" and rng.random() < 0.5:
+            text += ".".join(str(rng.randint(0, 300)) for _ in range(rng.randint(3, 6)))
+        for k in pii.KINDS:
+            want = brute_spans(text, k)
+            assert pii.plain_spans(text)[k] == want, text
+            hits[k] += len(want)
+    assert min(hits.values()) > 30
+
+
+NAMES = "zero one two three four five six seven eight nine".split()
+GERMAN = "null eins zwei drei vier fünf sechs sieben acht neun".split()
+
+
+def disguise(kind, rng):
+    """A disguised identifier, and the text that is to be found."""
+    twins = {v: k for k, v in pii.LOOKALIKES.items()}
+    user, host, top = (rng.choice(x) for x in (("john.doe", "info", "anna-b"), ("example", "mail-box", "acme"), ("com", "org", "net")))
+    digits = {"card": "4012888888881881", "phone": f"{rng.randint(1, 9)}{rng.randint(10**9, 10**10 - 1)}"}.get(kind, "")
+    if kind == "email":
+        at, dot = rng.choice((" (at) ", "[at]", " {AT} ", " <at> ", " AT ")), rng.choice((" (dot) ", "[dot]", ".", " [.] "))
+        return rng.choice((f"{user}{at}{host}{dot}{top}", f"{user} at {host} dot {top}", f"{user}@{host}".replace("o", twins["o"]).replace("a", twins["a"]) + f".{top}"))
+    if kind == "ip":
+        parts = [str(rng.randint(0, 255)) for _ in range(4)]
+        names = rng.choice((NAMES, GERMAN))
+        return rng.choice((" dot ", " (dot) ", " [.] ")).join(" ".join(names[int(c)] for c in p) for p in parts)
+    wide = "".join(chr(0xFF10 + int(c)) for c in digits)
+    spelled = " ".join(rng.choice((NAMES, GERMAN))[int(c)] for c in digits)
+    return {"card": rng.choice((wide, spelled)), "phone": rng.choice(("+" + wide, "plus " + spelled))}[kind]
+
+
+@pytest.mark.parametrize("kind", pii.KINDS)
+def test_disguises_are_found_and_plain_text_is_not(kind):
+    rng = random.Random(kind)
+    filler = "the report was read at home. In 1990 we met at the station, one or two of us; look at google.com now. Drei von vier, seven days a week".split()
+    found = clean = 0
+    for _ in range(200):
+        before, after = (" ".join(rng.choice(filler) for _ in range(rng.randint(0, 12))) for _ in range(2))
+        hidden = disguise(kind, rng)
+        text = f"{before} | {hidden} | {after}"
+        _, spans = pii.all_spans(text)
+        found += hidden in [text[a:b] for a, b in spans[kind]]
+        plain = f"{before} | {after} х (dot) х"
+        clean += pii.all_spans(plain)[0] == pii.all_spans(plain)[1]
+    assert found >= 190 and clean == 200
+
+
+def test_a_sign_far_away_changes_nothing():
+    for text in ("look at google.com now", "he sat at home.In 1990", "meet me at the dot matrix", "One. Two. Three. Four.", "we look at the dot com"):
+        for more in ("", " х", " (dot)", " plus one two three", "​"):
+            base, found = pii.all_spans(text + more)
+            assert base == found, text + more
+
+
 def test_pii_masks(spark):
     got = pii.masked(documents(spark, ["me@x.org or +1 (301) 555-0346"])).first()["text"]
     assert got == "[email] or [phone]"
@@ -224,7 +307,11 @@ def test_fingerprints_estimate(spark, docs):
         e = fingerprints.edit(t, following)
         a, b = sh(t), sh(e)
         assert out[i]["edited_sha256"] == hashlib.sha256(e.encode()).hexdigest() and out[i]["n_chars"] == len(t)
+        c = sh(following)
         assert abs(out[i]["near_edited"] - len(a & b) / max(1, len(a | b))) < 0.2
+        assert abs(out[i]["near_next"] - (len(a & c) / len(a | c) if a | c else 1)) < 0.2
+        assert abs(out[i]["held_by_edited"] - (len(a & b) / len(a) if a else 1)) < 0.25
+        assert abs(out[i]["n_distinct"] - len(a)) <= 0.4 * len(a)
 
 
 def test_fingerprints_merge(spark):
@@ -440,6 +527,22 @@ def test_toxicity_held_out(spark):
     assert area > 0.977 and found > 0.9 and alone > 0.97
 
 
+@pytest.mark.parametrize("level", [0.0, 0.1, 0.37, 0.5, 1.0])
+def test_quantiles_are_exact(spark, level):
+    rng = np.random.default_rng(9)
+    x = np.concatenate([rng.normal(size=700), np.full(200, 0.25), rng.normal(size=300) * 1e-9 + 3])
+    df = spark.createDataFrame([(float(v),) for v in x], "x double")
+    rank = max(1, math.ceil(level * len(x)))
+    low, high = quality.order_statistics(df, "x", rank, 16)
+    s = np.sort(x)
+    assert low == s[rank - 1] and high == s[min(rank, len(x) - 1)]
+
+
+def test_quality_cuts_at_the_quantile_asked_for(spark, docs, labels):
+    got = quality.score(docs, labels, level=0.3)
+    assert got.where("score < 0.3").count() == pytest.approx(0.3 * got.count(), abs=1.01)
+
+
 def test_pairs_fit():
     rng = np.random.default_rng(8)
     x = rng.normal(size=(400, 3))
