@@ -145,12 +145,13 @@ def reuse_memory() -> None:
 
 
 def mapped(df: DataFrame, run, schema: str) -> DataFrame:
-    """df.mapInArrow, in workers that keep nothing of other operators."""
+    """df.mapInArrow, in workers that keep nothing of other operators, and little between tasks."""
     owner = run.__module__
 
     def whole(batches):
         claim(owner)
         yield from run(batches)
+        free()
 
     return df.mapInArrow(whole, schema)
 
