@@ -36,6 +36,27 @@ def counter_flips(seeds: np.ndarray, m: int, q: float) -> np.ndarray:
     return coins[:, :m]
 
 
+def gap_flips(seeds: np.ndarray, m: int, q: float) -> tuple[np.ndarray, np.ndarray]:
+    """Record and place of every flip among m coins of chance q for each seed, by drawing the gaps between flips.
+
+    About m*q draws a record in place of m; the same for a seed wherever and whenever its record is read again.
+    """
+    draws = int(m * q + 6 * np.sqrt(m * q * (1 - q)) + 16)
+    start, last, scale = _mix(seeds), np.full(len(seeds), -1, np.int64), 1 / np.log1p(-q)
+    rows, places, open_, done = [], [], np.arange(len(seeds)), 0
+    while len(open_):
+        with np.errstate(over="ignore"):
+            words = _mix(start[open_][:, None] + np.arange(done + 1, done + draws + 1, dtype=np.uint64)[None, :] * np.uint64(0x9E3779B97F4A7C15))
+        gaps = np.log(((words >> np.uint64(11)).astype(np.float64) + 0.5) * 2.0**-53) * scale
+        at = last[open_][:, None] + np.cumsum(np.minimum(gaps, m).astype(np.int64) + 1, axis=1)
+        row, column = np.nonzero(at < m)
+        rows.append(open_[row])
+        places.append(at[row, column])
+        last[open_] = at[:, -1]
+        open_, done = open_[at[:, -1] < m], done + draws
+    return np.concatenate(rows or [np.empty(0, np.int64)]), np.concatenate(places or [np.empty(0, np.int64)])
+
+
 def portable_flips(rids: list[str], m: int, p: Params) -> np.ndarray:
     """The md5 coins of the expression form, for comparing the two."""
     limit, out = threshold(p.q), np.empty((len(rids), 4 * -(-m // 4)), bool)
@@ -55,20 +76,25 @@ def vector_state(clients: DataFrame, p: Params, coins: str = "counter") -> DataF
     rows = drawn.select("j", "pos", F.xxhash64("rid", F.lit(p.seed), F.lit("vector")).alias("seed") if coins == "counter" else F.col("rid").alias("seed"))
 
     def accumulate(batches):
-        plus, n = np.zeros((p.k, p.m), np.int64), np.zeros(p.k, np.int64)
-        step = max(1, 2_000_000 // p.m)
+        plus, n = np.zeros(p.k * p.m, np.int64), np.zeros(p.k, np.int64)
+        step = max(1, 1_000_000 // max(16, int(p.m * p.q)))
         for batch in batches:
-            row, pos = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1))
+            row, pos = (batch.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in (0, 1))
             seeds = batch.column(2).to_pylist() if coins != "counter" else batch.column(2).to_numpy(zero_copy_only=False).view(np.uint64)
             for at in range(0, len(row), step):
                 r, b = row[at : at + step], pos[at : at + step]
-                bits = counter_flips(seeds[at : at + step], p.m, p.q) if coins == "counter" else portable_flips(seeds[at : at + step], p.m, p)
-                light = np.flatnonzero(b >= 0)
-                bits[light, b[light]] ^= True
-                order = np.argsort(r, kind="stable")
-                present, first = np.unique(r[order], return_index=True)
-                plus[present] += np.add.reduceat(bits[order], first, axis=0, dtype=np.int64)
+                if coins == "counter":
+                    of, place = gap_flips(seeds[at : at + step], p.m, p.q)
+                else:
+                    of, place = np.nonzero(portable_flips(seeds[at : at + step], p.m, p))
+                plus += np.bincount(r[of] * p.m + place, minlength=p.k * p.m)
+                # a light client's own place holds +1 unless it was flipped
+                flipped = np.zeros(len(r), bool)
+                flipped[of[place == b[of]]] = True
+                light = b >= 0
+                plus += np.bincount(r[light] * p.m + b[light], 1 - 2 * flipped[light], p.k * p.m).astype(np.int64)
                 n += np.bincount(r, minlength=p.k)
+        plus = plus.reshape(p.k, p.m)
         have = np.flatnonzero(n)
         j, b = np.repeat(have, p.m), np.tile(np.arange(p.m), len(have))
         yield pa.RecordBatch.from_arrays([pa.array(j, pa.int32()), pa.array(b, pa.int32()), pa.array(plus[have].ravel()), pa.array(np.repeat(n[have], p.m))], ["j", "b", "plus", "reports"])

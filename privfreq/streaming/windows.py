@@ -63,6 +63,18 @@ def acknowledged(rows: DataFrame, acks: DataFrame, within: str = "1 hour", laten
     return a.join(b, on).drop("ack_rid")
 
 
+def scored_stream(events: DataFrame, scores: DataFrame, p: float) -> DataFrame:
+    """The event clients of a stream with g (0 where no score is listed) and heavy, by a join with a static score table."""
+    listed = scores.select("item", F.col("g").cast("double").alias("g"))
+    joined = event_clients(events).join(F.broadcast(listed), "item", "left")
+    return joined.withColumn("g", F.coalesce("g", F.lit(0.0))).withColumn("heavy", F.col("g") >= F.lit(p))
+
+
+def watermark_losses(query) -> int:
+    """Rows that the stateful operators of a streaming query have dropped as too late, over the progress that it keeps."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for progress in query.recentProgress for op in progress["stateOperators"])
+
+
 class Budget(StatefulProcessor):
     """How much of the budget a user has spent: reports beyond the limit are withheld."""
 

@@ -128,7 +128,9 @@ def test_countmin_never_underestimates(spark, clients):
 def test_postprocessing(spark):
     est = spark.createDataFrame([("a", 6.0), ("b", -2.0), ("c", 2.0)], "item string, f_hat double")
     total = sketch.postprocess(est, "shift", total=16).agg(F.sum("f_hat"), F.min("f_hat")).first()
-    assert tuple(total) == (16.0, 0.0)
+    assert total[0] == pytest.approx(16.0) and total[1] == 0.0
+    scaled = sketch.postprocess(est, "scale", total=16).collect()
+    assert {r["item"]: r["f_hat"] for r in scaled} == {"a": 12.0, "b": 0.0, "c": 4.0}
     assert sketch.postprocess(est, "significant", cut=5.0).where("f_hat > 0").count() == 1
 
 

@@ -54,6 +54,59 @@ def test_budget_of_a_user(spark, files):
     assert spark.table("spent").groupBy("user_id").count().agg(F.max("count")).first()[0] <= 2
 
 
+def test_late_rows_are_counted(spark, files, tmp_path):
+    """A file of old events after the newest ones: beyond the watermark, so they are dropped and reported."""
+    rows = tables.load(spark, SF, "events")
+    source = tmp_path / "late"
+    for i, part in enumerate((rows.orderBy(F.desc("ts")).limit(100), rows.orderBy(F.desc("ts")).limit(50), rows.orderBy("ts").limit(40))):
+        part.coalesce(1).write.mode("append").parquet(str(source))
+    stream = windows.window_sketch(windows.event_reports(windows.stream_events(spark, str(source)), SMALL).withWatermark("ts", "1 hour"))
+    query = run(stream, "late", "append")
+    assert windows.watermark_losses(query) > 0
+
+
+def test_update_mode_ends_at_the_batch_state(spark, files, tmp_path):
+    """Every micro-batch writes the windows that it changed; the last value of each is the batch state's."""
+    stream = windows.stream_sketch(windows.stream_events(spark, files, 1), SMALL, lateness="60 days")
+    query = sinks_query(stream, tmp_path)
+    got = {}
+    for r in spark.read.parquet(str(tmp_path / "out")).orderBy("batch").collect():
+        got[(r["start"], r["j"], r["l"])] = (r["signed_sum"], r["reports"])
+    assert query.exception() is None
+    events = tables.load(spark, SF, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    want = {(r["start"], r["j"], r["l"]): (r["signed_sum"], r["reports"]) for r in windows.window_sketch(windows.event_reports(events, SMALL)).collect()}
+    assert got == want
+
+
+def sinks_query(stream, tmp_path):
+    query = windows.save_batches(stream, str(tmp_path / "out"), str(tmp_path / "checkpoint"))
+    try:
+        query.awaitTermination(180)
+    finally:
+        query.stop()
+    return query
+
+
+def test_stream_joins_a_static_score_table(spark, files):
+    scores = spark.createDataFrame([("click", 9.0), ("view", 2.0)], "item string, g double")
+    run(windows.scored_stream(windows.stream_events(spark, files, 10), scores, 5.0), "scored_events", "append")
+    got = {(r["item"], r["g"], r["heavy"]) for r in spark.table("scored_events").select("item", "g", "heavy").distinct().collect()}
+    items = {r["event_type"] for r in tables.load(spark, SF, "events").select("event_type").distinct().collect()}
+    listed = {"click": 9.0, "view": 2.0}
+    assert got == {(i, listed.get(i, 0.0), listed.get(i, 0.0) >= 5.0) for i in items}
+
+
+def test_reports_join_their_acknowledgements(spark, files, tmp_path):
+    """Two streams: of the acknowledged events only those answered within the hour come out."""
+    events = tables.load(spark, SF, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    some = events.where("event_id % 3 = 0").select(F.col("event_id").cast("string").alias("rid"), (F.col("ts") + F.expr("interval 1 minute") * F.when(F.col("event_id") % 2 == 0, 30).otherwise(90)).alias("ack_ts"))
+    some.coalesce(1).write.parquet(str(tmp_path / "acks"))
+    acks = spark.readStream.schema("rid STRING, ack_ts TIMESTAMP").parquet(str(tmp_path / "acks"))
+    rows = windows.event_reports(windows.stream_events(spark, files, 10), SMALL).dropDuplicates(["rid"])
+    run(windows.acknowledged(rows, acks, lateness="90 days"), "acknowledged", "append")
+    assert {r["rid"] for r in spark.table("acknowledged").collect()} == {str(r["event_id"]) for r in events.where("event_id % 6 = 0").collect()}
+
+
 def test_sessions(spark):
     events = tables.load(spark, SF, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     assert windows.session_reports(events).agg(F.sum("n")).first()[0] == 1000

@@ -82,5 +82,21 @@ def test_counter_flips_rate_and_repeatability():
     assert abs(np.corrcoef(flips[:, 0], flips[:, 1])[0, 1]) < 0.08
 
 
+@pytest.mark.parametrize("q,m", [(0.119, 64), (0.018, 1024), (0.45, 16)])
+def test_gap_flips_are_independent_coins(q, m):
+    seeds = np.arange(1, 6001, dtype=np.uint64)
+    row, place = kernels.gap_flips(seeds, m, q)
+    flips = np.zeros((6000, m), bool)
+    flips[row, place] = True
+    assert flips.sum() == len(row)
+    assert abs(flips.mean() - q) < 5 * math.sqrt(q * (1 - q) / flips.size)
+    assert (abs(flips.mean(0) - q) < 6 * math.sqrt(q * (1 - q) / 6000)).all()
+    assert abs(np.corrcoef(flips[:, 0], flips[:, 1])[0, 1]) < 0.08 and abs(flips.sum(1).var() / (m * q * (1 - q)) - 1) < 0.1
+    again = kernels.gap_flips(seeds[100:200], m, q)
+    other = np.zeros((100, m), bool)
+    other[again] = True
+    assert (other == flips[100:200]).all()
+
+
 def test_report_sizes():
     assert theory.report_bytes(ZIPF, "onehot") == 129 and theory.report_bytes(ZIPF, "pooled_lh") == 2
