@@ -8,7 +8,7 @@ its count. Next words seen MIN_COUNT times get their share less a discount; what
 distribution, down to the root. A word is scored by the longest states of what stands before it.
 
 Nothing of the tree comes to the driver. Texts are dealt into groups of bounded size. A group asks for the corpus's counts
-of its own distinct runs of words, once each, as sorted 54-bit hashes in packed arrays; a bucket (a range of hashes) adds
+of its own distinct runs of words, once each, as sorted hashes in packed arrays; a bucket (a range of hashes) adds
 up what all groups sent and answers every group in its own order, so that neither side joins rows. One round asks for
 words and pairs, each further one for runs a word longer (only those that can occur twice, so the tree grows level by
 level) and for what decides on the contexts of the round before: sums over a context's occurrences, whichever groups
@@ -28,8 +28,8 @@ from . import common
 DEPTH, MIN_COUNT, DISCOUNT = 2, 2, 0.75
 #: Bytes of text in a group, and in a bucket's share of the corpus, about.
 GROUP, BUCKET = 6_000_000, 16_000_000
-#: Bits of a run's hash, and those that are sent (the bucket tells the others).
-BITS, SENT = 54, 48
+#: Bits of a hash of a word and of a longer run; the first FEWEST tell the smallest bucket and are not sent.
+WORD_BITS, RUN_BITS, FEWEST = 54, 46, 6
 _K = np.uint64(0x9E3779B97F4A7C15)
 START, END = np.uint64(1), np.uint64(2)  # a word's hash is one of them by a chance of 2^-53
 
@@ -38,21 +38,27 @@ ANSWERS = "grp int, level int, bucket int, sums binary"
 SCORED = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double"
 
 
-def packed(keys: np.ndarray) -> bytes:
-    return keys.astype("<u8").view(np.uint8).reshape(-1, 8)[:, : SENT // 8].tobytes()
+def bits(level: int) -> int:
+    """Bits of the keys of a level: runs of level+1 words, or contexts of -level words."""
+    return WORD_BITS if level in (0, -1) else RUN_BITS
 
 
-def unpacked(data: bytes, bucket: int, buckets: int) -> np.ndarray:
-    raw = np.frombuffer(data, np.uint8).reshape(-1, SENT // 8)
+def packed(keys: np.ndarray, level: int) -> bytes:
+    return keys.astype("<u8").view(np.uint8).reshape(-1, 8)[:, : (bits(level) - FEWEST) // 8].tobytes()
+
+
+def unpacked(data: bytes, level: int, bucket: int, buckets: int) -> np.ndarray:
+    sent = bits(level) - FEWEST
+    raw = np.frombuffer(data, np.uint8).reshape(-1, sent // 8)
     wide = np.zeros((len(raw), 8), np.uint8)
-    wide[:, : SENT // 8] = raw
-    top = np.uint64(bucket) << np.uint64(BITS - (buckets.bit_length() - 1))
-    return wide.view("<u8").ravel() & np.uint64((1 << SENT) - 1) | (top >> np.uint64(SENT) << np.uint64(SENT))
+    wide[:, : sent // 8] = raw
+    top = bucket >> (buckets.bit_length() - 1 - FEWEST) << sent
+    return wide.view("<u8").ravel() | np.uint64(top)
 
 
 def run_hashes(before: np.ndarray, token: np.ndarray) -> np.ndarray:
     """Hashes of runs: of what a context is, and the word after it."""
-    return common.mix(before * _K + token) >> np.uint64(64 - BITS)
+    return common.mix(before * _K + token) >> np.uint64(64 - RUN_BITS)
 
 
 class Group:
@@ -68,7 +74,7 @@ class Group:
         for i, j in common.pieces(texts):
             row, h = common.word_hashes(texts[i:j])
             rows.append(row + i)
-            words.append(h >> np.uint64(64 - BITS))
+            words.append(h >> np.uint64(64 - WORD_BITS))
         row = np.concatenate([*rows[1:], rows[0]])
         order = np.argsort(row, kind="stable")
         self.row, self.token = row[order], np.concatenate([*words[1:], words[0]])[order]
@@ -164,17 +170,17 @@ def asked(group: Group, number: int, level: int, buckets: int):
     """The rows of ASKS of a group: its keys are sorted, so a bucket has a slice of them."""
     keys, sums = group.ask_runs(level) if level >= 0 else group.ask_contexts(-level)
     sums = sums.astype(np.float32) if level < 0 else sums.astype("<u4")
-    cuts = np.searchsorted(keys, np.arange(1, buckets, dtype=np.uint64) << np.uint64(BITS - (buckets.bit_length() - 1)))
+    cuts = np.searchsorted(keys, np.arange(1, buckets, dtype=np.uint64) << np.uint64(bits(level) - (buckets.bit_length() - 1)))
     for bucket, (i, j) in enumerate(zip([0, *cuts], [*cuts, len(keys)], strict=True)):
         if i < j:
-            yield bucket, number, level, packed(keys[i:j]), sums[i:j].tobytes()
+            yield bucket, number, level, packed(keys[i:j], level), sums[i:j].tobytes()
 
 
 def answered(table: pa.Table, buckets: int) -> pa.Table:
     """Rows of ANSWERS to the asks of one bucket and level; group -1 gets how many keys were counted, and their sum."""
     rows = sorted(table.to_pylist(), key=lambda r: r["grp"])
     bucket, level = rows[0]["bucket"], rows[0]["level"]
-    parts = [unpacked(r["keys"], bucket, buckets) for r in rows]
+    parts = [unpacked(r["keys"], level, bucket, buckets) for r in rows]
     keys, of = np.unique(np.concatenate(parts), return_inverse=True)
     if level < 0:
         sums = np.concatenate([np.frombuffer(r["sums"], np.float32) for r in rows]).reshape(-1, 3)
@@ -205,7 +211,7 @@ def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, group_bytes: int
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score (both log10 of the text's probability).
 
     Learns from the documents where `held_out` (a condition on doc_id) is false. Null and empty texts are the end alone.
-    Words and runs are told apart by 54-bit hashes. Without any training text every token has probability 1. Repeated and
+    Words are told apart by hashes of 54 bits, longer runs of 46 (n of them collide n^2/2^47 times). Without any training text every token has probability 1. Repeated and
     null ids are kept; an empty table gives no rows.
     """
     if depth < 1:
@@ -213,7 +219,7 @@ def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, group_bytes: int
     rows = common.texts(docs).select("doc_id", "text", held_out.alias("held_out"))
     size = rows.agg(F.sum(F.octet_length("text")).alias("bytes"), F.count(F.when(~F.col("held_out"), 1)).alias("train")).first()
     groups = max(1, -(-(size["bytes"] or 0) // group_bytes))
-    buckets = 1 << max(BITS - SENT, (max(1, (size["bytes"] or 0) // BUCKET) - 1).bit_length())
+    buckets = 1 << max(FEWEST, (max(1, (size["bytes"] or 0) // BUCKET) - 1).bit_length())
     training = size["train"]
     # dealt by row number, so that neither repeated texts nor repeated ids gather; written, so that all readings agree
     rows = common.materialize(rows.withColumn("grp", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(groups)).cast("int")), "texts")
@@ -240,6 +246,8 @@ def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, group_bytes: int
 
     def answer(asks: DataFrame) -> DataFrame:
         written = common.materialize(asks, "asks")
+        del asks
+        common.forget_shuffles(docs.sparkSession)  # the texts that were dealt to groups
 
         def solve(table: pa.Table) -> pa.Table:
             common.claim(__name__)
