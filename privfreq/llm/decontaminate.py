@@ -25,7 +25,7 @@ RARE, AT_LEAST = 1e-5, 12
 #: Distances between the words of a seed, and the fewest words of an item.
 REACH, SHORTEST = (1, 2), 3
 #: Surprise (-log10 of the chances) that the hits of a passage must have together, and its share of all that the item has.
-SURPRISE, SHARE = 10.0, 0.15
+SURPRISE, SHARE = 18.0, 0.1
 #: Score from which a passage counts as the item's copy.
 LEAK = 0.5
 #: Items held by a broadcast at a time; more are matched in further blocks.
@@ -81,11 +81,21 @@ def _sweep(item: np.ndarray, passage: np.ndarray, local: bool) -> tuple[int, int
     return best
 
 
-def align(item: np.ndarray, passage: np.ndarray) -> tuple[int, int, int, int]:
-    """Best local alignment: score, first and last place in the passage, words matched. Memory grows with the passage alone."""
-    value, i, j = _sweep(item, passage, True)
-    if not value:
-        return 0, 0, -1, 0
+def reachable(item: np.ndarray, passage: np.ndarray) -> int:
+    """A score that no alignment exceeds: that of all words which both have, each as often as the one that has it less often."""
+    both = np.concatenate([item, passage])
+    words, of = np.unique(both, return_inverse=True)
+    return MATCH * int(np.minimum(np.bincount(of[: len(item)], minlength=len(words)), np.bincount(of[len(item) :], minlength=len(words))).sum())
+
+
+def align(item: np.ndarray, passage: np.ndarray, least: int = 1) -> tuple[int, int, int, int]:
+    """Best local alignment: score, first and last place in the passage, words matched. Memory grows with the passage alone.
+
+    A score under `least` comes without its place.
+    """
+    value, i, j = (0, 0, 0) if reachable(item, passage) < least else _sweep(item, passage, True)
+    if value // _UNIT < least:
+        return value // _UNIT, 0, -1, 0
     _, _, back = _sweep(item[:i][::-1], passage[:j][::-1], False)
     return value // _UNIT, j - back, j - 1, value % _UNIT
 
@@ -100,6 +110,7 @@ class SeedIndex:
         share = np.array([1.0] + [max(chance.get(w, 0.0), 1e-9) for w in self.ids])
         parts: list[tuple] = [(np.empty(0, np.int64),) * 3 + (np.empty(0),)]
         self.need = np.full(len(self.items), np.inf)
+        self.sizes = np.array([len(x) for _, x in self.items], np.int64)
         for n, (_, a) in enumerate(self.items):
             if len(a) < SHORTEST:
                 continue
@@ -132,9 +143,9 @@ class SeedIndex:
         item, diagonal = self.of[entry], place - self.at[entry]
         order = np.lexsort((diagonal, item))
         entry, item, diagonal = entry[order], item[order], diagonal[order]
-        size = np.array([len(x) for _, x in self.items])[item]
+        size = self.sizes[item]
         # a stretch ends where the item changes or the next hit lies too many diagonals on
-        new = np.concatenate([[True], (item[1:] != item[:-1]) | (diagonal[1:] - diagonal[:-1] > size[1:])])
+        new = np.concatenate([[True], (item[1:] != item[:-1]) | (diagonal[1:] - diagonal[:-1] > size[1:] // 2 + 2)])
         stretch = np.cumsum(new) - 1
         # a seed counts once in a stretch, however often it is hit
         once = np.unique(stretch * len(self.key) + entry)
@@ -195,7 +206,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, at_least: float = LEAK) -> Data
                     best: dict[int, tuple] = {}
                     for n, lo, hi in held.passages(a):
                         name, item = held.items[n]
-                        score, first, last, matched = align(item, a[lo:hi])
+                        score, first, last, matched = align(item, a[lo:hi], int(np.ceil(at_least * MATCH * len(item) - 1e-9)))
                         row = (doc, name, score / (MATCH * len(item)), lo + first, lo + last, matched)
                         if row[2] >= at_least and (name not in best or row[2] > best[name][2]):
                             best[name] = row
