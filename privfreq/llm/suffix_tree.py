@@ -244,10 +244,10 @@ def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, group_bytes: int
 
         return ask
 
-    def answer(asks: DataFrame) -> DataFrame:
-        written = common.materialize(asks, "asks")
-        del asks
-        common.forget_shuffles(docs.sparkSession)  # the texts that were dealt to groups
+    def answer(asks) -> DataFrame:
+        """asks: makes the frame of asks; nothing else may hold it, so that the shuffle of dealt texts can go once it is written."""
+        written = common.materialize(asks(), "asks")
+        common.forget_shuffles(docs.sparkSession)
 
         def solve(table: pa.Table) -> pa.Table:
             common.claim(__name__)
@@ -262,12 +262,12 @@ def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, group_bytes: int
         return rows.groupBy("grp").cogroup(answers.where("grp >= 0").groupBy("grp"))
 
     first = asking([0, 1], 1, 0)
-    answers = answer(rows.groupBy("grp").applyInArrow(lambda texts: first(texts, None), ASKS))
+    answers = answer(lambda: rows.groupBy("grp").applyInArrow(lambda texts: first(texts, None), ASKS))
     facts = [np.frombuffer(r["sums"]) for r in answers.where("grp = -1 and level = 0").select("sums").toLocalIterator()]
     kinds, tokens = (int(sum(f[i] for f in facts)) for i in (0, 1))
     for d in range(1, depth + 1):
         levels = [-d] + [d + 1] * (d < depth)
-        answers = answers.unionByName(answer(both(answers).applyInArrow(asking(levels, tokens, kinds), ASKS)))
+        answers = answers.unionByName(answer(lambda known=answers, levels=levels: both(known).applyInArrow(asking(levels, tokens, kinds), ASKS)))
 
     def score(texts: pa.Table, answers_: pa.Table) -> pa.Table:
         names = [c.split()[0] for c in SCORED.split(", ")]
