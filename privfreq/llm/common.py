@@ -39,10 +39,10 @@ _made: list[list[DataFrame]] = []
 
 @contextlib.contextmanager
 def temporary():
-    """Tables of materialize() made inside are deleted at the end: for steps whose result is written elsewhere by then."""
+    """Tables of materialize() made inside are deleted at the end, but for those taken off the list that it gives."""
     _made.append([])
     try:
-        yield
+        yield _made[-1]
     finally:
         discard(*_made.pop())
 
