@@ -71,5 +71,9 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = common.read(spark, sf_dir, "documents")
     for name, stage in STAGES:
-        docs = common.materialize(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        before = docs
+        with common.temporary() as made:  # a stage's own tables go as soon as its rows are written
+            docs = common.materialize(stage(spark, before, sf_dir), name.replace(" ", "-"))
+            made.remove(docs)
+        common.discard(before)
     return docs
