@@ -34,17 +34,19 @@ def shared_dir(spark: SparkSession) -> str:
     return found.rstrip("/")
 
 
-_made: list[list[DataFrame]] = []
+def _made() -> list[list[DataFrame]]:
+    # not a global of this module, which travels to the workers by value
+    return sys.__dict__.setdefault("_privfreq_made", [])
 
 
 @contextlib.contextmanager
 def temporary():
     """Tables of materialize() made inside are deleted at the end, but for those taken off the list that it gives."""
-    _made.append([])
+    _made().append([])
     try:
-        yield _made[-1]
+        yield _made()[-1]
     finally:
-        discard(*_made.pop())
+        discard(*_made().pop())
 
 
 #: Rows that go to a Python worker at a time; texts and sets of hashes can be long.
@@ -71,8 +73,8 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
         df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._shared_path = path
-    if _made:
-        _made[-1].append(out)
+    if _made():
+        _made()[-1].append(out)
     return out
 
 

@@ -55,3 +55,28 @@ def test_empty_documents(spark):
     for _, stage in pipeline.STAGES:
         docs = stage(spark, docs, SF)
         assert docs.count() == 0
+
+
+def test_run_leaves_its_result_alone(spark, stages):
+    """The pieces of a whole run are those of the stages, and nothing else stays in the shared folder."""
+    import os
+
+    folder = spark.conf.get("spark.checkpoint.dir").removeprefix("file://")
+    before = set(os.listdir(folder))
+    out = pipeline.run(spark, SF)
+    assert len(set(os.listdir(folder)) - before) == 1
+    assert sorted(map(tuple, out.select("doc_id", "piece", "ids_crc32").collect())) == sorted(map(tuple, stages[-1][2].select("doc_id", "piece", "ids_crc32").collect()))
+
+
+def test_stages_on_odd_rows(spark):
+    """Nulls in any column, empty and very long texts, repeated rows and extra columns go through every stage."""
+    long = " ".join(f"word{i % 4999} of" for i in range(40_000))
+    rows = [(1, None), (2, ""), (3, long), (4, "same text here now and then " * 8), (4, "same text here now and then " * 8), (5, "same text here now and then " * 8), (None, "no id at all"), (None, None)]
+    docs = spark.createDataFrame([(i, t, None, None, None) for i, t in rows], "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    docs = docs.withColumns({c: F.lit(c) for c in ("score", "node", "comp", "label", "level", "kept", "bucket")})
+    for name, stage in pipeline.STAGES[1:]:  # the classifier of the given labels may reject texts as odd as these
+        docs = common.materialize(stage(spark, docs, SF), "odd")
+        if name == "near-duplicates":
+            assert {r["doc_id"] for r in docs.collect()} == {1, 2, 3, 4, None}
+    assert docs.groupBy("sequence_id").agg(F.sum("length").alias("n")).where("n > 4096").count() == 0
+    assert common.materialize(pipeline.quality_stage(spark, spark.createDataFrame([(None, None, None, None, None)], "doc_id bigint, text string, lang string, source string, n_chars bigint"), SF), "odd").count() <= 1
