@@ -6,6 +6,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark import cloudpickle
 from pyspark.ml import PipelineModel
 from pyspark.ml.evaluation import RegressionEvaluator
 from pyspark.ml.feature import VectorAssembler
@@ -91,12 +92,15 @@ def scored(model: PipelineModel | trees.Ensemble, items: DataFrame, features_=No
     with_x = (features_ or features)(items)
     if not isinstance(model, trees.Ensemble):
         return model.transform(with_x).select(*items.columns, F.col("prediction").alias("g"))
-    sent = items.sparkSession.sparkContext.broadcast(model)
+    sent = items.sparkSession.sparkContext.broadcast(cloudpickle.dumps(model))  # classes travel by value, as functions do
     names = items.columns
 
     def run(batches):
+        import pickle
+
+        ensemble = pickle.loads(sent.value)
         for batch in batches:
-            g = sent.value.predict(_matrix(batch.column(len(names)))) if len(batch) else np.empty(0)
+            g = ensemble.predict(_matrix(batch.column(len(names)))) if len(batch) else np.empty(0)
             yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], pa.array(g)], [*names, "g"])
 
     return with_x.select(*names, _inputs(items).alias("x")).mapInArrow(run, StructType([*items.schema.fields, StructField("g", DoubleType())]))
