@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -80,21 +81,30 @@ def without_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     small = size["rows"] <= BROADCAST_ROWS and size["places"] <= 4 * BROADCAST_ROWS
     joined = keyed.join(F.broadcast(cover) if small else cover, ["_d", "_k"], "left")
 
-    # only the rows that lose lines are taken apart
-    lines, solid = F.split("text", "\n", -1), F.col("_solid")
-    gone = F.flatten(F.transform("_first", lambda f: F.slice(solid, f + 1, window)))
+    @F.pandas_udf("text string, lines_removed int")
+    def rewrite(texts: pd.Series, firsts: pd.Series) -> pd.DataFrame:
+        common.claim(__name__)
+        out = []
+        for text, first in zip(texts, firsts, strict=True):
+            if text is None or first is None:
+                out.append((None, 0))
+            else:
+                lines, solid = solid_lines(text)
+                gone = {solid[f + i] for f in first for i in range(window)}
+                out.append(("\n".join(x for i, x in enumerate(lines) if i not in gone), len(gone)))
+        return pd.DataFrame(out, columns=["text", "lines_removed"])
+
+    # only the texts that lose lines go to Python and back
     covered = F.col("_first").isNotNull() & F.col("text").isNotNull()
-    done = joined.withColumn("_solid", F.when(covered, F.filter(F.transform(lines, lambda x, i: F.when(F.trim(x) != "", i)), lambda i: i.isNotNull())))
-    done = done.withColumn("_gone", F.when(covered, F.array_distinct(gone)))
-    kept = F.filter(F.transform(lines, lambda x, i: F.when(~F.array_contains("_gone", i), x)), lambda x: x.isNotNull())
+    done = joined.withColumn("_new", rewrite(F.when(covered, F.col("text")), "_first"))
     done = done.withColumns(
         {
             "n_lines": F.coalesce(F.length("text") - F.length(F.replace("text", F.lit("\n"), F.lit(""))) + 1, F.lit(1)).cast("int"),
-            "lines_removed": F.coalesce(F.size("_gone"), F.lit(0)).cast("int"),
-            "text": F.when(covered, F.array_join(kept, "\n")).otherwise(F.col("text")),
+            "lines_removed": F.col("_new.lines_removed"),
+            "text": F.when(covered, F.col("_new.text")).otherwise(F.col("text")),
         }
     )
-    return done.drop("_d", "_k", "_first", "_solid", "_gone")
+    return done.drop("_d", "_k", "_first", "_new")
 
 
 def op8_three_line_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
