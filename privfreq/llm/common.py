@@ -8,6 +8,7 @@ import gc
 import pickle
 import sys
 import tempfile
+import time
 import uuid
 
 import numpy as np
@@ -89,8 +90,10 @@ def discard(*tables: DataFrame) -> None:
 
 def forget_shuffles(spark: SparkSession) -> None:
     """Let the driver notice which finished queries nothing refers to, so that their shuffle files go."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    for _ in range(2):  # the first round frees what the second one's finds refer to
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.5)
 
 
 def partitions(spark: SparkSession) -> int:
