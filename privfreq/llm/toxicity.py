@@ -128,8 +128,8 @@ class BlockMaxIndex:
         start, size = self.start[t], self.start[t + 1] - self.start[t]
         sums = np.zeros(n * self.width, np.float32)
         ends = np.cumsum(size)
-        cuts = np.searchsorted(ends, np.arange(0, int(size.sum()), POSTINGS)) if len(size) else []
-        for i, j in zip(cuts, [*cuts[1:], len(size)], strict=True):
+        cuts = np.searchsorted(ends, np.arange(0, int(size.sum()), POSTINGS))  # none without postings
+        for i, j in zip(cuts, np.append(cuts[1:], len(size)), strict=False):
             if i == j:
                 continue
             many = size[i:j]

@@ -766,6 +766,12 @@ OPERATORS = {
 PER_ROW = {"toxicity", "quality", "pii", "near", "fingerprints", "lines", "suffix_tree"}
 
 
+def test_a_query_of_rare_words_that_no_example_has():
+    index = toxicity.BlockMaxIndex(2, np.array([0, 1, 1]), np.array([0, 0, 1]), np.ones(3, np.float32), 4, frequent=1)
+    ids, cosines = index.nearest(np.array([0, 0]), np.array([2, 3]), np.full(2, 0.5, np.float32), 1, 2)
+    assert (ids == -1).all() and (cosines == 0).all()
+
+
 @pytest.mark.parametrize("name", OPERATORS)
 def test_odd_rows_and_empty_tables(spark, odd, labels, name):
     benchmark = common.read(spark, SF, "benchmark")
