@@ -134,6 +134,14 @@ def test_postprocessing(spark):
     assert sketch.postprocess(est, "significant", cut=5.0).where("f_hat > 0").count() == 1
 
 
+def test_shift_adds_to_positive_estimates_only(spark):
+    est = spark.createDataFrame([("a", 6.0), ("b", -2.0), ("c", 2.0)], "item string, f_hat double")
+    got = {r["item"]: r["f_hat"] for r in sketch.postprocess(est, "shift", total=16).collect()}
+    assert got == {"a": 10.0, "b": 0.0, "c": 6.0}
+    less = {r["item"]: r["f_hat"] for r in sketch.postprocess(est, "shift", total=4).collect()}
+    assert less == pytest.approx({"a": 4.0, "b": 0.0, "c": 0.0}, abs=1e-6)
+
+
 def test_planner_choices():
     assert planner.choose_scorer(10) == "broadcast" and planner.choose_scorer(10**9) == "merge"
     assert planner.choose_query(10**9, SMALL) == "gather" and planner.choose_build(10**9, SMALL) == "vector"
