@@ -7,9 +7,10 @@ from its suffix's: leaving one occurrence out at a time, its words must be likel
 its count. Next words seen MIN_COUNT times get their share less a discount; what is left goes to the suffix's
 distribution, down to the root. A word is scored by the longest states of what stands before it.
 
-Nothing of the tree comes to the driver. Texts are dealt into groups of bounded size. A group asks for the corpus's counts
-of its own distinct runs of words, once each, as sorted hashes in packed arrays; a bucket (a range of hashes) adds
-up what all groups sent and answers every group in its own order, so that neither side joins rows. One round asks for
+Nothing of the tree comes to the driver. Texts that are read one after another make groups of bounded size, compressed in
+a row each. A group asks for the corpus's counts of its own distinct runs of words, once each, as the compressed
+differences of sorted hashes; a bucket (a range of hashes) adds up what all groups sent and answers every group in its
+own order, so that neither side joins rows. One round asks for
 words and pairs, each further one for runs a word longer (only those that can occur twice, so the tree grows level by
 level) and for what decides on the contexts of the round before: sums over a context's occurrences, whichever groups
 hold them. The last round scores. A group holds a run once, so a run that a third of all rows have is no larger than others.
@@ -28,13 +29,14 @@ from . import common
 DEPTH, MIN_COUNT, DISCOUNT = 2, 2, 0.75
 #: Bytes of text in a group, and in a bucket's share of the corpus, about.
 GROUP, BUCKET = 6_000_000, 16_000_000
-#: Bits of a hash of a word and of a longer run; the first FEWEST tell the smallest bucket and are not sent.
+#: Bits of a hash of a word and of a longer run; the first FEWEST tell the smallest bucket.
 WORD_BITS, RUN_BITS, FEWEST = 54, 46, 6
 _K = np.uint64(0x9E3779B97F4A7C15)
 START, END = np.uint64(1), np.uint64(2)  # a word's hash is one of them by a chance of 2^-53
 
-ASKS = "bucket int, grp int, level int, keys binary, sums binary"
-ANSWERS = "grp int, level int, bucket int, sums binary"
+GROUPS = "grp long, n_bytes long, train long, doc_ids array<bigint>, held_out array<boolean>, sizes array<int>, texts binary"
+ASKS = "bucket int, grp long, level int, keys binary, sums binary"
+ANSWERS = "grp long, level int, bucket int, sums binary"
 SCORED = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double"
 
 
@@ -43,17 +45,26 @@ def bits(level: int) -> int:
     return WORD_BITS if level in (0, -1) else RUN_BITS
 
 
+def squeezed(values: np.ndarray) -> bytes:
+    """The rows of an array: bytes of the same place stand together, compressed."""
+    planes = np.frombuffer(values.tobytes(), np.uint8).reshape(len(values), values.dtype.itemsize * int(np.prod(values.shape[1:]))).T
+    return len(values).to_bytes(4, "little") + pa.compress(planes.tobytes(), "zstd", asbytes=True)
+
+
+def expanded(data: bytes, kind: str, columns: int = 1) -> np.ndarray:
+    n, width = int.from_bytes(data[:4], "little"), np.dtype(kind).itemsize * columns
+    planes = np.frombuffer(pa.decompress(data[4:], n * width, "zstd", asbytes=True), np.uint8)
+    values = np.ascontiguousarray(planes.reshape(width, n).T).view(kind)
+    return values.ravel() if columns == 1 else values
+
+
 def packed(keys: np.ndarray, level: int) -> bytes:
-    return keys.astype("<u8").view(np.uint8).reshape(-1, 8)[:, : (bits(level) - FEWEST) // 8].tobytes()
+    """Sorted keys as their differences."""
+    return squeezed(np.diff(keys, prepend=np.uint64(0)).astype("<u8"))
 
 
 def unpacked(data: bytes, level: int, bucket: int, buckets: int) -> np.ndarray:
-    sent = bits(level) - FEWEST
-    raw = np.frombuffer(data, np.uint8).reshape(-1, sent // 8)
-    wide = np.zeros((len(raw), 8), np.uint8)
-    wide[:, : sent // 8] = raw
-    top = bucket >> (buckets.bit_length() - 1 - FEWEST) << sent
-    return wide.view("<u8").ravel() | np.uint64(top)
+    return np.cumsum(expanded(data, "<u8"), dtype=np.uint64)
 
 
 def run_hashes(before: np.ndarray, token: np.ndarray) -> np.ndarray:
@@ -64,8 +75,8 @@ def run_hashes(before: np.ndarray, token: np.ndarray) -> np.ndarray:
 class Group:
     """The tokens of some texts, and what is known of the runs that end in each, level by level.
 
-    answers: for a level (runs of level+1 words) the corpus's counts of its distinct keys; for -level what decides on
-    contexts of that many words. learns: whether a text is a training text.
+    answers: for a level (runs of level+1 words) the corpus's counts of its distinct keys; for -level what contexts of
+    that many words leave to their suffixes (0: no state). learns: whether a text is a training text.
     """
 
     def __init__(self, texts: list[bytes], learns: np.ndarray, answers: dict[int, np.ndarray], tokens: int = 1, kinds: int = 0, training: int = 0):
@@ -135,12 +146,10 @@ class Group:
             return (self.count(0) + 1) / self.total
         out = self.probability(level - 1)
         places, _, of = self.contexts(level)
-        taken, gain, often = self.answers[-level].reshape(-1, 3)[of].T
+        rest = self.answers[-level][of]
         n, c = self.context_count(level)[places].astype(float), self.count(level)[places]
-        rest = np.clip(1 - taken / n, 1e-9, 1.0)
-        state = (taken > 0) & (gain + (n - often) * np.log(rest) > np.log(n) / 2)
         own = np.where(c >= MIN_COUNT, (c - DISCOUNT) / n, 0.0)
-        out[places] = np.where(state, own + rest * out[places], out[places])
+        out[places] = np.where(rest > 0, own + rest * out[places], out[places])
         return out
 
     def ask_runs(self, level: int) -> tuple[np.ndarray, np.ndarray]:
@@ -149,15 +158,17 @@ class Group:
 
     def ask_contexts(self, level: int) -> tuple[np.ndarray, np.ndarray]:
         """For each context: what its frequent next words take of its occurrences, by how much it makes them likelier with
-        one occurrence left out (natural log, at least), and how many occurrences they are."""
+        one occurrence left out (natural log, at least), how many occurrences they are; and its count, alike in all groups."""
         places, keys, of = self.contexts(level)
         c, n = self.count(level)[places], self.context_count(level)[places]
+        seen = np.zeros(len(keys))
+        seen[of] = n
         use = np.flatnonzero(self.learns[places] & (c >= MIN_COUNT))
         c, n, of = c[use].astype(float), n[use], of[use]
         without = self.probability(level - 1)[places][use]
         gain = np.log((c - 1 - DISCOUNT) / (n - 1) / without)
         sums = [np.bincount(of, v, len(keys)) for v in ((c - DISCOUNT) / c, gain, np.ones(len(c)))]
-        return keys, np.column_stack(sums)
+        return keys, np.column_stack([*sums, seen])
 
     def scores(self, depth: int) -> tuple[np.ndarray, ...]:
         """n_tokens, n_known, base, score of every text (log10)."""
@@ -169,11 +180,17 @@ class Group:
 def asked(group: Group, number: int, level: int, buckets: int):
     """The rows of ASKS of a group: its keys are sorted, so a bucket has a slice of them."""
     keys, sums = group.ask_runs(level) if level >= 0 else group.ask_contexts(-level)
-    sums = sums.astype(np.float32) if level < 0 else sums.astype("<u4")
+    sums = sums.astype("<f4") if level < 0 else sums.astype("<u4")
     cuts = np.searchsorted(keys, np.arange(1, buckets, dtype=np.uint64) << np.uint64(bits(level) - (buckets.bit_length() - 1)))
     for bucket, (i, j) in enumerate(zip([0, *cuts], [*cuts, len(keys)], strict=True)):
         if i < j:
-            yield bucket, number, level, packed(keys[i:j], level), sums[i:j].tobytes()
+            yield bucket, number, level, packed(keys[i:j], level), squeezed(sums[i:j])
+
+
+def left(taken: np.ndarray, gain: np.ndarray, often: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """What contexts that stay leave to their suffixes; 0 for those that go."""
+    rest = np.clip(1 - taken / n, 1e-9, 1.0)
+    return np.where((taken > 0) & (gain + (n - often) * np.log(rest) > np.log(n) / 2), rest, 0.0)
 
 
 def answered(table: pa.Table, buckets: int) -> pa.Table:
@@ -183,19 +200,21 @@ def answered(table: pa.Table, buckets: int) -> pa.Table:
     parts = [unpacked(r["keys"], level, bucket, buckets) for r in rows]
     keys, of = np.unique(np.concatenate(parts), return_inverse=True)
     if level < 0:
-        sums = np.concatenate([np.frombuffer(r["sums"], np.float32) for r in rows]).reshape(-1, 3)
-        total = np.column_stack([np.bincount(of, sums[:, i], len(keys)) for i in range(3)]).astype(np.float32)
+        sums = np.concatenate([expanded(r["sums"], "<f4", 4) for r in rows])
+        n = np.zeros(len(keys))
+        n[of] = sums[:, 3]
+        total = left(*(np.bincount(of, sums[:, i], len(keys)) for i in range(3)), n).astype("<f4")
         facts = np.zeros(2)
     else:
-        total = np.bincount(of, np.concatenate([np.frombuffer(r["sums"], "<u4") for r in rows]), len(keys)).astype("<u4")
+        total = np.bincount(of, np.concatenate([expanded(r["sums"], "<u4") for r in rows]), len(keys)).astype("<u4")
         facts = np.array([(total > 0).sum(), total.sum(dtype=np.float64)])
     out = {"grp": [-1], "level": [level], "bucket": [bucket], "sums": [facts.tobytes()]}
     at = 0
     for r, part in zip(rows, parts, strict=True):
-        for name, value in (("grp", r["grp"]), ("level", level), ("bucket", bucket), ("sums", total[of[at : at + len(part)]].tobytes())):
+        for name, value in (("grp", r["grp"]), ("level", level), ("bucket", bucket), ("sums", squeezed(total[of[at : at + len(part)]]))):
             out[name].append(value)
         at += len(part)
-    return pa.table({"grp": pa.array(out["grp"], pa.int32()), "level": pa.array(out["level"], pa.int32()), "bucket": pa.array(out["bucket"], pa.int32()), "sums": pa.array(out["sums"], pa.binary())})
+    return pa.table({"grp": pa.array(out["grp"], pa.int64()), "level": pa.array(out["level"], pa.int32()), "bucket": pa.array(out["bucket"], pa.int32()), "sums": pa.array(out["sums"], pa.binary())})
 
 
 def collected(answers: pa.Table | None) -> dict[int, np.ndarray]:
@@ -203,8 +222,44 @@ def collected(answers: pa.Table | None) -> dict[int, np.ndarray]:
     out: dict[int, list] = {}
     rows = [] if answers is None else answers.select(["level", "bucket", "sums"]).to_pylist()
     for r in sorted(rows, key=lambda r: r["bucket"]):
-        out.setdefault(r["level"], []).append(r["sums"])
-    return {level: np.frombuffer(b"".join(parts), np.float32 if level < 0 else "<u4").astype(np.float64 if level < 0 else np.int64) for level, parts in out.items()}
+        out.setdefault(r["level"], []).append(expanded(r["sums"], "<f4" if r["level"] < 0 else "<u4"))
+    return {level: np.concatenate(parts).astype(np.float64 if level < 0 else np.int64) for level, parts in out.items()}
+
+
+def grouped(rows: DataFrame, group_bytes: int) -> DataFrame:
+    """GROUPS of rows (doc_id, text, held_out): texts read one after another, up to group_bytes of them (a longer one stands alone).
+
+    Nothing is dealt by a key, so neither repeated texts nor repeated ids gather.
+    """
+
+    def run(batches):
+        from pyspark import TaskContext
+
+        number, held, n = TaskContext.get().partitionId() << 32, [], 0
+
+        def row():
+            ids, texts, out = (list(x) for x in zip(*held, strict=True))
+            values = [[number], [n], [out.count(False)], [ids], [out], [[len(t) for t in texts]], [pa.compress(b"".join(texts), "zstd", asbytes=True)]]
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.bool_()), pa.list_(pa.int32()), pa.binary())
+            return pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(values, kinds, strict=True)], [c.split()[0] for c in GROUPS.split(", ")])
+
+        for batch in batches:
+            for item in zip(batch.column(0).to_pylist(), common.raw(batch.column(1)), batch.column(2).to_pylist(), strict=True):
+                if held and n + len(item[1]) > group_bytes:
+                    yield row()
+                    number, held, n = number + 1, [], 0
+                held.append(item)
+                n += len(item[1])
+        if held:
+            yield row()
+
+    return common.mapped(rows, run, GROUPS)
+
+
+def texts_of(row: dict) -> list[bytes]:
+    ends = np.cumsum(row["sizes"]).tolist()
+    whole = pa.decompress(row["texts"], ends[-1], "zstd", asbytes=True)
+    return [whole[i:j] for i, j in zip([0, *ends[:-1]], ends, strict=True)]
 
 
 def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, group_bytes: int = GROUP) -> DataFrame:
@@ -217,64 +272,56 @@ def text_scores(docs: DataFrame, held_out, depth: int = DEPTH, group_bytes: int
     if depth < 1:
         raise ValueError("contexts have one word or more")
     rows = common.texts(docs).select("doc_id", "text", held_out.alias("held_out"))
-    size = rows.agg(F.sum(F.octet_length("text")).alias("bytes"), F.count(F.when(~F.col("held_out"), 1)).alias("train")).first()
-    groups = max(1, -(-(size["bytes"] or 0) // group_bytes))
+    rows = common.materialize(grouped(rows, group_bytes), "texts")  # written, so that all readings agree
+    size = rows.agg(F.sum("n_bytes").alias("bytes"), F.sum("train").alias("train")).first()
     buckets = 1 << max(FEWEST, (max(1, (size["bytes"] or 0) // BUCKET) - 1).bit_length())
-    training = size["train"]
-    # dealt by row number, so that neither repeated texts nor repeated ids gather; written, so that all readings agree
-    rows = common.materialize(rows.withColumn("grp", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(groups)).cast("int")), "texts")
+    training = size["train"] or 0
 
-    def opened(texts: pa.Table, answers: pa.Table | None, tokens: int, kinds: int) -> Group:
+    def opened(row: dict, answers: pa.Table | None, tokens: int, kinds: int) -> Group:
         common.claim(__name__)
         common.reuse_memory()
-        column = texts["text"].combine_chunks()
-        column = column.chunk(0) if isinstance(column, pa.ChunkedArray) else column
-        learns = ~np.array(texts["held_out"].to_pylist(), bool)
-        return Group(common.raw(column), learns, collected(answers), tokens, kinds, training)
+        return Group(texts_of(row), ~np.array(row["held_out"], bool), collected(answers), tokens, kinds, training)
 
     def asking(levels: list[int], tokens: int, kinds: int):
         def ask(texts: pa.Table, answers: pa.Table | None) -> pa.Table:
             if not texts.num_rows:
                 listed = []
             else:
-                group = opened(texts, answers, tokens, kinds)
-                listed = [r for level in levels for r in asked(group, texts["grp"][0].as_py(), level, buckets)]
-            kinds_ = (pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.binary())
+                row = texts.to_pylist()[0]
+                group = opened(row, answers, tokens, kinds)
+                listed = [r for level in levels for r in asked(group, row["grp"], level, buckets)]
+            kinds_ = (pa.int32(), pa.int64(), pa.int32(), pa.binary(), pa.binary())
             return pa.table({c.split()[0]: pa.array([r[i] for r in listed], kinds_[i]) for i, c in enumerate(ASKS.split(", "))})
 
         return ask
 
-    def answer(asks) -> DataFrame:
-        """asks: makes the frame of asks; nothing else may hold it, so that the shuffle of dealt texts can go once it is written."""
-        written = common.materialize(asks(), "asks")
-        common.forget_shuffles(docs.sparkSession)
-
+    def answer(asks: DataFrame) -> DataFrame:
         def solve(table: pa.Table) -> pa.Table:
             common.claim(__name__)
             return answered(table, buckets)
 
-        out = common.materialize(written.groupBy("bucket", "level").applyInArrow(solve, ANSWERS), "answers")
-        common.discard(written)
-        common.forget_shuffles(docs.sparkSession)
-        return out
+        return common.materialize(asks.groupBy("bucket", "level").applyInArrow(solve, ANSWERS), "answers")
 
     def both(answers: DataFrame):
         return rows.groupBy("grp").cogroup(answers.where("grp >= 0").groupBy("grp"))
 
     first = asking([0, 1], 1, 0)
-    answers = answer(lambda: rows.groupBy("grp").applyInArrow(lambda texts: first(texts, None), ASKS))
+    answers = answer(rows.groupBy("grp").applyInArrow(lambda texts: first(texts, None), ASKS))
     facts = [np.frombuffer(r["sums"]) for r in answers.where("grp = -1 and level = 0").select("sums").toLocalIterator()]
     kinds, tokens = (int(sum(f[i] for f in facts)) for i in (0, 1))
     for d in range(1, depth + 1):
+        common.forget_shuffles(docs.sparkSession)
         levels = [-d] + [d + 1] * (d < depth)
-        answers = answers.unionByName(answer(lambda known=answers, levels=levels: both(known).applyInArrow(asking(levels, tokens, kinds), ASKS)))
+        answers = answers.unionByName(answer(both(answers).applyInArrow(asking(levels, tokens, kinds), ASKS)))
+    common.forget_shuffles(docs.sparkSession)
 
     def score(texts: pa.Table, answers_: pa.Table) -> pa.Table:
         names = [c.split()[0] for c in SCORED.split(", ")]
         if not texts.num_rows:
             return pa.table({n: pa.array([], t) for n, t in zip(names, (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.float64(), pa.float64()), strict=True)})
-        got = opened(texts, answers_, tokens, kinds).scores(depth)
-        return pa.table({"doc_id": texts["doc_id"], "held_out": texts["held_out"], **{n: pa.array(v) for n, v in zip(names[2:], got, strict=True)}})
+        row = texts.to_pylist()[0]
+        got = opened(row, answers_, tokens, kinds).scores(depth)
+        return pa.table({"doc_id": pa.array(row["doc_ids"], pa.int64()), "held_out": row["held_out"], **{n: pa.array(v) for n, v in zip(names[2:], got, strict=True)}})
 
     scored = both(answers).applyInArrow(score, SCORED)
     return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(tokens).cast("long").alias("train_tokens"), "base_score", "score")

@@ -663,6 +663,15 @@ def test_suffix_tree_keeps_rare_contexts_however_large_the_corpus(spark):
     assert got[0]["score"] == pytest.approx(got[1]["score"]) and got[0]["score"] > got[0]["base_score"] / 2
 
 
+def test_packed_arrays_are_small_and_whole():
+    rng = np.random.default_rng(3)
+    keys = np.unique(rng.integers(0, 1 << 46, 20_000, dtype=np.uint64))
+    assert len(suffix_tree.packed(keys, 1)) < 4.6 * len(keys)  # 5 bytes a key before
+    for values, kind, columns in ((rng.poisson(1.0, 5000).astype("<u4"), "<u4", 1), (rng.random((70, 3)).astype("<f4"), "<f4", 3), (np.zeros(0, "<u4"), "<u4", 1)):
+        assert (suffix_tree.expanded(suffix_tree.squeezed(values), kind, columns) == values).all()
+    assert len(suffix_tree.squeezed(np.ones(5000, "<u4"))) < 100
+
+
 def test_packed_hashes():
     for level in (0, 1, -1, -2):
         keys = np.unique(common.mix(np.arange(5000, dtype=np.uint64)) >> np.uint64(64 - suffix_tree.bits(level)))
