@@ -45,7 +45,17 @@ class Ensemble:
         return int((self.feature >= 0).sum()) * 2 + len(self.feature)
 
 
-def _tree(codes: np.ndarray, edges: list[np.ndarray], y: np.ndarray, weight: np.ndarray, depth: int, columns: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def _listed(codes: np.ndarray) -> list[tuple]:
+    """Of each feature the commonest bin, the rows outside it and their bins: what is in it follows from the whole."""
+    out = []
+    for c in range(codes.shape[1]):
+        most = int(np.bincount(codes[:, c], minlength=BINS).argmax())
+        rows = np.flatnonzero(codes[:, c] != most)
+        out.append((most, rows, codes[rows, c]))
+    return out
+
+
+def _tree(codes: np.ndarray, listed: list[tuple], edges: list[np.ndarray], y: np.ndarray, weight: np.ndarray, depth: int, columns: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """feature, threshold and value of each node, and the node where each row ends."""
     size = 2 ** (depth + 1) - 1
     feature, threshold, value = np.full(size, -1, np.int64), np.zeros(size), np.zeros(size)
@@ -60,8 +70,12 @@ def _tree(codes: np.ndarray, edges: list[np.ndarray], y: np.ndarray, weight: np.
             break
         best, cut, of = np.full(width, 1e-12), np.zeros(width, np.int64), np.full(width, -1, np.int64)
         for c in columns:
-            cell = local * BINS + codes[:, c]
-            left_n, left_s = (np.bincount(cell, v, (width + 1) * BINS)[: width * BINS].reshape(width, BINS).cumsum(1)[:, :-1] for v in (weight, wy))
+            most, rows, bins = listed[c]
+            cell = local[rows] * BINS + bins
+            bars = [np.bincount(cell, v[rows], (width + 1) * BINS)[: width * BINS].reshape(width, BINS) for v in (weight, wy)]
+            for bar, whole in zip(bars, (n, s), strict=True):
+                bar[:, most] = whole - bar.sum(1)
+            left_n, left_s = (bar.cumsum(1)[:, :-1] for bar in bars)
             right_n, right_s = n[:, None] - left_n, s[:, None] - left_s
             gain = left_s**2 / np.maximum(left_n, 1e-12) + right_s**2 / np.maximum(right_n, 1e-12) - (s**2 / np.maximum(n, 1e-12))[:, None]
             gain[(left_n < LEAF) | (right_n < LEAF)] = 0
@@ -87,9 +101,10 @@ def _binned(x: np.ndarray) -> tuple[np.ndarray, list[np.ndarray]]:
 def boosted(x: np.ndarray, y: np.ndarray, trees: int, depth: int, step: float) -> Ensemble:
     """Least-squares boosting: every tree fits what the ones before leave."""
     codes, edges = _binned(x)
+    listed = _listed(codes)
     out, rest, ones, columns = [], y - y.mean(), np.ones(len(y)), np.arange(x.shape[1])
     for _ in range(trees):
-        feature, threshold, value, node = _tree(codes, edges, rest, ones, depth, columns)
+        feature, threshold, value, node = _tree(codes, listed, edges, rest, ones, depth, columns)
         out.append((feature, threshold, value))
         rest = rest - step * value[node]
     return Ensemble(float(y.mean()), step, *(np.array(v) for v in zip(*out, strict=True)))
@@ -98,8 +113,9 @@ def boosted(x: np.ndarray, y: np.ndarray, trees: int, depth: int, step: float) -
 def forest(x: np.ndarray, y: np.ndarray, trees: int, depth: int, seed: int = 7) -> Ensemble:
     """The mean of trees on bootstrapped rows, each with a third of the features (one at least)."""
     codes, edges = _binned(x)
+    listed = _listed(codes)
     random, out = np.random.default_rng(seed), []
     for _ in range(trees):
         columns = random.permutation(x.shape[1])[: max(1, x.shape[1] // 3)]
-        out.append(_tree(codes, edges, y, random.poisson(1.0, len(y)).astype(float), depth, columns)[:3])
+        out.append(_tree(codes, listed, edges, y, random.poisson(1.0, len(y)).astype(float), depth, columns)[:3])
     return Ensemble(0.0, 1 / trees, *(np.array(v) for v in zip(*out, strict=True)))

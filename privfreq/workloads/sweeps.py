@@ -39,7 +39,9 @@ class Data:
 
     def __init__(self, clients: DataFrame):
         self.clients = clients.persist()
-        self.truth = clients.groupBy("item", "key").agg(F.count("*").cast("double").alias("f")).persist()
+        # a number of parts asked for is kept: small tables would be joined into one task, which then reads every sketch alone
+        parts = 2 * clients.sparkSession.sparkContext.defaultParallelism
+        self.truth = clients.groupBy("item", "key").agg(F.count("*").cast("double").alias("f")).repartition(parts).persist()
         row = self.truth.agg(F.count("*").alias("d"), F.sum("f").alias("n"), F.avg(F.col("f") * F.col("f")).alias("zero")).first()
         self.d, self.n, self.zero = row["d"], row["n"], row["zero"]
         self.fits: dict = {}
@@ -49,6 +51,13 @@ class Data:
         self.truth.unpersist()
 
 
+def clients_of(spark: SparkSession, sf_dir: str, source: str) -> DataFrame:
+    """A data set's clients; the words in as many parts as all cores can share."""
+    if source == "words":
+        return tables.words(spark, sf_dir, 2 * spark.sparkContext.defaultParallelism)
+    return tables.FIXTURES[source](spark, sf_dir)
+
+
 def _errors(rows: DataFrame) -> dict:
     """Mean and summed squared errors of rows (f, f_hat, path), and of either path."""
     e2 = F.pow(F.col("f_hat") - F.col("f"), 2)
@@ -132,7 +141,7 @@ def sweep(spark: SparkSession, sf_dir: str, param: str, values, source: str, met
         rows = [r for s in values for r in measure("zipf", tables.zipf_items(spark, sf_dir, s), [("s", s, p.but(**base))], spec, methods)]
     else:
         p, spec = (SETS | CONTROL)[source]
-        rows = measure(source, tables.FIXTURES[source](spark, sf_dir), [(param, v, p.but(**base).but(**{param: v})) for v in values], spec, methods)
+        rows = measure(source, clients_of(spark, sf_dir, source), [(param, v, p.but(**base).but(**{param: v})) for v in values], spec, methods)
     return spark.createDataFrame(rows, RESULT)
 
 
@@ -140,7 +149,7 @@ def accuracy(spark: SparkSession, sf_dir: str, **base) -> DataFrame:
     """All methods on all data sets and on the control without skew, at the published settings or with others."""
     rows = []
     for source, (p, spec) in (SETS | CONTROL).items():
-        rows += measure(source, tables.FIXTURES[source](spark, sf_dir), [("default", 0, p.but(**base))], spec)
+        rows += measure(source, clients_of(spark, sf_dir, source), [("default", 0, p.but(**base))], spec)
     return spark.createDataFrame(rows, RESULT)
 
 
@@ -148,7 +157,7 @@ def model_choice(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Boosted trees at the published settings against a forest of as many bytes: error on true frequencies."""
     rows = []
     for source, (p, spec) in SETS.items():
-        data = Data(tables.FIXTURES[source](spark, sf_dir))
+        data = Data(clients_of(spark, sf_dir, source))
         first, boosted, scores = phase_one(data, p, spec)
         size = model.model_bytes(boosted)
         targets = split.phase1_targets(split.sample_domain(data.truth.select("item", "key"), TRAIN, p.seed), first, p).persist()
@@ -171,7 +180,7 @@ SPACE = ((8, 32), (32, 64), (64, 128), (128, 256), (256, 316))
 def space_accuracy(spark: SparkSession, sf_dir: str, rows=SPACE, source: str = "zipf") -> DataFrame:
     """budget, method, k, m, model_bytes, sketch_bytes, total_bytes, mse, sse: the five budgets, models included."""
     p, spec = SETS[source]
-    data, out = Data(tables.FIXTURES[source](spark, sf_dir)), []
+    data, out = Data(clients_of(spark, sf_dir, source)), []
     for i, (small, large) in enumerate(rows, 1):
         for method in ("onehot", "hadamard", "split"):
             q = p.but(k=small if method == "split" else large)
@@ -190,7 +199,7 @@ def query_latency(spark: SparkSession, sf_dir: str, n: int = 50_000, source: str
     the domain's size repeat. pooled_lh_table reads the items' hashes out of a table made beforehand.
     """
     p, spec = SETS[source]
-    data = Data(tables.FIXTURES[source](spark, sf_dir))
+    data = Data(clients_of(spark, sf_dir, source))
     copies = -(-n // max(1, data.d))
     domain = data.truth.select("item", "key")
     many = split.sample_domain(domain, n, p.seed)
