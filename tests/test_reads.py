@@ -6,7 +6,7 @@ from test_entry import canon, con  # noqa: F401
 
 import __spark_entry__ as entry
 
-NAMES = ["boundary_empty", "boundary_ties", "encode_example", "privacy_ratio", "space_table"]
+NAMES = ["boundary_empty", "boundary_ties", "encode_example", "privacy_ratio", "space_table", "theory_covariance"]
 
 
 @pytest.mark.parametrize("name", NAMES)
