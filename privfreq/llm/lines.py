@@ -96,7 +96,8 @@ def without_repeats(docs: DataFrame, window: int = WINDOW) -> DataFrame:
 
     # only the texts that lose lines go to Python and back
     covered = F.col("_first").isNotNull() & F.col("text").isNotNull()
-    done = joined.withColumn("_new", rewrite(F.when(covered, F.col("text")), "_first"))
+    # not deterministic by name only: else a filter on the new columns repeats the call below itself, in a worker of its own
+    done = joined.withColumn("_new", rewrite.asNondeterministic()(F.when(covered, F.col("text")), "_first"))
     done = done.withColumns(
         {
             "n_lines": F.coalesce(F.length("text") - F.length(F.replace("text", F.lit("\n"), F.lit(""))) + 1, F.lit(1)).cast("int"),

@@ -44,6 +44,13 @@ def test_lines_near_and_benchmark(stages, spark):
     assert held.count() == 0
 
 
+def test_lines_are_rewritten_once(spark):
+    docs = common.read(spark, SF, "documents")
+    with common.temporary():
+        plan = pipeline.line_stage(spark, docs, SF)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("ArrowEvalPython") == 1  # each one takes a worker, which stays for the stages to come
+
+
 def test_packing_is_complete(stages):
     _, before, after = stages[4]
     assert after.select("doc_id").distinct().count() == before.count()
