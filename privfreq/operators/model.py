@@ -73,14 +73,33 @@ def _inputs(items: DataFrame) -> Column:
     return x if dict(items.dtypes)["item"] == "string" else F.slice(x, 1, 1)
 
 
+def _training(rows: DataFrame) -> pa.Table:
+    found = rows.limit(trees.MOST_ROWS + 1).toArrow().combine_chunks()
+    if found.num_rows > trees.MOST_ROWS:
+        raise ValueError(f"more than {trees.MOST_ROWS} training items: fit them on the cluster")
+    return found
+
+
+def _fitted(x: np.ndarray, y: np.ndarray, spec: ModelSpec) -> trees.Ensemble:
+    return trees.boosted(x, y, spec.trees, spec.depth, spec.step) if spec.kind == "boosted" else trees.forest(x, y, spec.trees, spec.depth, spec.seed)
+
+
+def fit_for_all(train: DataFrame, targets: list[np.ndarray], spec: ModelSpec) -> list[trees.Ensemble]:
+    """fit_frequency_model for many targets of the same items (in the order of train): each is fitted in a task of its own."""
+    context = train.sparkSession.sparkContext
+    x = context.broadcast(_matrix(_training(features(train).select(_inputs(train).alias("x")))["x"].combine_chunks()))
+
+    def fit(y):
+        return cloudpickle.dumps(_fitted(x.value, y, spec))
+
+    return [cloudpickle.loads(v) for v in context.parallelize(targets, len(targets)).map(fit).collect()]
+
+
 def fit_frequency_model(train: DataFrame, spec: ModelSpec, where: str = "process") -> PipelineModel | trees.Ensemble:
     """train: item, f_target. process: the t rows, whose number is a parameter, are fitted in one process; cluster: by jobs."""
     if where == "process":
-        rows = features(train).select(_inputs(train).alias("x"), "f_target").limit(trees.MOST_ROWS + 1).toArrow().combine_chunks()
-        if rows.num_rows > trees.MOST_ROWS:
-            raise ValueError(f"more than {trees.MOST_ROWS} training items: fit them on the cluster")
-        x, y = _matrix(rows["x"].combine_chunks()), rows["f_target"].to_numpy()
-        return trees.boosted(x, y, spec.trees, spec.depth, spec.step) if spec.kind == "boosted" else trees.forest(x, y, spec.trees, spec.depth, spec.seed)
+        rows = _training(features(train).select(_inputs(train).alias("x"), "f_target"))
+        return _fitted(_matrix(rows["x"].combine_chunks()), rows["f_target"].to_numpy(), spec)
     rows = features(train).select("x", "f_target").coalesce(8).persist()
     model = regressor(spec).fit(rows)
     rows.unpersist()
@@ -106,6 +125,24 @@ def scored(model: PipelineModel | trees.Ensemble, items: DataFrame, features_=No
     return with_x.select(*names, _inputs(items).alias("x")).mapInArrow(run, StructType([*items.schema.fields, StructField("g", DoubleType())]))
 
 
+def scored_by_all(models: dict[str, trees.Ensemble], items: DataFrame) -> DataFrame:
+    """scored() by many ensembles, each in a column of its name; the features are made once."""
+    sent = items.sparkSession.sparkContext.broadcast(cloudpickle.dumps(models))
+    names = items.columns
+
+    def run(batches):
+        import pickle
+
+        ensembles = pickle.loads(sent.value)
+        for batch in batches:
+            x = _matrix(batch.column(len(names)))
+            g = [pa.array(e.predict(x) if len(batch) else np.empty(0)) for e in ensembles.values()]
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], *g], [*names, *ensembles])
+
+    schema = StructType([*items.schema.fields, *(StructField(n, DoubleType()) for n in models)])
+    return features(items).select(*names, _inputs(items).alias("x")).mapInArrow(run, schema)
+
+
 def tune(train: DataFrame, steps=(0.05, 0.1), depths=(3, 5), counts=(100, 350), folds: int = 3) -> ModelSpec:
     """The boosted setting of least error on a grid, by cross-validation over the training items (fitted in one process).
 

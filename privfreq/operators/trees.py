@@ -11,6 +11,8 @@ import numpy as np
 
 #: Training rows, bins of a feature, least rows of a leaf.
 MOST_ROWS, BINS, LEAF = 500_000, 64, 5
+#: Rows that are asked at once.
+STRETCH = 1 << 13
 
 
 class Ensemble:
@@ -24,14 +26,31 @@ class Ensemble:
             middle = np.concatenate([self.breaks, [np.inf]])
             self.levels = self.walk(middle[:, None])
 
+    def leaves(self) -> np.ndarray:
+        """The value at the end of each path of a complete tree, left to right; a path goes on to the left below a leaf."""
+        depth = int(np.log2(self.feature.shape[1] + 1)) - 1
+        trees, paths = np.arange(len(self.feature))[:, None], np.arange(2**depth)[None, :]
+        at = np.zeros((len(self.feature), 2**depth), np.int64)
+        for level in range(depth):
+            at = np.where(self.feature[trees, at] < 0, at, 2 * at + 1 + (paths >> (depth - 1 - level) & 1))
+        return self.value[trees, at]
+
     def walk(self, x: np.ndarray) -> np.ndarray:
-        out, rows = np.full(len(x), self.start), np.arange(len(x))
-        for feature, threshold, value in zip(self.feature, self.threshold, self.value, strict=True):
-            at = np.zeros(len(x), np.int64)
-            for _ in range(int(np.log2(len(feature) + 1)) - 1):
-                f = feature[at]
-                at = np.where(f < 0, at, 2 * at + 1 + (x[rows, np.maximum(f, 0)] > threshold[at]))
-            out += self.step * value[at]
+        """Every split is asked of a stretch of rows at once, and the answers pick the path: no row is followed by itself."""
+        out, leaves = np.full(len(x), self.start), self.leaves()
+        depth = int(np.log2(self.feature.shape[1] + 1)) - 1
+        for first in range(0, len(x), STRETCH):
+            columns = np.ascontiguousarray(x[first : first + STRETCH].T)
+            part, none = out[first : first + STRETCH], np.zeros(columns.shape[1], bool)
+            for feature, threshold, leaf in zip(self.feature.tolist(), self.threshold, leaves, strict=True):
+                turns, path = [], np.zeros(columns.shape[1], np.uint8)
+                for level in range(depth):
+                    asked = [none if feature[i] < 0 else columns[feature[i]] > threshold[i] for i in range(2**level - 1, 2 ** (level + 1) - 1)]
+                    for turn in reversed(turns):
+                        asked = [left if left is right else left ^ ((left ^ right) & turn) for left, right in zip(asked[::2], asked[1::2], strict=True)]
+                    turns.append(asked[0])
+                    path = path * np.uint8(2) + asked[0] if depth <= 8 else path.astype(np.int64) * 2 + asked[0]
+                part += self.step * leaf[path]
         return out
 
     def predict(self, x: np.ndarray) -> np.ndarray:

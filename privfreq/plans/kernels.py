@@ -102,6 +102,19 @@ def vector_state(clients: DataFrame, p: Params, coins: str = "counter") -> DataF
     return rows.mapInArrow(accumulate, STATE).groupBy("j", "b").agg(F.sum("plus").alias("plus"), F.sum("reports").alias("reports"))
 
 
+def drawn(ones: np.ndarray, n: np.ndarray, p: Params, seed: int = 1) -> np.ndarray:
+    """The +1 bits of each cell, from the clients whose place it is and the clients of its row."""
+    rng = np.random.default_rng(seed)
+    return rng.binomial(ones, 1 - p.q) + rng.binomial(n[:, None] - ones, p.q)
+
+
+def simulated_cells(counts: np.ndarray, p: Params, seed: int = 1) -> sketch.Cells:
+    """simulated_state, collected, from the clients by row and place (k x (m + 1), the last place for dummy reports)."""
+    n = counts.sum(1)
+    plus = drawn(counts[:, : p.m], n, p, seed)
+    return sketch.Cells(2 * plus - n[:, None], int(plus.sum()), int(n.sum()))
+
+
 def simulated_state(clients: DataFrame, p: Params, seed: int = 1) -> DataFrame:
     """A state of the same distribution from true counts: binomial draws for k*m cells in place of m coins a client.
 
@@ -109,12 +122,11 @@ def simulated_state(clients: DataFrame, p: Params, seed: int = 1) -> DataFrame:
     """
     rows = reports.one_hot_rows(clients, p).groupBy("j", "pos").agg(F.count("*").alias("ones"))
     found = rows.toPandas()  # at most k*(m+1) rows
-    rng = np.random.default_rng(seed)
     ones, n = np.zeros((p.k, p.m), np.int64), np.zeros(p.k, np.int64)
     np.add.at(n, found["j"], found["ones"])
     at = found[found["pos"] >= 0]
     ones[at["j"], at["pos"]] = at["ones"]
-    plus = rng.binomial(ones, 1 - p.q) + rng.binomial(n[:, None] - ones, p.q)
+    plus = drawn(ones, n, p, seed)
     j, b = np.divmod(np.arange(p.k * p.m), p.m)
     import pandas as pd
 

@@ -1,7 +1,9 @@
 """The experiments: accuracy, model choice, space, query time, and sweeps of k, m, eps, r, theta and s.
 
 Simulated states have the clients' distribution (binomial cells) at the cost of a count, so that a sweep of many settings
-stays cheap; each point's error is measured against true frequencies over the whole domain.
+stays cheap; each point's error is measured against true frequencies over the whole domain. The points of a sweep share
+their readings: clients are read twice for all points (reports of every setting, and clients counted by item, row and
+phase), the domain a few times, and nothing that grows with the domain is sent to the driver or to all executors.
 
 `split` is the two-phase estimator as it would run: phase 1 is sketched, a model is fitted to its estimates, heavy items
 are answered by the model. `split_exact` is an ablation that no deployment has: true frequencies choose the heavy items,
@@ -13,14 +15,15 @@ from __future__ import annotations
 import time
 from functools import reduce
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..measures import theory
 from ..operators import model, reports, sketch, split
 from ..params import SENSOR, ZIPF, Params
-from ..plans import kernels
-from ..plans.gather import gather
+from ..plans import batch, kernels
+from ..plans.gather import butterfly, gather
 from ..sources import tables
 
 #: Published settings of each data set: sketch, shares and boosted trees. Words stand for a second skewed set; strings say
@@ -54,16 +57,24 @@ class Data:
 def clients_of(spark: SparkSession, sf_dir: str, source: str) -> DataFrame:
     """A data set's clients; the words in as many parts as all cores can share."""
     if source == "words":
-        return tables.words(spark, sf_dir, 2 * spark.sparkContext.defaultParallelism)
+        cores = spark.sparkContext.defaultParallelism
+        few = tables.load(spark, sf_dir, "documents").rdd.getNumPartitions() < cores
+        return tables.words(spark, sf_dir, 2 * cores if few else None)
     return tables.FIXTURES[source](spark, sf_dir)
 
 
+def _error_columns(f_hat, path=None) -> dict:
+    """The aggregates of _errors for estimates; path: whether they are of the heavy path, where there is one."""
+    e2 = F.pow(f_hat - F.col("f"), 2)
+    whole = {"mse": F.avg(e2), "sse": F.sum(e2)}
+    if path is None:
+        return whole
+    return whole | {"mse_light": F.avg(F.when(~path, e2)), "mse_heavy": F.avg(F.when(path, e2)), "n_heavy": F.count_if(path), "mass_heavy": F.sum(F.when(path, F.col("f")).otherwise(0.0)) / F.sum("f")}
+
+
 def _errors(rows: DataFrame) -> dict:
     """Mean and summed squared errors of rows (f, f_hat, path), and of either path."""
-    e2 = F.pow(F.col("f_hat") - F.col("f"), 2)
-    of = lambda path: F.when(F.col("path") == path, e2)
-    heavy = F.col("path") == "heavy"
-    return rows.agg(F.avg(e2).alias("mse"), F.sum(e2).alias("sse"), F.avg(of("light")).alias("mse_light"), F.avg(of("heavy")).alias("mse_heavy"), F.count_if(heavy).alias("n_heavy"), (F.sum(F.when(heavy, F.col("f")).otherwise(0.0)) / F.sum("f")).alias("mass_heavy")).first().asDict()
+    return rows.agg(*[v.alias(c) for c, v in _error_columns(F.col("f_hat"), F.col("path") == "heavy").items()]).first().asDict()
 
 
 def _plain(data: Data, table, hashes, value) -> dict:
@@ -78,7 +89,7 @@ def one_hot_errors(data: Data, p: Params, spec=None) -> dict:
 
 def hadamard_errors(data: Data, p: Params, spec=None) -> dict:
     table, n = sketch.hadamard_cells(sketch.hadamard_state(reports.hadamard_reports(data.clients, p)), p)
-    return _plain(data, table, p.hashes(), lambda s: F.lit(p.m / (p.m - 1)) * (F.lit(p.hadamard_c) * s - n / p.m))
+    return _plain(data, table, p.hashes(), lambda s: sketch.hadamard_value(s, F.lit(n), p))
 
 
 def local_hash_errors(data: Data, p: Params, spec=None) -> dict:
@@ -120,17 +131,97 @@ def split_errors(data: Data, p: Params, spec: model.ModelSpec, exact: bool = Fal
 RUNS = {"onehot": one_hot_errors, "hadamard": hadamard_errors, "pooled_lh": local_hash_errors, "split": split_errors, "split_exact": lambda d, p, s: split_errors(d, p, s, True)}
 
 
+def _models(counted: DataFrame, firsts: dict, spec: model.ModelSpec) -> dict:
+    """phase_one's models, for each of its settings: the training items are the same for all (of one seed)."""
+    train = split.sample_domain(counted.select("item", "key"), TRAIN, next(iter(firsts.values()))[0].seed).coalesce(1).persist()
+    targets = [split.phase1_targets(train, first, p).select("f_target").toArrow()["f_target"].to_numpy() for p, first in firsts.values()]
+    fits = dict(zip(firsts, model.fit_for_all(train, targets, spec), strict=True))
+    train.unpersist()
+    return fits
+
+
+def _errors_of_all(counted: DataFrame, reports_: tuple[dict, dict], n_clients: int, points: list[Params], spec: model.ModelSpec, methods) -> list[dict]:
+    """For every setting the errors of each method: what RUNS gives for one of them, at a few readings of the domain for all.
+
+    counted: item, key, f, cells (plans.batch.tally of the same settings); reports_: plans.batch.report_states; n_clients: how many sent
+    them.
+    """
+    layout, paths = batch.Layout.of(points), [m for m in ("split", "split_exact") if m in methods]
+    # states and fits that several points share are made once
+    whole = lambda p: ("onehot", p.eps, p.m, p.k)
+    early = lambda p: ("first", p.eps, p.m, p.k, p.r)
+    wanted = {whole(p): (p, 0, None, 0.0) for p in points if "onehot" in methods} | {early(p): (p, 1, None, 0.0) for p in points if paths}
+    made = batch.place_counts(counted, layout, list(wanted.values())) if wanted else []
+    cells = {name: kernels.simulated_cells(c, wanted[name][0]) for name, c in zip(wanted, made, strict=True)}
+    scores, column = counted.select("key", "f", "cells"), {}
+    if "split" in paths:
+        column = {name: f"g{i}" for i, name in enumerate(n for n in wanted if n[0] == "first")}
+        fits = _models(counted, {g: (wanted[name][0], cells[name]) for name, g in column.items()}, spec)
+        scores = model.scored_by_all(fits, counted).select("key", "f", "cells", *fits).persist(StorageLevel.DISK_ONLY)
+    cuts, exact = {}, {}
+    for i, p in enumerate(points):
+        if "split" in paths:
+            g = column[early(p)]
+            cuts["split", i] = g, split.find_boundary(scores.select(F.col(g).alias("g")), p.theta)
+        if "split_exact" in paths:
+            if p.theta not in exact:
+                exact[p.theta] = split.find_boundary(scores.select(F.col("f").alias("g")), p.theta)
+            cuts["split_exact", i] = "f", exact[p.theta]
+    if column:
+        counted.unpersist()  # the scored table has what is read from here on
+    if cuts:
+        made = batch.place_counts(scores, layout, [(points[i], 2, g, cut.p) for (_, i), (g, cut) in cuts.items()])
+        cells |= {name: kernels.simulated_cells(c, points[name[1]]) for name, c in zip(cuts, made, strict=True)}
+
+    read, columns = {name: c.v for name, c in cells.items() if name[0] != "first" or "split_exact" in paths}, {}
+    read |= {("hadamard", *name): butterfly(signed) for name, signed in reports_[0].items()} | {("pooled_lh", *name): counts for name, counts in reports_[1].items()}
+    place = {name: f"s{i}" for i, name in enumerate(read)}
+    for i, p in enumerate(points):
+        for method in methods:
+            if method == "onehot":
+                n = F.lit(cells[whole(p)].n)
+                columns[method, i] = sketch.one_hot_value(F.col(place[whole(p)]), n, n, p), None
+            elif method == "hadamard":
+                name = ("hadamard", *batch.hadamard_key(p))
+                columns[method, i] = sketch.hadamard_value(F.col(place[name]), F.lit(n_clients), p), None
+            elif method == "pooled_lh":
+                name = ("pooled_lh", *batch.local_key(p))
+                columns[method, i] = sketch.local_hash_value(F.col(place[name]), F.lit(int(read[name].sum())), p), None
+            else:
+                g, cut = cuts[method, i]
+                state, first = cells[method, i], cells[early(p)]
+                mass = split.light_mass(state, p.theta, cut.realised, p, "sketch")
+                light = sketch.one_hot_value(F.col(place[method, i]), F.lit(state.n), F.lit(mass), p) / F.lit(1 - p.r)
+                heavy = F.col(g)
+                if method == "split_exact":
+                    heavy = sketch.one_hot_value(F.col(place[early(p)]), F.lit(first.n), F.lit(first.n), p) / F.lit(p.r)
+                path = F.col(g) >= F.lit(cut.p)
+                columns[method, i] = F.when(path, heavy).otherwise(light), path
+    named = {(m, i, c): v for (m, i), (f_hat, path) in columns.items() for c, v in _error_columns(f_hat, path).items()}
+    found = batch.gather_all(scores.drop("cells"), {place[name]: table for name, table in read.items()}, points[0]).agg(*[v.alias(f"e{n}") for n, v in enumerate(named.values())]).first()
+    if column:
+        scores.unpersist()
+    out = [{m: {} for m in methods} for _ in points]
+    for (m, i, c), v in zip(named, found, strict=True):
+        out[i][m][c] = v
+    return out
+
+
 def measure(source: str, clients: DataFrame, points: list[tuple[str, float, Params]], spec: model.ModelSpec, methods=METHODS) -> list[tuple]:
     """Rows of RESULT for every setting and method; `all_zero` is the error of answering 0 for everything."""
-    data, rows = Data(clients), []
+    settings, rows = [p for _, _, p in points], []
+    parts = max(2 * clients.sparkSession.sparkContext.defaultParallelism, clients.rdd.getNumPartitions())
+    counted = batch.tally(clients, settings, parts).persist(StorageLevel.DISK_ONLY)
     try:
-        for name, value, p in points:
+        row = counted.agg(F.count("*").alias("d"), F.sum("f").alias("n"), F.avg(F.col("f") * F.col("f")).alias("zero")).first()
+        sent = batch.report_states(clients, settings, "hadamard" in methods, "pooled_lh" in methods)
+        found = _errors_of_all(counted, sent, int(row["n"] or 0), settings, spec, methods)
+        for (name, value, _), errors in zip(points, found, strict=True):
             for method in methods:
-                r = RUNS[method](data, p, spec)
-                rows.append((source, name, float(value), method, *[r[c] for c in ("mse", "sse", "mse_light", "mse_heavy", "n_heavy", "mass_heavy")]))
-            rows.append((source, name, float(value), "all_zero", data.zero, data.zero * data.d, None, None, None, None))
+                rows.append((source, name, float(value), method, *[errors[method].get(c) for c in ("mse", "sse", "mse_light", "mse_heavy", "n_heavy", "mass_heavy")]))
+            rows.append((source, name, float(value), "all_zero", row["zero"], row["zero"] * row["d"], None, None, None, None))
     finally:
-        data.close()
+        counted.unpersist()
     return rows
 
 
